@@ -26,7 +26,10 @@ from vecrag.llm.common import slices
 #: Words in one recursive query: bounds DuckDB's memory.
 WORDS = 15_000
 #: Words a task remembers before it starts anew.
-REMEMBERED = 250_000
+REMEMBERED = 600_000
+#: Rounds of one recursive query; a word that needs more goes on from where it stopped. With LONG_BYTES, the most
+#: bytes of a query whose words may need all rounds, this bounds the rows that a query holds.
+ROUNDS, LONG_BYTES = 64, 40_000
 
 #: State rows are (word, pos, tok, round). A round contracts one pair of each word that still has one.
 #: `nxt` is the id right of a row; `key` names a pair in the merge table.
@@ -48,12 +51,12 @@ WITH RECURSIVE state(word, pos, tok, round) AS (
                CASE WHEN s.pos = best.pick % 4294967296 THEN best.pick // 4294967296 ELSE s.tok END AS tok,
                s.round + 1 AS round
         FROM state s JOIN best ON s.word = best.word
-        WHERE s.pos <> best.gone
+        WHERE s.pos <> best.gone AND s.round < $rounds
     )
 ), final AS (
     SELECT word, max(round) AS round FROM state GROUP BY word
 )
-SELECT s.word, list(s.tok ORDER BY s.pos) AS ids, string_agg(v.hex, '' ORDER BY s.pos) AS decoded
+SELECT s.word, any_value(s.round) AS round, list(s.tok ORDER BY s.pos) AS ids, string_agg(v.hex, '' ORDER BY s.pos) AS decoded
 FROM state s JOIN final f ON s.word = f.word AND s.round = f.round JOIN vocab v ON v.tok = s.tok
 GROUP BY s.word
 """
@@ -118,7 +121,7 @@ class WordCoder:
         at = 0
         while at < len(hard):
             end, size = at, 0
-            while end < len(hard) and end - at < WORDS and (end == at or size + len(hard[end][1]) <= 16 * WORDS):
+            while end < len(hard) and end - at < WORDS and (end == at or size + len(hard[end][1]) <= (16 * WORDS if len(hard[end][1]) <= ROUNDS else LONG_BYTES)):
                 size += len(hard[end][1])
                 end += 1
             self._merge(hard[at:end])
@@ -126,17 +129,25 @@ class WordCoder:
 
     def _merge(self, words: list[tuple[str, bytes]]) -> None:
         sizes = np.array([len(raw) for _, raw in words])
-        word = np.repeat(np.arange(len(words)), sizes)
-        pos = np.arange(sizes.sum()) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+        word = np.arange(len(words))
         tok = self.bytes_of[np.frombuffer(b"".join(raw for _, raw in words), np.uint8)]
-        self.db.register("start", pa.table({"word": word, "pos": pos, "tok": tok}))
-        got = self.db.sql(MERGE_SQL).to_arrow_table()
-        self.db.unregister("start")
-        ids = got["ids"].combine_chunks()
-        flat = ids.values.to_numpy(zero_copy_only=False).astype("<u4")
-        edges = ids.offsets.to_numpy()
-        for k, (at, decoded) in enumerate(zip(got["word"].to_pylist(), got["decoded"].to_pylist(), strict=True)):
-            self.lookup[words[at][0]] = (flat[edges[k] : edges[k + 1]].tobytes(), bytes.fromhex(decoded))
+        while len(word):
+            pos = np.arange(sizes.sum()) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+            self.db.register("start", pa.table({"word": np.repeat(word, sizes), "pos": pos, "tok": tok}))
+            got = self.db.sql(MERGE_SQL, params={"rounds": ROUNDS}).to_arrow_table()
+            self.db.unregister("start")
+            ids = got["ids"].combine_chunks()
+            flat = ids.values.to_numpy(zero_copy_only=False)
+            edges = ids.offsets.to_numpy()
+            more = []
+            for k, (at, rounds, decoded) in enumerate(zip(got["word"].to_pylist(), got["round"].to_pylist(), got["decoded"].to_pylist(), strict=True)):
+                if rounds < ROUNDS:
+                    self.lookup[words[at][0]] = (flat[edges[k] : edges[k + 1]].astype("<u4").tobytes(), bytes.fromhex(decoded))
+                else:
+                    more.append((at, flat[edges[k] : edges[k + 1]]))
+            word = np.array([at for at, _ in more])
+            sizes = np.array([len(x) for _, x in more])
+            tok = np.concatenate([x for _, x in more]) if more else tok
 
 
 def _coder(shared) -> WordCoder:
