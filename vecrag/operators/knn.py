@@ -84,7 +84,7 @@ def knn_exact(emb: DataFrame, queries: DataFrame, k: int, metric: str = "l2", sk
     if shape[0] * (shape[1] or 1) * 8 <= BROADCAST_BYTES:
         rows = queries.select("qid", "qv").collect()
         qids, q = np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows], float)
-        shared = emb.sparkSession.sparkContext.broadcast((qids, q.reshape(len(qids), -1)))
+        shared = emb.sparkSession.sparkContext.broadcast((qids, q.reshape(len(qids), shape[1] or 0)))
 
         def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             qid, qv = shared.value

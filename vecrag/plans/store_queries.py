@@ -34,7 +34,7 @@ def _tables(spark, d):
     return emb, doc, chunk
 
 
-@query("SELECT count(*) AS files, (SELECT count(*) FROM embeddings WHERE vec_id % 10 <> 1) AS vectors, count(*) FILTER (WHERE doc_id % 10 = 0) AS new_files, (SELECT count(*) FROM embeddings WHERE vec_id % 10 = 0) AS new_vectors FROM documents WHERE doc_id % 10 <> 1")
+@query("SELECT count(*) AS files, (SELECT count(*) FROM embeddings WHERE vec_id NOT IN (SELECT doc_id FROM documents WHERE doc_id % 10 = 1)) AS vectors, count(*) FILTER (WHERE doc_id % 10 = 0) AS new_files, (SELECT count(*) FROM embeddings WHERE vec_id % 10 = 0) AS new_vectors FROM documents WHERE doc_id % 10 <> 1")
 def w_status(spark, d):
     """Index status after a build and an update."""
     return store.status(spark, _store(spark, d))
