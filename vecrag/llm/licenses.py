@@ -1,6 +1,6 @@
 """Licence scan with DataFrame functions only: sparse TF-IDF cosine to templates, then inheritance by directory.
 
-Segments of a text (its lines) are compared with licence templates: both are TF-IDF vectors with the templates' own
+Segments of a text (its lines) are compared with licence templates: both are TF-IDF vectors (1 + ln tf) with the templates' own
 inverse document frequencies (words of no template weigh as much as the rarest). Only segments with a cue word are
 looked at: a template's cues are its heaviest words, as many as it takes that the rest of it alone stays under the
 threshold, so no segment that reaches the threshold lacks all cues. Equal segments are compared once. A row's
@@ -22,6 +22,8 @@ from collections import Counter
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from vecrag.llm.common import checkpointed
+
 LEAST = 0.7
 #: Licence notices by SPDX identifier (fixed values).
 TEMPLATES = (
@@ -54,18 +56,25 @@ def vectors(templates=TEMPLATES) -> tuple[dict[str, float], list[tuple[str, dict
     idf = {t: math.log((1 + len(counts)) / (1 + n)) + 1 for t, n in df.items()}
     out = []
     for name, c in counts:
-        w = {t: n * idf[t] for t, n in c.items()}
+        w = {t: (1 + math.log(n)) * idf[t] for t, n in c.items()}
         norm = math.sqrt(sum(x * x for x in w.values()))
         out.append((name, {t: x / norm for t, x in w.items()}))
     return idf, out
 
 
+#: Words that are cues only where a template's other words do not suffice: they are in any text (fixed values).
+COMMON = frozenset("a and are by for from in is not of or that the this to under with you".split())
+
+
 def cues(templates=TEMPLATES, least: float = LEAST) -> list[str]:
-    """Words without any of which no segment reaches the threshold against any template."""
+    """Words without any of which no segment reaches the threshold against any template.
+
+    Of each template, its heaviest uncommon words come first; the rest alone stays under the threshold.
+    """
     found = set()
     for _, w in vectors(templates)[1]:
         left = sum(x * x for x in w.values())
-        for token, x in sorted(w.items(), key=lambda p: (-p[1], p[0])):
+        for token, x in sorted(w.items(), key=lambda p: (p[0] in COMMON, -p[1], p[0])):
             if math.sqrt(max(0.0, left)) < least - 1e-9:
                 break
             found.add(token)
@@ -90,7 +99,7 @@ def compare(segments: DataFrame, templates=TEMPLATES, least: float = LEAST) -> D
     tokens = segments.select("segment", F.explode(F.regexp_extract_all("segment", F.lit(f"({TOKEN})"))).alias("token"))
     tf = tokens.groupBy("segment", "token").agg(F.count("*").alias("tf"))
     # the templates are fixed values of the code, so their tables are broadcast
-    weighted = tf.join(F.broadcast(known), "token", "left").withColumn("w", F.col("tf") * F.coalesce("idf", F.lit(rare)))
+    weighted = tf.join(F.broadcast(known), "token", "left").withColumn("w", (1 + F.log("tf")) * F.coalesce("idf", F.lit(rare)))
     parts = weighted.join(F.broadcast(postings), "token", "left").select("segment", "template", "license", (F.col("w") * F.col("unit")).alias("dot"))
     norms = weighted.groupBy("segment").agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
     dots = parts.where("template is not null").groupBy("segment", "template", "license").agg(F.sum("dot").alias("dot"))
@@ -103,6 +112,7 @@ def scan(df: DataFrame, path: Column, doc_id: str = "doc_id", text: str = "text"
     """doc_id, path, license, score, origin (`own`, `inherited` or null) and from_dir of every row."""
     words = F.regexp_count(F.col(text).cast("string"), F.lit(r"\S+"))
     base = df.select(F.col(doc_id).alias("doc_id"), path.cast("string").alias("path"), F.coalesce(words, F.lit(0)).alias("words"), F.xxhash64(F.col(text)).alias("body"), _segments(F.col(text), templates, least).alias("segments"))
+    base = checkpointed(base)  # one scan of the texts; what is left of a row is small
     row = ["doc_id", "path", "words", "body"]
     lines = base.select(*row, F.posexplode_outer("segments").alias("at", "segment"))
     names = compare(lines.where("segment is not null").select("segment").distinct(), templates, least)
@@ -111,6 +121,7 @@ def scan(df: DataFrame, path: Column, doc_id: str = "doc_id", text: str = "text"
     best = F.min(F.when(F.col("license").isNotNull(), F.struct((-F.col("score")).alias("low"), "license"))).alias("b")
     own = found.groupBy(*row).agg(best, covered.alias("covered"), F.sum(F.when(F.coalesce("at", F.lit(0)) == 0, 1).otherwise(0)).alias("copies"))
     own = own.select(*row, "copies", F.col("b.license").alias("license"), (-F.col("b.low")).alias("score"), (F.col("path").rlike(FILE_NAME) | (2 * F.col("covered") >= F.col("copies") * F.col("words"))).alias("speaks"))
+    own = checkpointed(own)
     folder = F.regexp_replace(F.col("path"), r"/?[^/]*$", "")
     spoken = own.where("license is not null and speaks and path is not null").groupBy(folder.alias("dir")).agg(F.min(F.struct((-F.col("score")).alias("low"), "license")).alias("d"))
     spoken = spoken.select("dir", F.col("d.license").alias("dir_license"), (-F.col("d.low")).alias("dir_score"))
