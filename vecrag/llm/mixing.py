@@ -27,6 +27,8 @@ from vecrag.llm.common import checkpointed
 ENTROPY, REPEATS, BLOCK_ROWS, SEED = 0.95, 2.0, 1000, 42
 #: Sources whose totals may come to the driver; more are refused rather than collected.
 MOST_SOURCES = 1_000_000
+#: Sources whose plans (under 100 bytes each) are broadcast to the rows; beyond, rows and plans are shuffled.
+BROADCAST_SOURCES = 100_000
 
 
 def weights(tokens: np.ndarray, exponent: float) -> np.ndarray:
@@ -56,13 +58,15 @@ def _bisect(low: float, high: float, ok, steps: int = 60) -> float:
 def solve_exponent(tokens: np.ndarray, budget: float, target: float | None = ENTROPY, repeats: float | None = REPEATS) -> float:
     """The largest exponent in [0, 1] whose entropy reaches `target` * ln(sources), raised as far as `repeats` asks.
 
+    Without a target it is the smallest that `repeats` allows; without either it is 1.
+
     Entropy falls and the most-repeated source's passes fall as x rises from 0 (all sources alike) to 1 (as they are).
     """
     tokens = np.asarray(tokens, float)
     live = tokens[tokens > 0]
     if len(live) < 2:
         return 1.0
-    by_entropy = 1.0
+    by_entropy = 1.0 if target is not None or repeats is None else 0.0
     if target is not None and entropy(weights(live, 1.0)) < target * math.log(len(live)):
         by_entropy = 1 - _bisect(0.0, 1.0, lambda y: entropy(weights(live, 1 - y)) >= target * math.log(len(live)))
     by_repeats = 0.0
@@ -107,20 +111,21 @@ def mix(df: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str =
     planned = plan([(r["_s"], r["tokens"]) for r in got], budget, target, repeats)
     count = {r["_s"]: r["n"] for r in got}
     table = [(s, w, p, rest, max(1, -(-count[s] // BLOCK_ROWS))) for s, w, p, rest in planned]
+    small = F.broadcast if len(got) <= BROADCAST_SOURCES else lambda plan: plan
     plans = spark.createDataFrame(table, "_s string, _w double, _p int, _rest double, _blocks long")
     place = F.xxhash64(F.lit(seed), F.col("_p"), F.col("_id"))
     block = F.pmod(F.shiftright(place, 20), F.col("_blocks"))
     # the partial pass: prefix sums over blocks, then over the rows of the one block that the budget cuts
-    last = rows.join(plans.where("_rest > 0"), "_s").withColumn("_place", place).withColumn("_block", block)
+    last = rows.join(small(plans.where("_rest > 0")), "_s").withColumn("_place", place).withColumn("_block", block)
     sums = last.groupBy("_s", "_block").agg(F.sum("_t").alias("_bt"), F.first("_rest").alias("_rest"))
     before = checkpointed(_running(sums))
     cuts = before.where("_start < _rest and _start + _bt >= _rest").groupBy("_s").agg(F.min(F.struct("_block", "_start")).alias("c")).select("_s", "c.*")
-    inside = last.join(cuts, ["_s", "_block"]).groupBy("_s", "_block", "_place").agg(F.sum("_t").alias("_bt"), F.first("_rest").alias("_rest"), F.first("_start").alias("_from"))
+    inside = last.join(small(cuts), ["_s", "_block"]).groupBy("_s", "_block", "_place").agg(F.sum("_t").alias("_bt"), F.first("_rest").alias("_rest"), F.first("_start").alias("_from"))
     edge = _last_place(inside)
     limits = plans.join(cuts.select("_s", F.col("_block").alias("_cut")), "_s", "left").join(edge, "_s", "left")
     limits = checkpointed(limits)
-    # every row meets its source's plan: one row a source
-    out = df.withColumn("_s", key).withColumn("_id", F.col(doc_id)).withColumn("_t", token_count(text)).join(limits, "_s")
+    # every row meets its source's plan: one row a source, broadcast as long as there are few enough
+    out = df.withColumn("_s", key).withColumn("_id", F.col(doc_id)).withColumn("_t", token_count(text)).join(small(limits), "_s")
     out = out.withColumn("_place", place).withColumn("_block", block)
     partial = (F.col("_rest") > 0) & ((F.col("_t") == 0) | F.col("_cut").isNull() | (F.col("_block") < F.col("_cut")) | ((F.col("_block") == F.col("_cut")) & (F.col("_place") <= F.col("_edge"))))
     copies = F.col("_p") + F.when(partial, 1).otherwise(0)
