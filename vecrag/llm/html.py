@@ -143,7 +143,7 @@ def blocks_of(page: str) -> list[Block]:
         closing, attributes = bool(m[1] or m[4]), m[3] or m[6] or ""
         if name in ("br", "wbr", "hr", "img"):
             out.add(" ")
-        if name not in INLINE:
+        if name not in INLINE and name not in UNSEEN:
             out.flush()
         if closing:
             out.close(name)

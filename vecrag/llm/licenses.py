@@ -116,7 +116,8 @@ def scan(df: DataFrame, path: Column, doc_id: str = "doc_id", text: str = "text"
     row = ["doc_id", "path", "words", "body"]
     lines = base.select(*row, F.posexplode_outer("segments").alias("at", "segment"))
     names = compare(lines.where("segment is not null").select("segment").distinct(), templates, least)
-    found = lines.join(names, "segment", "left")
+    told = lines.where("segment is not null").join(names, "segment", "left")  # rows without segments have nothing to join
+    found = told.unionByName(lines.where("segment is null").withColumns({"license": F.lit(None).cast("string"), "score": F.lit(None).cast("double")}))
     covered = F.sum(F.when(F.col("license").isNotNull(), F.regexp_count("segment", F.lit(r"\S+"))).otherwise(0))
     best = F.min(F.when(F.col("license").isNotNull(), F.struct((-F.col("score")).alias("low"), "license"))).alias("b")
     own = found.groupBy(*row).agg(best, covered.alias("covered"), F.sum(F.when(F.coalesce("at", F.lit(0)) == 0, 1).otherwise(0)).alias("copies"))

@@ -29,6 +29,8 @@ RADIUS, WORDS, BITS = 4, 4, 64
 SHARD, MEAN = 20_000, 64
 #: (query, node) pairs looked at in one vectorised step.
 STEP = 1 << 20
+#: More than any distance: keys of tree edges are node * STRIDE + distance.
+STRIDE = 1 << 10
 _LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 
 
@@ -72,6 +74,12 @@ def masks(n: int, radius: int = RADIUS) -> list[int]:
     return [signed(sum(c)) for c in combinations(block, blocks - radius)]
 
 
+def differing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Differing bits of fingerprints row by row: one 64-bit word each, or several as columns."""
+    bits = np.bitwise_count(a ^ b)
+    return bits.astype(np.int64) if bits.ndim == 1 else bits.sum(1, dtype=np.int64)
+
+
 def bk_forest(fp: np.ndarray, group: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """One BK-tree for each group: (root of each row, parent of each row, distance to it).
 
@@ -90,8 +98,8 @@ def bk_forest(fp: np.ndarray, group: np.ndarray) -> tuple[np.ndarray, np.ndarray
             root[rows], first_round = node, False
         waiting, node = rows[~head], node[~head]
         parent[waiting] = node
-        edge[waiting] = np.bitwise_count(fp[waiting] ^ fp[node])
-        code[waiting] = node * (BITS + 1) + edge[waiting]
+        edge[waiting] = differing(fp[waiting], fp[node])
+        code[waiting] = node * STRIDE + edge[waiting]
     return root, parent, edge
 
 
@@ -99,7 +107,7 @@ def linked(fp: np.ndarray, group: np.ndarray, radius: int = RADIUS) -> np.ndarra
     """For each row the smallest row of its group that is reachable by links within the radius."""
     root, parent, edge = bk_forest(fp, group)
     children = np.flatnonzero(parent >= 0)
-    keys = parent[children] * (BITS + 1) + edge[children]
+    keys = parent[children] * STRIDE + edge[children]
     order = np.argsort(keys, kind="stable")
     keys, children = keys[order], children[order]
     label = np.arange(len(fp))
@@ -110,7 +118,7 @@ def linked(fp: np.ndarray, group: np.ndarray, radius: int = RADIUS) -> np.ndarra
             half = len(query) // 2
             stack += [(query[:half], node[:half]), (query[half:], node[half:])]
             continue
-        d = np.bitwise_count(fp[query] ^ fp[node]).astype(np.int64)
+        d = differing(fp[query], fp[node])
         near = d <= radius
         a, b = query[near], node[near]
         while len(a):
@@ -122,8 +130,8 @@ def linked(fp: np.ndarray, group: np.ndarray, radius: int = RADIUS) -> np.ndarra
                 label = label[label]
             apart = label[a] != label[b]
             a, b = a[apart], b[apart]
-        lo = np.searchsorted(keys, node * (BITS + 1) + np.maximum(0, d - radius))
-        hi = np.searchsorted(keys, node * (BITS + 1) + np.minimum(BITS, d + radius), "right")
+        lo = np.searchsorted(keys, node * STRIDE + np.maximum(0, d - radius))
+        hi = np.searchsorted(keys, node * STRIDE + np.minimum(STRIDE - 1, d + radius), "right")
         width = hi - lo
         some = width > 0
         query, lo, width = query[some], lo[some], width[some]
@@ -141,9 +149,10 @@ def _shard_links(radius: int):
 
         def solve(rows: np.ndarray) -> pa.RecordBatch:
             change = np.append(True, (rows[1:, :4] != rows[:-1, :4]).any(1))
-            label = linked(rows[:, 4].astype(np.int64).view(np.uint64), np.cumsum(change), radius)
+            fp = np.ascontiguousarray(rows[:, 5:]).view(np.uint64)
+            label = linked(fp[:, 0] if fp.shape[1] == 1 else fp, np.cumsum(change), radius)
             moved = np.flatnonzero(label != np.arange(len(label)))
-            return pa.RecordBatch.from_arrays([pa.array(rows[moved, 5]), pa.array(rows[label[moved], 5])], ["a", "b"])
+            return pa.RecordBatch.from_arrays([pa.array(rows[moved, 4]), pa.array(rows[label[moved], 4])], ["a", "b"])
 
         for batch in batches:
             rows = np.column_stack([c.to_numpy(zero_copy_only=False) for c in batch.columns]).astype(np.int64)
@@ -163,17 +172,24 @@ def _shard_links(radius: int):
 
 def near_links(reps: DataFrame, radius: int = RADIUS) -> DataFrame:
     """Links (a, b) that connect all `reps` (fp, rep) whose distinct fingerprints are within the radius, by shard."""
-    n = reps.count()
-    choices = masks(n, radius)
+    choices = masks(reps.count(), radius)
     keyed = reps.select("fp", "rep", F.explode(F.array(*(F.struct(F.lit(k).alias("choice"), F.col("fp").bitwiseAND(F.lit(m)).alias("bits")) for k, m in enumerate(choices)))).alias("s")).select("s.choice", "s.bits", "fp", "rep")
+    return _by_shard(keyed, ["fp"], radius)
+
+
+def _by_shard(keyed: DataFrame, words: list[str], radius: int) -> DataFrame:
+    """Links within the radius of all rows (choice, bits, rep, words..) that share choice and bits."""
     hot = keyed.groupBy("choice", "bits").agg(F.count("*").alias("members")).where(F.col("members") > SHARD)
     hot = checkpointed(hot.select("choice", "bits", F.ceil(F.col("members") / SHARD).cast("int").alias("parts")))
-    keyed = keyed.join(hot, ["choice", "bits"], "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
-    own = F.pmod(F.xxhash64("fp"), F.col("parts")).cast("int")
-    keyed = keyed.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    keyed = keyed.select("choice", "bits", F.least("own", "other").alias("low"), F.greatest("own", "other").alias("high"), "fp", "rep")
     keys = ["choice", "bits", "low", "high"]
-    return keyed.repartition(*keys).sortWithinPartitions(*keys, "fp").mapInArrow(_shard_links(radius), "a long, b long")
+    if hot.isEmpty():
+        dealt = keyed.select("choice", "bits", F.lit(0).alias("low"), F.lit(0).alias("high"), "rep", *words)
+    else:
+        dealt = keyed.join(hot, ["choice", "bits"], "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
+        own = F.pmod(F.xxhash64(*words), F.col("parts")).cast("int")
+        dealt = dealt.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+        dealt = dealt.select("choice", "bits", F.least("own", "other").alias("low"), F.greatest("own", "other").alias("high"), "rep", *words)
+    return dealt.repartition(*keys).sortWithinPartitions(*keys, *words).mapInArrow(_shard_links(radius), "a long, b long")
 
 
 def cluster(df: DataFrame, doc_id: str = "doc_id", text: str = "text", radius: int = RADIUS, words: int = WORDS) -> DataFrame:
@@ -186,15 +202,101 @@ def cluster(df: DataFrame, doc_id: str = "doc_id", text: str = "text", radius: i
     return out.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def keep_one(df: DataFrame, doc_id: str = "doc_id", text: str = "text", radius: int = RADIUS, words: int = WORDS) -> DataFrame:
-    """The row of each component with its smallest id, all columns kept; rows with a null id stay.
+# -- similarity of five-word shingle sets ------------------------------------------------------------------------------
+#: Words of a wide fingerprint, its shingle length, and the recall that the number of keys is chosen for.
+WIDE, SHINGLE, SIMILARITY, RECALL = 4, 5, 0.8, 0.97
+#: Members of a shard that the length of keys aims at.
+PER_KEY = 2
+
+
+def wide_fingerprint(text: str | None, words: int = SHINGLE) -> np.ndarray:
+    """WIDE * 64 majority bits over the distinct word shingles, as signed 64-bit integers."""
+    import xxhash
+
+    tokens = (text or "").encode().translate(_LOWER).split()
+    if not tokens:
+        return np.zeros(WIDE, np.int64)
+    joined = b" ".join(tokens)
+    ends = np.cumsum([len(t) + 1 for t in tokens])
+    starts = [0, *ends[:-1].tolist()]
+    last = max(1, len(tokens) - words + 1)
+    stops = (ends[min(words, len(tokens)) - 1 :] - 1).tolist()
+    digest = xxhash.xxh3_128_digest
+    distinct = {joined[a:b] for a, b in zip(starts[:last], stops, strict=False)}
+    h = np.frombuffer(b"".join([digest(s, k) for s in distinct for k in range(WIDE // 2)]), np.uint8).reshape(len(distinct), WIDE * 8)
+    ones = np.zeros(WIDE * 64, np.int64)
+    for at in range(0, len(h), 4096):
+        ones += np.unpackbits(h[at : at + 4096], axis=1, bitorder="little").sum(0, dtype=np.int64)
+    return np.packbits(2 * ones > len(h), bitorder="little").view("<i8")
+
+
+def differing_share(similarity: float) -> float:
+    """Expected share of differing bits at a Jaccard index: the angle between the sets' indicator vectors over pi."""
+    return float(np.arccos(min(1.0, 2 * similarity / (1 + similarity))) / np.pi)
+
+
+def bit_keys(n: int, similarity: float = SIMILARITY, recall: float = RECALL) -> np.ndarray:
+    """Bit positions of each key for n fingerprints: long enough for small shards, as many as the recall asks for.
+
+    The recall is for pairs half-way between the similarity and 1; closer pairs are found more surely, and copies of
+    one text meet through each other.
+    """
+    length = int(min(40, max(12, np.ceil(np.log2(max(2, n) / PER_KEY)))))
+    hit = (1 - differing_share((1 + similarity) / 2)) ** length
+    keys = int(np.ceil(np.log(1 - recall) / np.log(1 - hit)))
+    rng = np.random.default_rng(42)
+    return np.array([np.sort(rng.choice(WIDE * 64, length, replace=False)) for _ in range(keys)])
+
+
+def similar(df: DataFrame, doc_id: str = "doc_id", text: str = "text", similarity: float = SIMILARITY, words: int = SHINGLE) -> DataFrame:
+    """doc_id, body (hash of the wide fingerprint) and component_id: texts linked where the differing bits of their
+    WIDE * 64 fall within those expected at the Jaccard index `similarity` of their word shingle sets.
+
+    That radius leaves no blocks to agree on, so fingerprints meet in shards by sampled bits instead (`bit_keys`), each
+    searched as a BK-tree; equal fingerprints always meet.
+    """
+    names = [f"w{k}" for k in range(WIDE)]
+
+    def work(piece: pa.RecordBatch) -> pa.RecordBatch:
+        fp = np.array([wide_fingerprint(t, words) for t in piece.column("text").to_pylist()], np.int64).reshape(-1, WIDE)
+        return pa.RecordBatch.from_arrays([piece.column("key"), *(pa.array(fp[:, k]) for k in range(WIDE))], ["key", *names])
+
+    given = df.select(F.col(doc_id).cast("long").alias("key"), F.col(text).cast("string").alias("text"))
+    kinds = ", ".join(f"{w} long" for w in names)
+    prints = checkpointed(map_slices(given, "text", work, f"key long, {kinds}").withColumnRenamed("key", "doc_id"))
+    reps = checkpointed(prints.groupBy(*names).agg(F.min("doc_id").alias("rep")))
+    some = reps.where("rep is not null")
+    places = bit_keys(some.count(), similarity)
+    radius = int(round(WIDE * 64 * differing_share(similarity)))
+
+    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        power = (1 << np.arange(places.shape[1])).astype(np.int64)
+        for batch in batches:
+            for at in range(0, batch.num_rows, 2000):
+                piece = batch.slice(at, 2000)
+                fp = np.column_stack([piece.column(w).to_numpy() for w in names])
+                bits = np.unpackbits(np.ascontiguousarray(fp).view(np.uint8), axis=1, bitorder="little").astype(np.int64)
+                found = np.column_stack([bits[:, p] @ power for p in places])
+                n, m = found.shape
+                again = np.repeat(np.arange(n), m)
+                yield pa.RecordBatch.from_arrays([pa.array(np.tile(np.arange(m, dtype=np.int64), n)), pa.array(found.ravel()), pa.array(piece.column("rep").to_numpy()[again]), *(pa.array(fp[again, k]) for k in range(WIDE))], ["choice", "bits", "rep", *names])
+
+    keyed = some.select("rep", *names).mapInArrow(keys, f"choice long, bits long, rep long, {kinds}")
+    found = components(_by_shard(keyed, names, radius))
+    home = reps.join(found.withColumnRenamed("node", "rep"), "rep", "left").select(*names, F.coalesce("component", "rep").alias("component_id"))
+    return prints.join(home, names).select("doc_id", F.xxhash64(*names).alias("body"), "component_id")
+
+
+def keep_one(df: DataFrame, doc_id: str = "doc_id", text: str = "text", similarity: float = SIMILARITY, words: int = SHINGLE) -> DataFrame:
+    """Of each group of similar texts the row with the smallest id stays, with all its columns; so do rows without id.
 
     Rows that repeat both id and text count once.
     """
-    groups = cluster(df, doc_id, text, radius, words)
+    groups = similar(df, doc_id, text, similarity, words)
+    groups = checkpointed(groups.where("doc_id is not null"))
     going = groups.where("doc_id <> component_id").select(F.col("doc_id").alias("gone")).distinct()
     kept = df.join(going, F.col(doc_id) == F.col("gone"), "left_anti")
-    repeated = groups.where("doc_id is not null").groupBy("doc_id", "fingerprint").agg(F.count("*").alias("n")).where("n > 1")
+    repeated = groups.groupBy("doc_id", "body").agg(F.count("*").alias("n")).where("n > 1")
     if repeated.isEmpty():
         return kept
     return kept.withColumn("_same", F.xxhash64(F.col(text))).dropDuplicates([doc_id, "_same"]).drop("_same")
