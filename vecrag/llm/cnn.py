@@ -16,6 +16,7 @@ equal scores; whole texts are read; labels that are null are not learned from.
 from __future__ import annotations
 
 import re
+from array import array
 from collections import Counter
 from dataclasses import dataclass, field
 
@@ -33,7 +34,7 @@ SAMPLE_ROWS, SAMPLE_CHARS, SEED = 1500, 30_000, 42
 CUT = 0.3
 WORD = re.compile(r"[^\W_]+")
 #: Words whose projected vectors a worker remembers before it starts anew.
-REMEMBERED = 200_000
+REMEMBERED = 150_000
 
 
 def pieces(word: str) -> list[int]:
@@ -47,6 +48,16 @@ def pieces(word: str) -> list[int]:
     return out
 
 
+def flat_pieces(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """The pieces of all words in one array, and how many each word has."""
+    flat, sizes = array("i"), array("i")
+    for w in words:
+        found = pieces(w)
+        flat.extend(found)
+        sizes.append(len(found))
+    return np.frombuffer(flat, np.int32) if flat else np.zeros(0, np.int32), np.array(sizes, np.int64)
+
+
 @dataclass
 class Model:
     table: np.ndarray  # BUCKETS x DIM
@@ -77,6 +88,13 @@ LAYOUT = _layout()
 COLUMNS = sum(WIDTHS) * FILTERS
 
 
+def _close(conv: np.ndarray, starts: np.ndarray, width: int) -> None:
+    """Take out windows that reach over the end of a text's padding into the next text."""
+    ends = np.append(starts[1:], len(conv))
+    for k in range(1, width):
+        conv[ends - k] = -np.inf
+
+
 class Scorer:
     """Applies a model in one worker; projected word vectors are computed once a distinct word."""
 
@@ -89,9 +107,7 @@ class Scorer:
         self.rows = np.zeros((1024, COLUMNS), np.float32)
 
     def _learn(self, words: list[str]) -> None:
-        lists = [pieces(w) for w in words]
-        sizes = np.array([len(x) for x in lists])
-        flat = np.concatenate([np.array(x, np.int64) for x in lists])
+        flat, sizes = flat_pieces(words)
         starts = np.cumsum(sizes) - sizes
         mean = np.add.reduceat(self.model.table[flat], starts, axis=0) / sizes[:, None]
         at = len(self.row_of) + 1  # row 0 is the padding word
@@ -108,20 +124,20 @@ class Scorer:
             new = list(set().union(*found))
         for k in range(0, len(new), 20_000):
             self._learn(new[k : k + 20_000])
-        pad, get = max(WIDTHS) - 1, self.row_of.__getitem__
+        pad, get = max(WIDTHS), self.row_of.__getitem__
         out = np.empty(len(texts))
         at = 0
         while at < len(texts):
             end, size = at, 0
             while end < len(texts) and (end == at or size + len(found[end]) <= 30_000):
-                size += len(found[end]) + pad + 1
+                size += len(found[end]) + pad
                 end += 1
             index: list[int] = []
             starts = []
             for words in found[at:end]:
                 starts.append(len(index))
                 index += map(get, words)
-                index += [0] * (pad + 1)
+                index += [0] * pad
             out[at:end] = self._forward(np.array(index), np.array(starts))
             at = end
         return out
@@ -134,6 +150,7 @@ class Scorer:
             for j, offset, cols in LAYOUT:
                 if j == k:
                     conv[: len(index) - offset] += seen[offset:, cols]
+            _close(conv, starts, width)
             pooled.append(np.maximum(np.maximum.reduceat(conv, starts, axis=0), 0))
         return np.hstack(pooled) @ self.model.top + self.model.top_bias
 
@@ -145,13 +162,13 @@ def fit(texts: list[str], labels: np.ndarray, langs: list[str | None] | None = N
     """Train on (text, 0/1 label) rows; langs only group the rows for threshold calibration."""
     rng = np.random.default_rng(seed)
     y = np.asarray(labels, np.float64)
-    found = [WORD.findall(t.lower()) for t in texts]
-    vocabulary = sorted(set().union(*found)) if found else []
-    row_of = {w: k for k, w in enumerate(vocabulary)}
-    lists = [pieces(w) for w in vocabulary]
-    docs = [np.array([row_of[w] for w in words], np.int64) for words in found]
-    table = rng.normal(0, 0.05, (BUCKETS, DIM)).astype(np.float64)
-    table[:, 0] = _log_odds(docs, lists, y)
+    row_of: dict[str, int] = {}
+    docs = [np.array([row_of.setdefault(w, len(row_of)) for w in WORD.findall(t.lower())], np.int32) for t in texts]
+    flat, sizes = flat_pieces(list(row_of))
+    del row_of
+    starts = np.cumsum(sizes) - sizes
+    table = rng.normal(0, 0.05, (BUCKETS, DIM)).astype(np.float32)
+    table[:, 0] = _log_odds(docs, flat, starts, sizes, y)
     filters = rng.normal(0, 0.3, (DIM, COLUMNS))
     for j, offset, cols in LAYOUT:
         filters[0, cols] = np.linspace(0.5, 1.5, FILTERS) / (WIDTHS[j])
@@ -160,10 +177,8 @@ def fit(texts: list[str], labels: np.ndarray, langs: list[str | None] | None = N
         model.top_bias = -4.0 if not len(y) or y.max() == 0 else 4.0
         model.top[:] = 0
         return model
-    sizes = np.array([len(x) for x in lists])
-    flat = np.concatenate([np.array(x, np.int64) for x in lists])
-    starts = np.cumsum(sizes) - sizes
-    embedded = np.add.reduceat(model.table[flat], starts, axis=0) / sizes[:, None]
+    embedded = np.vstack([_means(model.table, flat, starts, sizes, at, at + 50_000) for at in range(0, len(sizes), 50_000)])
+    del flat
     params = {"embedded": embedded, "filters": model.filters, "bias": model.bias, "top": model.top, "top_bias": np.array([model.top_bias])}
     slow = {"embedded"}  # word vectors are tuned through the filters only, so that unseen forms stay comparable
     m, v = ({k: np.zeros_like(p) for k, p in params.items()} for _ in range(2))
@@ -184,12 +199,20 @@ def fit(texts: list[str], labels: np.ndarray, langs: list[str | None] | None = N
     return model
 
 
-def _log_odds(docs: list[np.ndarray], lists: list[list[int]], y: np.ndarray) -> np.ndarray:
+def _means(table: np.ndarray, flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray, a: int, b: int) -> np.ndarray:
+    """Mean piece vectors of the words a..b."""
+    first = starts[a]
+    last = starts[b] if b < len(starts) else len(flat)
+    return np.add.reduceat(table[flat[first:last]], starts[a:b] - first, axis=0) / sizes[a:b, None].astype(np.float32)
+
+
+def _log_odds(docs: list[np.ndarray], flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray, y: np.ndarray) -> np.ndarray:
     """Smoothed log odds of a bucket's presence in texts labelled 1 against 0, shrunk where it was seen rarely."""
     hits = np.zeros((2, BUCKETS))
     for words, label in zip(docs, y, strict=True):
-        seen = {b for w in np.unique(words).tolist() for b in lists[w]}
-        hits[int(label), list(seen)] += 1
+        seen = [flat[starts[w] : starts[w] + sizes[w]] for w in np.unique(words)]
+        if seen:
+            hits[int(label), np.unique(np.concatenate(seen))] += 1
     n = np.array([max(1, (y == 0).sum()), max(1, (y == 1).sum())])
     odds = np.log((hits[1] + 0.5) / (n[1] + 1)) - np.log((hits[0] + 0.5) / (n[0] + 1))
     support = hits.sum(0)
@@ -208,6 +231,7 @@ def _gradients(params: dict, docs: list[np.ndarray], y: np.ndarray, weight: np.n
         for j, offset, cols in LAYOUT:
             if j == k:
                 conv[: len(index) - offset] += seen[offset:, cols]
+        _close(conv, starts, WIDTHS[k])
         top = np.maximum.reduceat(conv, starts, axis=0)
         at = np.empty(top.shape, np.int64)
         for d, (a, b) in enumerate(zip(starts, [*starts[1:], len(index)], strict=True)):
@@ -242,7 +266,9 @@ def _best_cut(p: np.ndarray, y: np.ndarray) -> float:
 
 
 def _calibrate(model: Model, texts: list[str], y: np.ndarray, langs: list[str | None] | None) -> None:
-    p = 1 / (1 + np.exp(-np.clip(Scorer(model).logits(texts), -50, 50)))
+    scorer = Scorer(model)
+    logits = np.concatenate([scorer.logits(texts[k : k + 100]) for k in range(0, len(texts), 100)])
+    p = 1 / (1 + np.exp(-np.clip(logits, -50, 50)))
     model.common = _best_cut(p, y)
     scores = model.curve(p)
     names = np.array([x or "" for x in langs]) if langs else np.zeros(0)
