@@ -1,11 +1,15 @@
 """Condensation of retrieved documents: sentence windows, the best window for a query, its neighbours, new order.
 
 Only retrieved (query, document) pairs are touched. Sentences, windows and window vectors are made once a document;
-everything is an expression or a two-phase aggregate, no Python.
+everything but the dense form of a vector is an expression or a two-phase aggregate.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -36,9 +40,22 @@ def sparse_vectors(owners: DataFrame, keys: list[str], idf: DataFrame, dim: int
 
 
 def dense_vectors(sparse: DataFrame, keys: list[str], dim: int = DIM) -> DataFrame:
-    """(keys, v): the sparse rows as arrays, for the vector index."""
-    maps = sparse.groupBy(*keys).agg(F.map_from_entries(F.collect_list(F.struct("bucket", "w"))).alias("m"))
-    return maps.select(*keys, F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda b: F.coalesce(F.element_at("m", b), F.lit(0.0))).alias("v"))
+    """(keys, v): the sparse rows as arrays, for the vector index; scattered in Arrow batches, not looked up per bucket."""
+    lists = sparse.groupBy(*keys).agg(F.collect_list("bucket").alias("_b"), F.collect_list("w").alias("_w"))
+    kinds = ", ".join(f"{k} {sparse.schema[k].dataType.simpleString()}" for k in keys)
+
+    def scatter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 4096):
+                part = batch.slice(at, 4096)
+                b, w = part.column("_b"), part.column("_w")
+                rows = np.repeat(np.arange(part.num_rows), np.diff(b.offsets.to_numpy()))
+                dense = np.zeros((part.num_rows, dim))
+                dense[rows, b.flatten().to_numpy()] = w.flatten().to_numpy()
+                v = pa.ListArray.from_arrays(pa.array(np.arange(0, dense.size + 1, dim, dtype=np.int32)), pa.array(dense.ravel()))
+                yield pa.RecordBatch.from_arrays([*(part.column(k) for k in keys), v], [*keys, "v"])
+
+    return lists.mapInArrow(scatter, f"{kinds}, v array<double>")
 
 
 # -- steps -------------------------------------------------------------------------------------------------------------

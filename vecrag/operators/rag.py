@@ -11,6 +11,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from vecrag.functions import vector as V
+from vecrag.operators import baselines, partition
 from vecrag.operators import condense as C
 from vecrag.operators import index as two_tier
 
@@ -91,6 +92,20 @@ def rag_reranked(docs: DataFrame, queries: DataFrame, idf: DataFrame, k: int = K
     return with_text(ranked, docs)
 
 
+def rag_disk(docs: DataFrame, queries: DataFrame, idf: DataFrame, path: str, k: int = K, n_c: int = 8, n_p: int = 4, dim: int = C.DIM) -> DataFrame:
+    """Inverted lists of document vectors written to `path`; only probed buckets are read, then whole documents.
+
+    How many loads a cache of lists saves is reported by scale.cache_report.
+    """
+    spark = docs.sparkSession
+    dv = C.dense_vectors(C.sparse_vectors(docs, ["doc_id"], idf, dim), ["doc_id"], dim).select(F.col("doc_id").alias("id"), "v")
+    cents = partition.fit_partitions(dv, n_c, rounds=1)
+    baselines.save_lists(partition.assign(dv, cents), path)
+    qv = C.dense_vectors(C.sparse_vectors(queries, ["qid"], idf, dim, "query"), ["qid"], dim).select((-F.col("qid") - 1).alias("qid"), F.col("v").alias("qv"))
+    found = baselines.ivf_disk_search(spark, path, cents, qv, k, n_p)  # query ids below 0: no document is taken for the query itself
+    return with_text(found.select((-F.col("qid") - 1).alias("qid"), F.col("id").alias("doc_id"), "rank"), docs)
+
+
 def rag_iterative(docs: DataFrame, queries: DataFrame, idf: DataFrame, k: int = K, rounds: int = 2) -> DataFrame:
     """Retrieval repeated with each query's best sentence so far appended to it."""
     asked = queries.select("qid", "query")

@@ -9,7 +9,7 @@ from vecrag import sources
 from vecrag.functions import vector as V
 from vecrag.operators import condense as C
 from vecrag.operators import corpus, measure, rag
-from vecrag.plans.shared import query
+from vecrag.plans.shared import folder, query
 
 DIM, K = C.DIM, rag.K
 
@@ -258,6 +258,13 @@ def rag_two_tier_indexed(spark, d):
     return _ctx(rag.rag_two_tier(docs, q, idf, ranked=ranks))
 
 
+@query(f"WITH {BASE}, {PLAIN} SELECT {CTX} FROM plain")
+def rag_disk(spark, d):
+    """Disk-backed pipeline: lists of document vectors on disk, all probed here, so that it equals the plain one."""
+    docs, q, idf = _base(spark, d)
+    return _ctx(rag.rag_disk(docs, q, idf.cache(), folder(spark), n_c=8, n_p=8))
+
+
 def _small_sql(per: int) -> str:
     body = _chunk_sql(per).split("WITH ", 1)[1]
     head, tail = body[: body.rindex("\n    SELECT doc_id, CAST(first")], body[body.rindex("\n    SELECT doc_id, CAST(first") :]
