@@ -99,10 +99,12 @@ def rag_disk(docs: DataFrame, queries: DataFrame, idf: DataFrame, path: str, k:
     """
     spark = docs.sparkSession
     dv = C.dense_vectors(C.sparse_vectors(docs, ["doc_id"], idf, dim), ["doc_id"], dim).select(F.col("doc_id").alias("id"), "v")
+    dv.write.mode("overwrite").parquet(f"{path}/vectors")  # made once, read by every pass over them
+    dv = spark.read.parquet(f"{path}/vectors")
     cents = partition.fit_partitions(dv, n_c, rounds=1)
-    baselines.save_lists(partition.assign(dv, cents), path)
+    baselines.save_lists(partition.assign(dv, cents), f"{path}/lists")
     qv = C.dense_vectors(C.sparse_vectors(queries, ["qid"], idf, dim, "query"), ["qid"], dim).select((-F.col("qid") - 1).alias("qid"), F.col("v").alias("qv"))
-    found = baselines.ivf_disk_search(spark, path, cents, qv, k, n_p)  # query ids below 0: no document is taken for the query itself
+    found = baselines.ivf_disk_search(spark, f"{path}/lists", cents, qv, k, n_p)  # query ids below 0: no document is taken for the query itself
     return with_text(found.select((-F.col("qid") - 1).alias("qid"), F.col("id").alias("doc_id"), "rank"), docs)
 
 

@@ -253,7 +253,8 @@ def rag_two_tier_indexed(spark, d):
     docs, q, idf = _base(spark, d)
     idf = idf.cache()
     dv = C.dense_vectors(C.sparse_vectors(docs, ["doc_id"], idf), ["doc_id"]).select(F.col("doc_id").alias("id"), "v")
-    idx = two_tier.build_index(dv, n_c=8, rounds=1)
+    dv.write.parquet(at := folder(spark))  # made once, read by every pass over them
+    idx = two_tier.save_index(two_tier.build_index(spark.read.parquet(at), n_c=8, rounds=1), folder(spark))
     ranks = rag.index_ranks(idx, q, idf, n_p=8, ef_c=4096, ef_l=4096)
     return _ctx(rag.rag_two_tier(docs, q, idf, ranked=ranks))
 
