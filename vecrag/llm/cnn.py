@@ -16,7 +16,6 @@ equal scores; whole texts are read; labels that are null are not learned from.
 from __future__ import annotations
 
 import re
-from array import array
 from collections import Counter
 from dataclasses import dataclass, field
 
@@ -33,29 +32,56 @@ SAMPLE_ROWS, SAMPLE_CHARS, SEED = 1500, 30_000, 42
 #: Score at which the query contract calls a text toxic.
 CUT = 0.3
 WORD = re.compile(r"[^\W_]+")
+#: Lengths of character n-grams, and characters of a word that its pieces are made of.
+GRAMS, LONGEST = (3, 4, 5), 40
+#: Words hashed or projected in one step.
+AT_ONCE = 20_000
 #: Words whose projected vectors a worker remembers before it starts anew.
 REMEMBERED = 150_000
 
 
-def pieces(word: str) -> list[int]:
-    """Buckets of a word and its character n-grams."""
-    from xxhash import xxh32_intdigest
+#: Odd multiplier of the polynomial hash and the finishing multiplier (fixed values).
+_STEP, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xFF51AFD7ED558CCD)
+_POWERS = np.cumprod(np.full(64, _STEP, np.uint64))
 
-    marked = f"<{word[:40]}>"
-    out = [xxh32_intdigest(marked) % BUCKETS]
-    for n in (3, 4, 5):
-        out += [xxh32_intdigest(marked[k : k + n]) % BUCKETS for k in range(len(marked) - n + 1)]
-    return out
+
+def _bucket(h: np.ndarray) -> np.ndarray:
+    h = (h ^ (h >> np.uint64(33))) * _MIX
+    return ((h >> np.uint64(40)) % np.uint64(BUCKETS)).astype(np.int32)
 
 
 def flat_pieces(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """The pieces of all words in one array, and how many each word has."""
-    flat, sizes = array("i"), array("i")
-    for w in words:
-        found = pieces(w)
-        flat.extend(found)
-        sizes.append(len(found))
-    return np.frombuffer(flat, np.int32) if flat else np.zeros(0, np.int32), np.array(sizes, np.int64)
+    """Buckets of each word's pieces in one array, word by word, and how many pieces each word has.
+
+    Pieces are the word itself and its character n-grams with border marks; a piece's hash is a polynomial in its code
+    points, so all words are hashed at once.
+    """
+    if not words:
+        return np.zeros(0, np.int32), np.zeros(0, np.int64)
+    if len(words) > AT_ONCE:
+        parts = [flat_pieces(words[k : k + AT_ONCE]) for k in range(0, len(words), AT_ONCE)]
+        return np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
+    marked = [f"<{w[:LONGEST]}>" for w in words]
+    size = np.array([len(m) for m in marked])
+    code = np.frombuffer("".join(marked).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64) + np.uint64(1)
+    start = np.cumsum(size) - size
+    word = np.repeat(np.arange(len(words)), size)
+    place = np.arange(len(code)) - start[word]
+    whole = np.add.reduceat(code * _POWERS[place], start)
+    owners, found = [np.arange(len(words))], [_bucket(whole)]
+    for n in GRAMS:
+        last = len(code) - n + 1
+        if last <= 0:
+            continue
+        h = np.full(last, n, np.uint64)
+        for k in range(n):
+            h = h * _STEP + code[k : k + last]
+        inside = place[:last] + n <= size[word[:last]]
+        owners.append(word[:last][inside])
+        found.append(_bucket(h[inside]))
+    owner = np.concatenate(owners)
+    order = np.argsort(owner, kind="stable")
+    return np.concatenate(found)[order], np.bincount(owner, minlength=len(words))
 
 
 @dataclass
@@ -122,8 +148,8 @@ class Scorer:
         if len(self.row_of) + len(new) > REMEMBERED:
             self._reset()
             new = list(set().union(*found))
-        for k in range(0, len(new), 20_000):
-            self._learn(new[k : k + 20_000])
+        for k in range(0, len(new), AT_ONCE):
+            self._learn(new[k : k + AT_ONCE])
         pad, get = max(WIDTHS), self.row_of.__getitem__
         out = np.empty(len(texts))
         at = 0
