@@ -520,8 +520,7 @@ def test_op9_hard_words(encoding):
     words = regex.findall(public_tokenizers.PATTERN, "a" * 300 + " " + "".join(rng.choice(list("abcdefgh"), 700)) + " 日本語日本 \U0001f600 <|endoftext|> don't \n\n  x  y " + "é" * 90)
     coder.learn(words)
     for w in words:
-        ids, raw = coder.lookup[w]
-        assert np.frombuffer(ids, "<u4").tolist() == encoding.encode_ordinary(w) and raw == w.encode()
+        assert np.frombuffer(coder.ids_of[w], "<u4").tolist() == encoding.encode_ordinary(w) and coder.decoded_of[w] == w.encode()
 
 
 def test_op9_round_trip_and_edges(spark, odd, encoding):

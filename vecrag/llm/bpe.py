@@ -24,42 +24,45 @@ from pyspark.sql import functions as F
 from vecrag.llm.common import slices
 
 #: Words in one recursive query: bounds DuckDB's memory.
-WORDS = 15_000
+WORDS = 10_000
 #: Words a task remembers before it starts anew.
-REMEMBERED = 600_000
+REMEMBERED = 500_000
 #: Rounds of one recursive query; a word that needs more goes on from where it stopped. With LONG_BYTES, the most
 #: bytes of a query whose words may need all rounds, this bounds the rows that a query holds.
 ROUNDS, LONG_BYTES = 64, 40_000
 
-#: State rows are (word, pos, tok, round). A round contracts one pair of each word that still has one.
-#: `nxt` is the id right of a row; `key` names a pair in the merge table.
+#: State rows are (word, pos, tok, nxt, round): `nxt` is the position of the word's next token. A round contracts one
+#: pair of each word that still has one; `key` names a pair in the merge table.
 MERGE_SQL = """
-WITH RECURSIVE state(word, pos, tok, round) AS (
-    SELECT word, pos, tok, 0 FROM start
+WITH RECURSIVE state(word, pos, tok, nxt, round) AS (
+    SELECT word, pos, tok, nxt, 0 FROM start
   UNION ALL
-    SELECT word, pos, tok, round FROM (
-        WITH beside AS (
-            SELECT word, pos, tok, round,
-                   lead(tok) OVER w AS nxt, lead(pos) OVER w AS nxt_pos
-            FROM state WINDOW w AS (PARTITION BY word ORDER BY pos)
+    SELECT word, pos, tok, nxt, round FROM (
+        WITH pairs AS (
+            SELECT a.word, m.rank * 4294967296 + a.pos AS pick, b.pos AS gone, b.nxt AS after
+            FROM state a JOIN state b ON b.word = a.word AND b.pos = a.nxt JOIN merges m ON m.key = a.tok * 65536 + b.tok
         ), best AS (
-            SELECT b.word, min(m.rank * 4294967296 + b.pos) AS pick, arg_min(b.nxt_pos, m.rank * 4294967296 + b.pos) AS gone
-            FROM beside b JOIN merges m ON m.key = b.tok * 65536 + b.nxt
-            GROUP BY b.word
+            SELECT word, min(pick) AS pick, arg_min(gone, pick) AS gone, arg_min(after, pick) AS after FROM pairs GROUP BY word
         )
-        SELECT s.word, s.pos,
+        SELECT s.word, s.pos, s.round + 1 AS round,
                CASE WHEN s.pos = best.pick % 4294967296 THEN best.pick // 4294967296 ELSE s.tok END AS tok,
-               s.round + 1 AS round
+               CASE WHEN s.pos = best.pick % 4294967296 THEN best.after ELSE s.nxt END AS nxt
         FROM state s JOIN best ON s.word = best.word
         WHERE s.pos <> best.gone AND s.round < $rounds
     )
 ), final AS (
     SELECT word, max(round) AS round FROM state GROUP BY word
 )
-SELECT s.word, any_value(s.round) AS round, list(s.tok ORDER BY s.pos) AS ids, string_agg(v.hex, '' ORDER BY s.pos) AS decoded
-FROM state s JOIN final f ON s.word = f.word AND s.round = f.round JOIN vocab v ON v.tok = s.tok
-GROUP BY s.word
+SELECT word, any_value(round) AS round, {aggregates}
+FROM (SELECT s.word, s.pos, s.round, s.tok, v.hex
+      FROM state s JOIN final f ON s.word = f.word AND s.round = f.round JOIN vocab v ON v.tok = s.tok
+      ORDER BY s.word, s.pos)
+GROUP BY word
 """
+#: Aggregates over rows that come in order are cheaper; that they did is checked by the positions, and the second form,
+#: which orders by itself, is the way out.
+IN_ORDER = "list(tok) AS ids, list(pos) AS places, string_agg(hex, '') AS decoded"
+ORDERED = "list(tok ORDER BY pos) AS ids, list(pos ORDER BY pos) AS places, string_agg(hex, '' ORDER BY pos) AS decoded"
 
 DECODE_SQL = """
 SELECT r.row, string_agg(v.hex, '' ORDER BY r.pos) AS decoded
@@ -88,7 +91,7 @@ def merge_table(ranks: dict[bytes, int]) -> pa.Table:
 
 
 class WordCoder:
-    """Encodes distinct words in one worker; `lookup` holds (ids as bytes, n ids, decoded bytes) of known words."""
+    """Encodes distinct words in one worker; `ids_of` and `decoded_of` hold ids (as bytes) and decoded bytes of known words."""
 
     def __init__(self, ranks: dict[bytes, int], merges: pa.Table):
         import duckdb
@@ -103,12 +106,13 @@ class WordCoder:
         self.bytes_of = np.zeros(256, np.int64)
         for b in range(256):
             self.bytes_of[b] = ranks[bytes([b])]
-        self.lookup: dict[str, tuple[bytes, bytes]] = {}
+        self.forget()
+
+    def forget(self) -> None:
+        self.ids_of: dict[str, bytes] = {}
+        self.decoded_of: dict[str, bytes] = {}
 
     def learn(self, words: list[str]) -> None:
-        """Add words to `lookup`."""
-        if len(self.lookup) > REMEMBERED:
-            self.lookup.clear()
         hard = []
         for word in words:
             raw = word.encode()
@@ -116,7 +120,7 @@ class WordCoder:
             if rank is None:
                 hard.append((word, raw))
             else:
-                self.lookup[word] = (rank.to_bytes(4, "little"), raw)
+                self.ids_of[word], self.decoded_of[word] = rank.to_bytes(4, "little"), raw
         hard.sort(key=lambda x: len(x[1]))  # words of like length need like numbers of rounds
         at = 0
         while at < len(hard):
@@ -133,8 +137,15 @@ class WordCoder:
         tok = self.bytes_of[np.frombuffer(b"".join(raw for _, raw in words), np.uint8)]
         while len(word):
             pos = np.arange(sizes.sum()) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-            self.db.register("start", pa.table({"word": np.repeat(word, sizes), "pos": pos, "tok": tok}))
-            got = self.db.sql(MERGE_SQL, params={"rounds": ROUNDS}).to_arrow_table()
+            self.db.register("start", pa.table({"word": np.repeat(word, sizes), "pos": pos, "tok": tok, "nxt": pos + 1}))
+            for aggregates in (IN_ORDER, ORDERED):
+                got = self.db.sql(MERGE_SQL.format(aggregates=aggregates), params={"rounds": ROUNDS}).to_arrow_table()
+                places = got["places"].combine_chunks()
+                starts = np.zeros(len(places.values) + 1, bool)
+                starts[places.offsets.to_numpy()] = True
+                steps = np.diff(places.values.to_numpy(zero_copy_only=False))
+                if ((steps > 0) | starts[1:-1]).all():
+                    break
             self.db.unregister("start")
             ids = got["ids"].combine_chunks()
             flat = ids.values.to_numpy(zero_copy_only=False)
@@ -142,7 +153,8 @@ class WordCoder:
             more = []
             for k, (at, rounds, decoded) in enumerate(zip(got["word"].to_pylist(), got["round"].to_pylist(), got["decoded"].to_pylist(), strict=True)):
                 if rounds < ROUNDS:
-                    self.lookup[words[at][0]] = (flat[edges[k] : edges[k + 1]].astype("<u4").tobytes(), bytes.fromhex(decoded))
+                    self.ids_of[words[at][0]] = flat[edges[k] : edges[k + 1]].astype("<u4").tobytes()
+                    self.decoded_of[words[at][0]] = bytes.fromhex(decoded)
                 else:
                     more.append((at, flat[edges[k] : edges[k + 1]]))
             word = np.array([at for at, _ in more])
@@ -177,19 +189,18 @@ def encode(df: DataFrame, ranks_path: str, pattern: str, doc_id: str = "doc_id",
         words = regex.compile(pattern)
         coder = None
         for batch in batches:
-            for piece in slices(batch, "text", 6 << 20):
+            for piece in slices(batch, "text"):
                 coder = coder or _coder(shared)
                 texts = [t or "" for t in piece.column("text").to_pylist()]
                 cut = [words.findall(t) for t in texts]
-                new = set().union(*cut) - coder.lookup.keys()
-                if len(coder.lookup) + len(new) > REMEMBERED:
-                    coder.lookup.clear()
+                new = set().union(*cut) - coder.ids_of.keys()
+                if len(coder.ids_of) + len(new) > REMEMBERED:
+                    coder.forget()
                     new = set().union(*cut)
                 coder.learn(list(new))
-                look, n, a, b = coder.lookup, [], [], []
+                ids_of, decoded_of, n, a, b = coder.ids_of.__getitem__, coder.decoded_of.__getitem__, [], [], []
                 for found in cut:
-                    got = [look[w] for w in found]
-                    ids, raw = b"".join([x[0] for x in got]), b"".join([x[1] for x in got])
+                    ids, raw = b"".join(map(ids_of, found)), b"".join(map(decoded_of, found))
                     n.append(len(ids) // 4)
                     a.append(hashlib.sha256(ids).hexdigest() if digests else np.frombuffer(ids, "<i4"))
                     b.append(hashlib.sha256(raw).hexdigest() if digests else raw.decode())
