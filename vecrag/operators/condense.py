@@ -15,6 +15,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from vecrag.functions import vector as V
+from vecrag.session import checkpointed
 
 WINDOW, OVERLAP, EXT, DIM = 3, 2, 1, 384
 
@@ -136,6 +137,7 @@ def condense(retrieved: DataFrame, docs: DataFrame, queries: DataFrame, idf: Dat
     Every retrieved document stays: one without sentences keeps its text as it is. short_as_is leaves documents of
     fewer than window + 2 ext sentences unchanged.
     """
+    retrieved = checkpointed(retrieved.select("qid", "doc_id", "rank"))  # k rows a query, met four times below
     wanted = docs.join(retrieved.select("doc_id").distinct(), "doc_id", "left_semi")
     sents = split_sentences(wanted)
     scored = score_windows(windows(sents, window, overlap), retrieved, queries, idf, dim)

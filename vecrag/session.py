@@ -7,7 +7,7 @@ import tempfile
 import zipfile
 from pathlib import Path
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 
 def ship(spark: SparkSession) -> None:
@@ -22,3 +22,14 @@ def ship(spark: SparkSession) -> None:
             z.write(f, str(Path("vecrag") / f.relative_to(top)))
     sc.addPyFile(target)
     sc._vecrag_shipped = True
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """Make a small, often used table once: its rows go to the shared folder of spark.checkpoint.dir.
+
+    Only where that is unset (tests) is a folder of our own used.
+    """
+    sc = df.sparkSession.sparkContext
+    if sc.getCheckpointDir() is None:
+        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt"))
+    return df.checkpoint(eager=True)
