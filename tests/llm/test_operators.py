@@ -607,3 +607,52 @@ def test_op4_wide_fingerprint_follows_similarity():
         a, b = (simhash.wide_fingerprint(" ".join(t)).view(np.uint64)[None, :] for t in (base, near))
         want = 256 * simhash.differing_share(j)
         assert abs(int(simhash.differing(a, b)[0]) - want) < 4 * np.sqrt(want)
+
+
+def at_similarity(rng, low, high, words=400):
+    """A text, and an edited copy whose exact similarity of five-word shingle sets lies in [low, high)."""
+    shingles = lambda t: {" ".join(t[i : i + 5]) for i in range(len(t) - 4)}
+    while True:
+        base = [f"u{x}" for x in rng.integers(0, 1 << 40, words)]
+        near = list(base)
+        for at in rng.permutation(words):
+            near[at] = "edited"
+            a, b = shingles(base), shingles(near)
+            j = len(a & b) / len(a | b)
+            if low <= j < high:
+                return " ".join(base), " ".join(near)
+            if j < low:
+                break
+
+
+def pairs_at(spark, low, high, n=150):
+    rng = np.random.default_rng(8)
+    rows = [(2 * k + side, t) for k in range(n) for side, t in enumerate(at_similarity(rng, low, high))]
+    return spark.createDataFrame(rows, "doc_id long, text string")
+
+
+def test_op4_similar_finds_isolated_pairs_at_the_threshold(spark):
+    got = {r["doc_id"]: r["component_id"] for r in simhash.similar(pairs_at(spark, 0.8, 0.83)).collect()}
+    assert all(got[2 * k + 1] == got[2 * k] == 2 * k for k in range(150))
+
+
+@pytest.mark.parametrize("dense", [simhash.DENSE, 0])
+def test_op4_similar_large_group_is_whole(spark, monkeypatch, dense):
+    monkeypatch.setattr(simhash, "DENSE", dense)
+    rng = np.random.default_rng(9)
+    base = [f"g{k}" for k in range(200)]
+    texts = []
+    for _ in range(120):
+        near = list(base)
+        for at in rng.choice(200, int(rng.integers(1, 9)), replace=False):
+            near[at] = f"e{rng.integers(1 << 40)}"
+        texts.append(" ".join(near))
+    sets = [set(simhash.shingle_set(t).tolist()) for t in texts]
+    label = list(range(len(texts)))
+    for i in range(len(texts)):
+        for j in range(i):
+            if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]) and label[i] != label[j]:
+                low, high = sorted((label[i], label[j]))
+                label = [low if x == high else x for x in label]
+    got = {r["doc_id"]: r["component_id"] for r in simhash.similar(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert [got[i] for i in range(len(texts))] == label

@@ -18,7 +18,7 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from vecrag.llm.common import checkpointed, map_slices
@@ -203,10 +203,12 @@ def cluster(df: DataFrame, doc_id: str = "doc_id", text: str = "text", radius: i
 
 
 # -- similarity of five-word shingle sets ------------------------------------------------------------------------------
-#: Words of a wide fingerprint, its shingle length, and the recall that the number of keys is chosen for.
-WIDE, SHINGLE, SIMILARITY, RECALL = 4, 5, 0.8, 0.97
-#: Members of a shard that the length of keys aims at.
-PER_KEY = 2
+#: Words of a wide fingerprint, the shingle length of the pipeline's stage and its similarity.
+WIDE, SHINGLE, SIMILARITY = 4, 5, 0.8
+#: Minima in a band key, and the share of pairs exactly at the similarity that may meet in no band.
+ROWS, MISS = 5, 1e-5
+#: Bucket pairs a text up to which all are compared at once, and the most rounds of stars before all that are left are.
+DENSE, STARS = 8, 4
 
 
 def wide_fingerprint(text: str | None, words: int = SHINGLE) -> np.ndarray:
@@ -235,56 +237,132 @@ def differing_share(similarity: float) -> float:
     return float(np.arccos(min(1.0, 2 * similarity / (1 + similarity))) / np.pi)
 
 
-def bit_keys(n: int, similarity: float = SIMILARITY, recall: float = RECALL) -> np.ndarray:
-    """Bit positions of each key for n fingerprints: long enough for small shards, as many as the recall asks for.
+def shingle_set(text: str | None, words: int = SHINGLE) -> np.ndarray:
+    """Sorted distinct 64-bit hashes of the word shingles (of all words, if there are fewer)."""
+    import xxhash
+
+    tokens = (text or "").encode().translate(_LOWER).split()
+    if not tokens:
+        return np.zeros(0, np.uint64)
+    joined = b" ".join(tokens)
+    ends = np.cumsum([len(t) + 1 for t in tokens])
+    starts = [0, *ends[:-1].tolist()]
+    last = max(1, len(tokens) - words + 1)
+    stops = (ends[min(words, len(tokens)) - 1 :] - 1).tolist()
+    digest = xxhash.xxh3_64_intdigest
+    return np.unique(np.fromiter((digest(joined[a:b]) for a, b in zip(starts[:last], stops, strict=False)), np.uint64, last))
+
+
+def bands(similarity: float = SIMILARITY) -> int:
+    """Bands of ROWS minima, so that at most MISS of the pairs at the similarity share none, whatever the table's size."""
+    return int(np.ceil(np.log(MISS) / np.log1p(-(similarity**ROWS)))) if similarity < 1 else 1
+
+
+def band_keys(shingles: np.ndarray, n: int) -> np.ndarray:
+    """One key for each of n bands: a hash of the minima of ROWS random orders of the set."""
+    odd = np.random.default_rng(42).integers(0, 1 << 63, n * ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    least = np.full(n * ROWS, np.iinfo(np.uint64).max)
+    for at in range(0, len(shingles), 256):
+        np.minimum(least, (shingles[at : at + 256, None] * odd).min(0), out=least)
+    key = np.arange(n, dtype=np.uint64)
+    for column in least.reshape(n, ROWS).T:
+        key = (key ^ column) * np.uint64(0xFF51AFD7ED558CCD)
+        key ^= key >> np.uint64(33)
+    return key.view(np.int64)
+
 
-    The recall is for pairs half-way between the similarity and 1; closer pairs are found more surely, and copies of
-    one text meet through each other.
+def _labelled(met: DataFrame, found: DataFrame | None) -> DataFrame:
+    """Members (key, node, n) of buckets that still hold several components, with `comp` and the bucket's largest, `main`."""
+    if found is None:
+        rows = met.withColumn("comp", F.col("node"))
+    else:
+        rows = met.join(found.withColumnRenamed("component", "comp"), "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    sizes = rows.groupBy("key", "comp").agg(F.count("*").alias("size"))
+    total = sizes.groupBy("key").agg(F.max(F.struct("size", "comp"))["comp"].alias("main"), ((F.sum("size") * F.sum("size") - F.sum(F.col("size") * F.col("size"))) / 2).alias("open"))
+    return checkpointed(rows.join(total.where("open > 0"), "key"))
+
+
+def _fit(similarity: float) -> Column:
+    """Sizes alone do not rule the similarity out."""
+    least = F.lit(similarity - 1e-9)
+    return (F.col("na") >= least * F.col("nb")) & (F.col("nb") >= least * F.col("na"))
+
+
+def _links(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (a, b) whose shingle sets have a Jaccard index of the similarity or more."""
+    both = F.size(F.array_intersect("sa", "sb"))
+    left, right = (sets.select(F.col("node").alias(x), F.col("shingles").alias(f"s{x}")) for x in "ab")
+    sized = F.size("sa") + F.size("sb") - both
+    return pairs.distinct().join(left, "a").join(right, "b").where(both >= F.lit(similarity - 1e-9) * sized).select("a", "b")
+
+
+def _grouped(met: DataFrame, sets: DataFrame, nodes: int, similarity: float) -> DataFrame | None:
+    """Components of all pairs that share a bucket and have the similarity.
+
+    Where buckets are large, each member is first compared with one member of each of its buckets, another every
+    round. That joins most of a large group; then only pairs of different components are compared, all of them.
     """
-    length = int(min(40, max(12, np.ceil(np.log2(max(2, n) / PER_KEY)))))
-    hit = (1 - differing_share((1 + similarity) / 2)) ** length
-    keys = int(np.ceil(np.log(1 - recall) / np.log(1 - hit)))
-    rng = np.random.default_rng(42)
-    return np.array([np.sort(rng.choice(WIDE * 64, length, replace=False)) for _ in range(keys)])
+    found = links = None
+    for turn in range(STARS + 1):
+        rows = _labelled(met, found)
+        left = rows.groupBy("key").agg(F.first("open").alias("open")).agg(F.sum("open")).first()[0]
+        if not left:
+            return found
+        full = left <= DENSE * nodes or turn == STARS
+        if full:
+            a = rows.where("comp <> main").select("key", F.col("node").alias("a"), F.col("n").alias("na"), F.col("comp").alias("ca"))
+            b = rows.select("key", F.col("node").alias("b"), F.col("n").alias("nb"), F.col("comp").alias("cb"), "main")
+            pairs = a.join(b, "key").where(((F.col("cb") == F.col("main")) | (F.col("a") < F.col("b"))) & (F.col("ca") != F.col("cb")) & _fit(similarity))
+        else:
+            order = F.xxhash64("node", "key", F.lit(turn))
+            heads = rows.groupBy("key").agg(F.min(F.struct(order, "node", "n", "comp")).alias("h"))
+            heads = heads.select("key", F.col("h.node").alias("b"), F.col("h.n").alias("nb"), F.col("h.comp").alias("cb"))
+            pairs = rows.select("key", F.col("node").alias("a"), F.col("n").alias("na"), F.col("comp").alias("ca")).join(heads, "key").where((F.col("ca") != F.col("cb")) & _fit(similarity))
+        got = checkpointed(_links(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), sets, similarity))
+        links = got if links is None else links.unionByName(got)
+        found = components(links)
+        if full:
+            return found
 
 
 def similar(df: DataFrame, doc_id: str = "doc_id", text: str = "text", similarity: float = SIMILARITY, words: int = SHINGLE) -> DataFrame:
-    """doc_id, body (hash of the wide fingerprint) and component_id: texts linked where the differing bits of their
-    WIDE * 64 fall within those expected at the Jaccard index `similarity` of their word shingle sets.
+    """doc_id, body (digest of the shingle set) and component_id: texts linked where the Jaccard index of their word
+    shingle sets is `similarity` or more.
 
-    That radius leaves no blocks to agree on, so fingerprints meet in shards by sampled bits instead (`bit_keys`), each
-    searched as a BK-tree; equal fingerprints always meet.
+    Candidates share a band of minima (`bands`); each is checked against the sets themselves. Equal sets are one node.
     """
-    names = [f"w{k}" for k in range(WIDE)]
+    n = bands(similarity)
 
-    def work(piece: pa.RecordBatch) -> pa.RecordBatch:
-        fp = np.array([wide_fingerprint(t, words) for t in piece.column("text").to_pylist()], np.int64).reshape(-1, WIDE)
-        return pa.RecordBatch.from_arrays([piece.column("key"), *(pa.array(fp[:, k]) for k in range(WIDE))], ["key", *names])
+    def read(texts: list[str | None]) -> tuple[list[np.ndarray], pa.Array]:
+        import xxhash
+
+        sets = [shingle_set(t, words) for t in texts]
+        return sets, pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary())
+
+    def sketch(piece: pa.RecordBatch) -> pa.RecordBatch:
+        sets, body = read(piece.column("text").to_pylist())
+        keys = pa.array([band_keys(s, n) if len(s) else [] for s in sets], pa.list_(pa.int64()))
+        return pa.RecordBatch.from_arrays([piece.column("key"), body, pa.array([len(s) for s in sets], pa.int32()), keys], ["doc_id", "body", "n", "keys"])
+
+    def whole(piece: pa.RecordBatch) -> pa.RecordBatch:
+        sets, body = read(piece.column("text").to_pylist())
+        return pa.RecordBatch.from_arrays([piece.column("key"), body, pa.array([s.view(np.int64) for s in sets], pa.list_(pa.int64()))], ["node", "body", "shingles"])
 
     given = df.select(F.col(doc_id).cast("long").alias("key"), F.col(text).cast("string").alias("text"))
-    kinds = ", ".join(f"{w} long" for w in names)
-    prints = checkpointed(map_slices(given, "text", work, f"key long, {kinds}").withColumnRenamed("key", "doc_id"))
-    reps = checkpointed(prints.groupBy(*names).agg(F.min("doc_id").alias("rep")))
-    some = reps.where("rep is not null")
-    places = bit_keys(some.count(), similarity)
-    radius = int(round(WIDE * 64 * differing_share(similarity)))
-
-    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        power = (1 << np.arange(places.shape[1])).astype(np.int64)
-        for batch in batches:
-            for at in range(0, batch.num_rows, 2000):
-                piece = batch.slice(at, 2000)
-                fp = np.column_stack([piece.column(w).to_numpy() for w in names])
-                bits = np.unpackbits(np.ascontiguousarray(fp).view(np.uint8), axis=1, bitorder="little").astype(np.int64)
-                found = np.column_stack([bits[:, p] @ power for p in places])
-                n, m = found.shape
-                again = np.repeat(np.arange(n), m)
-                yield pa.RecordBatch.from_arrays([pa.array(np.tile(np.arange(m, dtype=np.int64), n)), pa.array(found.ravel()), pa.array(piece.column("rep").to_numpy()[again]), *(pa.array(fp[again, k]) for k in range(WIDE))], ["choice", "bits", "rep", *names])
-
-    keyed = some.select("rep", *names).mapInArrow(keys, f"choice long, bits long, rep long, {kinds}")
-    found = components(_by_shard(keyed, names, radius))
-    home = reps.join(found.withColumnRenamed("node", "rep"), "rep", "left").select(*names, F.coalesce("component", "rep").alias("component_id"))
-    return prints.join(home, names).select("doc_id", F.xxhash64(*names).alias("body"), "component_id")
+    prints = checkpointed(map_slices(given, "text", sketch, "doc_id long, body binary, n int, keys array<long>"))
+    reps = checkpointed(prints.groupBy("body").agg(F.min("doc_id").alias("node"), F.first("n").alias("n"), F.first("keys").alias("keys")))
+    some = reps.where("node is not null")
+    dealt = some.select("node", "n", F.explode("keys").alias("key"))
+    shared = dealt.groupBy("key").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low < high").select("key")
+    met = checkpointed(dealt.join(shared, "key"))
+    members = met.select("node").distinct()
+    sets = map_slices(given.join(members, F.col("key") == F.col("node"), "left_semi"), "text", whole, "node long, body binary, shingles array<long>")
+    sets = checkpointed(sets.join(some.select("node", "body"), ["node", "body"], "left_semi").dropDuplicates(["node", "body"]))
+    found = _grouped(met, sets, some.count(), similarity)
+    if found is None:
+        return prints.join(reps.select("body", F.col("node").alias("component_id")), "body").select("doc_id", "body", "component_id")
+    home = reps.select("body", "node").join(found, "node", "left").select("body", F.coalesce("component", "node").alias("component_id"))
+    return prints.join(home, "body").select("doc_id", "body", "component_id")
 
 
 def keep_one(df: DataFrame, doc_id: str = "doc_id", text: str = "text", similarity: float = SIMILARITY, words: int = SHINGLE) -> DataFrame:
