@@ -437,6 +437,17 @@ def test_op7_edges(spark, odd):
     assert cnn.score(empty(spark), cnn.train(empty(spark), labels.limit(0))).count() == 0
 
 
+def test_op7_thresholds_decide_by_language(spark):
+    train = toy(200, 3)
+    model = cnn.fit([t for t, _ in train], np.array([y for _, y in train]))
+    text = train[1][0]
+    middle = float(cnn.Scorer(model).scores([text])[0])
+    model.thresholds = {"en": middle - 1e-3, "fr": middle + 1e-3}
+    df = spark.createDataFrame([(1, text, "en"), (2, text, "fr"), (3, text, "xx"), (4, text, None)], "doc_id long, text string, lang string")
+    kept = {r["doc_id"] for r in cnn.keep_clean(df, model).collect()}
+    assert kept == ({2, 3, 4} if middle < cnn.CUT else {2})
+
+
 def test_op7_query(spark):
     rows = registry.op7_toxicity(spark, "/root/testdata/sf0.01").collect()
     assert len(rows) == 1000 and all(r["predicted"] == int(r["score"] >= 0.3) for r in rows)

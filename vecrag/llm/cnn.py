@@ -333,17 +333,19 @@ def score(df: DataFrame, model: Model, doc_id: str = "doc_id", text: str = "text
     return map_slices(given, "text", work, f"key {df.schema[doc_id].dataType.simpleString()}, score double").withColumnRenamed("key", doc_id)
 
 
-def keep_clean(df: DataFrame, model: Model, text: str = "text", cut: float = CUT) -> DataFrame:
-    """Rows that score under `cut`, all columns kept as they are."""
+def keep_clean(df: DataFrame, model: Model, text: str = "text", lang: str = "lang") -> DataFrame:
+    """Rows that score under their language's threshold (CUT where it has none), all columns kept as they are."""
     shared = df.sparkSession.sparkContext.broadcast(model)
     names, held = df.columns, {}
     given = df.select(*(F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(names)))
-    at = names.index(text)
+    at, of = names.index(text), names.index(lang) if lang in names else None
 
     def work(piece: pa.RecordBatch) -> pa.RecordBatch:
         if "it" not in held:
             held["it"] = Scorer(shared.value)
-        return piece.filter(pa.array(held["it"].scores(piece.column(at).to_pylist()) < cut))
+        langs = [None] * piece.num_rows if of is None else piece.column(of).to_pylist()
+        cuts = np.array([shared.value.thresholds.get(x, CUT) for x in langs], float)
+        return piece.filter(pa.array(held["it"].scores(piece.column(at).to_pylist()) < cuts))
 
     out = map_slices(given, f"c{at}", work, given.schema)
     return out.select(*(F.col(f"c{i}").alias(c) for i, c in enumerate(names)))
