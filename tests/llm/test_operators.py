@@ -667,3 +667,8 @@ def test_op4_similar_large_group_is_whole(spark, monkeypatch, dense):
                 label = [low if x == high else x for x in label]
     got = {r["doc_id"]: r["component_id"] for r in simhash.similar(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
     assert [got[i] for i in range(len(texts))] == label
+
+
+def test_op4_similar_leaves_pairs_under_the_threshold(spark):
+    got = {r["doc_id"]: r["component_id"] for r in simhash.similar(pairs_at(spark, 0.76, 0.795)).collect()}
+    assert all(i == c for i, c in got.items())
