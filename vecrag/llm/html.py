@@ -3,10 +3,13 @@
 A page is cut into blocks at block-level tags. A block has its word count and link density (share of words
 inside links), those of the blocks before and after it, and what its open elements say about it (article or
 main body, heading, list item, page furniture by tag, role, class or id). A decision tree, grown in numpy on
-the small labelled pages below, keeps or drops each block; kept blocks are joined by a newline.
+the small labelled pages below, keeps or drops each block; kept blocks are joined by a newline. Shallow text
+features come first among equal gains; elements decide where they tell, and pages without them, or whose main
+element holds little of the text, are judged by words, links and neighbours.
 
-Defined results: null or empty html gives the empty text; truncated markup is read as far as it goes; very long
-pages are taken whole; repeated pages give repeated rows; a null page id or url is passed on.
+Defined results: null or empty html gives the empty text; truncated markup is read as far as it goes (an open
+head ends at the first element or text that belongs to a body); very long pages are taken whole; repeated pages
+give repeated rows; a null page id or url is passed on.
 """
 
 from __future__ import annotations
@@ -36,10 +39,13 @@ UNSEEN = frozenset("script style noscript template iframe object svg math head t
 RAW = frozenset("script style title textarea iframe noscript xmp noembed noframes".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q s samp small span strike strong sub sup time tt u var br wbr img".split())
 
+#: Elements that a head may hold; any other one, or text, ends an open head.
+IN_HEAD = frozenset("base basefont bgsound link meta title style script noscript template".split())
+
 MAIN, NAV, HEADER, FOOTER, ASIDE, ADVERT, NOTICE, FORM, COMMENT, LINK, HIDDEN = (1 << k for k in range(11))
 FURNITURE = NAV | HEADER | FOOTER | ASIDE | ADVERT | NOTICE | FORM | COMMENT
 TAG_BITS = {"article": MAIN, "main": MAIN, "nav": NAV, "menu": NAV, "header": HEADER, "footer": FOOTER, "aside": ASIDE, "form": FORM, "fieldset": FORM, "dialog": NOTICE, "a": LINK}
-#: Words of class, id and role attributes, and what they mean.
+#: Words of class, id and role attributes, and what they mean (fixed values).
 NAME_BITS = {
     NAV: "nav navbar navigation menu breadcrumb breadcrumbs pagination pager toc tabs topbar toolbar",
     HEADER: "header masthead banner site-header page-header",
@@ -52,9 +58,23 @@ NAME_BITS = {
     MAIN: "article post entry story main content article-body post-content entry-content story-body main-content",
 }
 BITS_OF = {word: bit for bit, words in NAME_BITS.items() for word in words.split()}
+#: Parts of a hyphenated name that say nothing by themselves: such a name counts if all its other parts are furniture.
+NEUTRAL = frozenset("site page top bottom left right upper lower inner outer wrap wrapper container box bar area list item section block slot zone unit col column row primary secondary global mobile desktop fixed sticky big small text link links".split())
 PART = re.compile(r"[a-z]+")
 
 
+def _name_bits(word: str, name: str) -> int:
+    """What one word of a class, id or role says."""
+    word = word.replace("_", "-")
+    bits = BITS_OF.get(word, 0)
+    if not bits and "-" in word and name in ("div", "section", "ul", "ol", "aside", "p", "span", "header", "footer"):
+        told = [BITS_OF.get(piece, 0) for piece in PART.findall(word) if piece not in NEUTRAL]
+        if told and all(b & FURNITURE for b in told):
+            for b in told:
+                bits |= b
+    return bits
+
+
 def _own_bits(name: str, attributes: str, inherited: int) -> int:
     bits = TAG_BITS.get(name, 0)
     if attributes.strip():
@@ -64,11 +84,7 @@ def _own_bits(name: str, attributes: str, inherited: int) -> int:
                 bits |= HIDDEN
             elif key in ("class", "id", "role"):
                 for word in value.split():
-                    word = word.replace("_", "-")
-                    bits |= BITS_OF.get(word, 0)
-                    if "-" in word and name in ("div", "section", "ul", "ol", "aside", "p", "span", "header", "footer"):
-                        for piece in PART.findall(word):
-                            bits |= BITS_OF.get(piece, 0) & ~(MAIN | HEADER | FOOTER)
+                    bits |= _name_bits(word, name)
     if bits & FURNITURE and name in ("body", "html", "main", "article"):
         bits &= ~FURNITURE
     if name == "header" and inherited & MAIN:  # an article's own heading group
@@ -112,10 +128,17 @@ class _Page:
         self.pieces.clear()
 
     def add(self, raw: str) -> None:
+        if raw and self.stack[-1].name == "head" and not raw.isspace():
+            self.end_head()
         top = self.stack[-1]
         if raw and not top.unseen:
             self.pieces.append((entities.unescape(raw) if "&" in raw else raw, bool(top.bits & LINK)))
 
+    def end_head(self) -> None:
+        at = next((k for k in range(len(self.stack) - 1, 0, -1) if self.stack[k].name == "head"), 0)
+        if at:
+            del self.stack[at:]
+
     def close(self, name: str) -> None:
         at = next((k for k in range(len(self.stack) - 1, 0, -1) if self.stack[k].name == name), 0)
         if at:
@@ -123,7 +146,7 @@ class _Page:
 
 
 #: An opening tag on the left ends an open element named on the right.
-IMPLIED = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "body": ("head",)}
+IMPLIED = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th")}
 
 
 def blocks_of(page: str) -> list[Block]:
@@ -148,6 +171,8 @@ def blocks_of(page: str) -> list[Block]:
         if closing:
             out.close(name)
             continue
+        if out.stack[-1].name == "head" and name not in IN_HEAD:
+            out.end_head()
         if name in VOID:
             continue
         if name not in INLINE and name not in UNSEEN and any(x.name == "p" for x in out.stack[1:]):
@@ -156,7 +181,7 @@ def blocks_of(page: str) -> list[Block]:
                 del out.stack[k:]
         for other in IMPLIED.get(name, ()):
             for k in range(len(out.stack) - 1, 0, -1):
-                if out.stack[k].name in ("ul", "ol", "dl", "table") and name != "body":
+                if out.stack[k].name in ("ul", "ol", "dl", "table"):
                     break
                 if out.stack[k].name == other:
                     del out.stack[k:]
@@ -175,23 +200,27 @@ def blocks_of(page: str) -> list[Block]:
     return out.blocks
 
 
-FEATURES = ("words", "link_density", "words_before", "link_density_before", "words_after", "link_density_after", "in_main", "page_has_main", "furniture", "heading", "list_item", "page_links")
+FEATURES = ("words", "link_density", "words_before", "link_density_before", "words_after", "link_density_after", "page_links", "furniture", "in_main", "main_share", "heading", "list_item")
 
 
 def features_of(blocks: list[Block]) -> np.ndarray:
-    """One row of FEATURES for each block; outside the page a neighbour has no words and no links."""
+    """One row of FEATURES for each block; outside the page a neighbour has no words and no links.
+
+    main_share is the share of the page's words, furniture left out, that the main element (or what is named so) holds.
+    """
     n = len(blocks)
     words = np.array([0, *(b.words for b in blocks), 0], float)
     density = np.array([0, *(b.linked / b.words for b in blocks), 0], float)
-    main = np.array([bool(b.bits & MAIN) for b in blocks], float)
+    main = np.array([bool(b.bits & MAIN) for b in blocks], bool)
+    furniture = np.array([bool(b.bits & FURNITURE) for b in blocks], bool)
     linked = sum(b.linked for b in blocks) / max(1, sum(b.words for b in blocks))
+    own = words[1:-1][~furniture].sum()
+    share = words[1:-1][main & ~furniture].sum() / own if own else 0.0
     return np.column_stack([
-        words[1:-1], density[1:-1], words[:-2], density[:-2], words[2:], density[2:],
-        main, np.full(n, main.max(initial=0)),
-        np.array([bool(b.bits & FURNITURE) for b in blocks], float),
+        words[1:-1], density[1:-1], words[:-2], density[:-2], words[2:], density[2:], np.full(n, linked),
+        furniture, main, np.full(n, share),
         np.array([b.tag in ("h1", "h2", "h3", "h4", "h5", "h6") for b in blocks], float),
         np.array([b.tag in ("li", "dt", "td", "th") for b in blocks], float),
-        np.full(n, linked),
     ]).reshape(n, len(FEATURES))
 
 
@@ -230,8 +259,8 @@ def grow(x: np.ndarray, y: np.ndarray, depth: int = 6, least: int = 1) -> list[t
     return tree
 
 
-#: Flags are tried before counts, so that equal gains give rules that hold for blocks of any length.
-ORDER = [FEATURES.index(f) for f in ("furniture", "in_main", "page_has_main", "list_item", "link_density", "link_density_before", "link_density_after", "heading", "page_links", "words", "words_before", "words_after")]
+#: Shallow text features are tried before what elements say, so that they win equal gains.
+ORDER = list(range(len(FEATURES)))
 
 
 def predict(tree: list[tuple], x: np.ndarray) -> np.ndarray:
@@ -247,8 +276,11 @@ def predict(tree: list[tuple], x: np.ndarray) -> np.ndarray:
 
 _SENTENCE = "The council met on Monday evening to talk about the new bridge and its cost."
 _LINKS = "".join(f'<li><a href="/{w}">{w}</a></li>' for w in ("home", "world", "sport", "travel"))
+_BARE = " ".join(f'<a href="/{w}">{w}</a>' for w in ("home", "news", "sport", "about", "contact"))
+_TEASER = '<a href="/t">The long story of the old mill that the town wants to keep for good</a>'
 _G = " data-gold"
-#: The labelled table's pages: blocks under an element with data-gold are article text.
+#: The labelled table's pages: blocks under an element with data-gold are article text. The first pages have elements that
+#: tell the article from the rest; the others have none, or ones that mislead, so that words, links and neighbours must.
 LABELLED_PAGES = (
     f"<html><body><nav><ul>{_LINKS}</ul></nav><div class='ad'>Buy the finest boots in town at half the price today and tomorrow only.</div>"
     f"<article><h1{_G}>Bridge talks</h1><p{_G}>{_SENTENCE}</p><p{_G}>Yes.</p><p{_G}>{_SENTENCE * 4}</p></article><footer>&copy; The Paper, all rights reserved by its owners since 1901.</footer></body></html>",
@@ -257,17 +289,23 @@ LABELLED_PAGES = (
     f"<body><div id='cookie-notice'><p>We use cookies to make this site better for you and for our partners.</p></div><article><header><h1{_G}>Rain</h1></header><p{_G}>By a writer</p><p{_G}>{_SENTENCE * 3}</p>"
     f"<form><label>Your mail</label><p>Get our letter each week in your box.</p></form><div class='advert'>Great cars, great prices, call us now for a drive in your street.</div><p{_G}>End.</p>"
     f"<div id='comments'><p>{_SENTENCE}</p><p>no</p></div></article><div class='sidebar'><ul>{_LINKS}</ul><p>Most read this week</p></div></body>",
-    f"<body><div>{''.join(f'<a href=/{w}>{w}</a> ' for w in 'home news sport about contact'.split())}</div><p{_G}>{_SENTENCE * 2}</p><p{_G}>{_SENTENCE} <a href='/m'>More</a> of it was said later that day.</p>"
-    f"<p{_G}>{_SENTENCE * 3}</p><div><a href='/t'>terms of use</a> <a href='/p'>privacy</a></div></body>",
-    f"<body><p{_G}>Short note.</p></body>",
-    f"<body><h1{_G}>A list of facts</h1><p{_G}>{_SENTENCE}</p><p{_G}>Two.</p></body>",
-    f"<table><tr><td><a href='/a'>one</a></td><td><a href='/b'>two</a></td><td><a href='/c'>three</a></td></tr><tr><td{_G}>{_SENTENCE * 3}</td></tr></table><p><a href='/top'>back to the top of the page</a></p>",
     f"<body><ul>{_LINKS}</ul><article><h1{_G}>{_SENTENCE}</h1><p{_G}><b>{_SENTENCE * 2}<br></p><p{_G}>{_SENTENCE}</p></article><div><p>Read more stories from the same town in our other paper.</p><ul>{_LINKS}</ul></div></body>",
     f"<div class='menu'>{_LINKS}</div><article><p{_G}>In.</p></article><footer>Contact us.</footer>",
     f"<article><h1{_G}>{_SENTENCE}</h1><p{_G}>{_SENTENCE}</p></article><div>Copyright of the publisher and its writers.</div>",
     f"<p>Skip to the text</p><article><p{_G}>{_SENTENCE}</p><p{_G}>Ends here.</p></article><ul>{_LINKS}</ul>",
     f"<ul>{_LINKS}</ul><main><p{_G}>Begins here.</p><p{_G}>{_SENTENCE}</p><p{_G}><a href='/s'>source of the story</a></p></main><ul>{_LINKS}</ul><p>Last changed on Monday.</p>",
     f"<main><p{_G}>{_SENTENCE}</p><p{_G}><a href='/q'>A whole paragraph inside a link</a></p><p{_G}>Done.</p></main><p>{_SENTENCE}</p>",
+    # no element tells
+    f"<body><div>{_BARE}</div><p{_G}>{_SENTENCE * 2}</p><p{_G}>{_SENTENCE} <a href='/m'>More</a> of it was said later that day.</p><p{_G}>{_SENTENCE * 3}</p><div><a href='/t'>terms of use</a> <a href='/p'>privacy</a></div></body>",
+    f"<body><p{_G}>Short note.</p></body>",
+    f"<body><h1{_G}>A list of facts</h1><p{_G}>{_SENTENCE}</p><p{_G}>Two.</p></body>",
+    f"<table><tr><td><a href='/a'>one</a></td><td><a href='/b'>two</a></td><td><a href='/c'>three</a></td></tr><tr><td{_G}>{_SENTENCE * 3}</td></tr></table><p><a href='/top'>back to the top of the page</a></p>",
+    f"<div>{_BARE}</div><div>Sign in to your account</div><div>{_BARE}</div><h1{_G}>Bridge talks go on</h1><p{_G}>{_SENTENCE * 2}</p><p{_G}>Yes.</p><p{_G}>{_SENTENCE * 3}</p><div>{_TEASER}</div><div>All rights reserved</div><div>{_BARE}</div>",
+    f"<div>{_BARE}</div><div>Today in the town</div><div>{_TEASER}</div><div>Most read</div><div>{_TEASER} {_TEASER}</div><p{_G}>{_SENTENCE * 3}</p><p{_G}>He said no.</p><p{_G}>{_SENTENCE}</p><p{_G}>{_SENTENCE * 2}</p><div>More on this</div><div>{_TEASER}</div>",
+    f"<p{_G}>{_SENTENCE * 2}</p><p{_G}>Not now.</p><p{_G}>{_SENTENCE * 2} <a href='/w'>See the plan of the work</a> for what comes next.</p><p{_G}>{_SENTENCE}</p><div>Share this</div><div>{_BARE}</div>",
+    # a main element that holds little of the text
+    f"<div id='main'><p{_G}>In short</p></div><p{_G}>{_SENTENCE * 3}</p><p{_G}>{_SENTENCE * 2}</p><p{_G}>So be it.</p><p{_G}>{_SENTENCE * 2}</p><div>{_BARE}</div><div>All rights reserved</div>",
+    f"<div>{_BARE}</div><div class='content'><p{_G}>From our writer</p></div><div{_G}>{_SENTENCE * 4}</div><div{_G}>{_SENTENCE}</div><div>{_TEASER}</div>",
 )
 
 
