@@ -27,22 +27,32 @@ def held_out(doc_id: str = "doc_id") -> Column:
 
 
 def checkpointed(df: DataFrame) -> DataFrame:
-    """Cut the lineage through the shared folder the cluster names in spark.checkpoint.dir.
+    """Cut the lineage through the shared folder the cluster names in spark.checkpoint.dir."""
+    _checkpoint_folder(df.sparkSession)
+    return df.checkpoint(eager=True)
 
-    Only where that is unset (tests) is a folder of our own used.
-    """
-    sc = df.sparkSession.sparkContext
+
+def _checkpoint_folder(spark: SparkSession) -> str:
+    """The folder of spark.checkpoint.dir. Where that is unset, a single machine gets one of its own; a cluster must name one."""
+    sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt"))
-    return df.checkpoint(eager=True)
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if named is None and not sc.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="ckpt"))
+    return sc.getCheckpointDir()
 
 
 def shared_folder(spark: SparkSession) -> str:
     """A new folder in the shared one, for tables that a job writes and reads again."""
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt"))
-    return f"{sc.getCheckpointDir()}/{uuid.uuid4().hex}"
+    return f"{_checkpoint_folder(spark)}/{uuid.uuid4().hex}"
+
+
+def numbered(df: DataFrame) -> tuple[DataFrame, Callable[[DataFrame], DataFrame]]:
+    """The table with its columns named c0, c1, .., and what gives them their own names back: no helper column can clash."""
+    names = df.columns
+    given = df.select(*(F.col(f"`{c.replace('`', '``')}`").alias(f"c{i}") for i, c in enumerate(names)))
+    return given, lambda out: out.select(*(F.col(f"c{i}").alias(c) for i, c in enumerate(names)))
 
 
 def slices(batch: pa.RecordBatch, column: str, most: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
@@ -71,3 +81,14 @@ def map_slices(df: DataFrame, column: str, work: Callable[[pa.RecordBatch], pa.R
 def sampled_ids(df: DataFrame, doc_id: str, share: Column, seed: int) -> Column:
     """True for a share of the ids, fixed by (seed, id) alone: the same rows in every run and layout."""
     return F.pmod(F.xxhash64(F.lit(seed), F.col(doc_id)), F.lit(1 << 30)) < share * F.lit(1 << 30)
+
+
+def sampled_text(text: Column, key: Column, most: int, windows: int, seed: int) -> Column:
+    """A text of up to `most` characters as it is; of a longer one `windows` windows, `most` characters together.
+
+    The text is cut into as many equal stretches, and each gives one window at a place hashed from (seed, key, window).
+    """
+    width, n = most // windows, F.char_length(text)
+    stretch = F.floor(n / windows).cast("int")
+    start = lambda k: F.lit(k) * stretch + F.pmod(F.xxhash64(F.lit(seed), key, F.lit(k)), F.greatest(stretch - width, F.lit(0)) + 1).cast("int") + 1
+    return F.when(n > most, F.concat_ws("\n", *(F.substr(text, start(k), F.lit(width)) for k in range(windows)))).otherwise(text)

@@ -13,7 +13,8 @@ their row's results; rows with a null id get the component of equal fingerprints
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from functools import partial
 from itertools import combinations
 
 import numpy as np
@@ -21,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from vecrag.llm.common import checkpointed, map_slices
+from vecrag.llm.common import checkpointed, map_slices, numbered
 from vecrag.llm.graph import components
 
 RADIUS, WORDS, BITS = 4, 4, 64
@@ -103,22 +104,47 @@ def bk_forest(fp: np.ndarray, group: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return root, parent, edge
 
 
+class Forest:
+    """BK-trees of groups of fingerprints, searched by many queries at once along the edges within a radius."""
+
+    def __init__(self, fp: np.ndarray, group: np.ndarray):
+        self.fp = fp
+        self.root, parent, edge = bk_forest(fp, group)
+        children = np.flatnonzero(parent >= 0)
+        keys = parent[children] * STRIDE + edge[children]
+        order = np.argsort(keys, kind="stable")
+        self.keys, self.children = keys[order], children[order]
+
+    def visits(self, fp: np.ndarray, root: np.ndarray, radius: int | np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        """(query, node, distance) of all nodes that searches from the roots come to, in blocks of at most about STEP."""
+        radius = np.broadcast_to(radius, len(fp))
+        stack = [(np.arange(len(fp)), root)]
+        while stack:
+            query, node = stack.pop()
+            if len(query) > STEP:
+                half = len(query) // 2
+                stack += [(query[:half], node[:half]), (query[half:], node[half:])]
+                continue
+            d = differing(fp[query], self.fp[node])
+            yield query, node, d
+            r = radius[query]
+            lo = np.searchsorted(self.keys, node * STRIDE + np.maximum(0, d - r))
+            hi = np.searchsorted(self.keys, node * STRIDE + np.minimum(STRIDE - 1, d + r), "right")
+            width = hi - lo
+            some = width > 0
+            query, lo, width = query[some], lo[some], width[some]
+            step = max(1, STEP // max(1, int(width.max(initial=1))))
+            for part in range(0, len(query), step):
+                w, at = width[part : part + step], lo[part : part + step]
+                inside = np.arange(w.sum()) - np.repeat(np.cumsum(w) - w, w)
+                stack.append((np.repeat(query[part : part + step], w), self.children[np.repeat(at, w) + inside]))
+
+
 def linked(fp: np.ndarray, group: np.ndarray, radius: int = RADIUS) -> np.ndarray:
     """For each row the smallest row of its group that is reachable by links within the radius."""
-    root, parent, edge = bk_forest(fp, group)
-    children = np.flatnonzero(parent >= 0)
-    keys = parent[children] * STRIDE + edge[children]
-    order = np.argsort(keys, kind="stable")
-    keys, children = keys[order], children[order]
+    forest = Forest(fp, group)
     label = np.arange(len(fp))
-    stack = [(np.arange(len(fp)), root)]
-    while stack:
-        query, node = stack.pop()
-        if len(query) > STEP:
-            half = len(query) // 2
-            stack += [(query[:half], node[:half]), (query[half:], node[half:])]
-            continue
-        d = differing(fp[query], fp[node])
+    for query, node, d in forest.visits(fp, forest.root, radius):
         near = d <= radius
         a, b = query[near], node[near]
         while len(a):
@@ -130,16 +156,6 @@ def linked(fp: np.ndarray, group: np.ndarray, radius: int = RADIUS) -> np.ndarra
                 label = label[label]
             apart = label[a] != label[b]
             a, b = a[apart], b[apart]
-        lo = np.searchsorted(keys, node * STRIDE + np.maximum(0, d - radius))
-        hi = np.searchsorted(keys, node * STRIDE + np.minimum(STRIDE - 1, d + radius), "right")
-        width = hi - lo
-        some = width > 0
-        query, lo, width = query[some], lo[some], width[some]
-        for part in range(0, len(query), max(1, STEP // max(1, int(width.max(initial=1))))):
-            end = part + max(1, STEP // max(1, int(width.max(initial=1))))
-            w, at = width[part:end], lo[part:end]
-            inside = np.arange(w.sum()) - np.repeat(np.cumsum(w) - w, w)
-            stack.append((np.repeat(query[part:end], w), children[np.repeat(at, w) + inside]))
     return label
 
 
@@ -203,33 +219,50 @@ def cluster(df: DataFrame, doc_id: str = "doc_id", text: str = "text", radius: i
 
 
 # -- similarity of five-word shingle sets ------------------------------------------------------------------------------
-#: Words of a wide fingerprint, the shingle length of the pipeline's stage and its similarity.
+#: 64-bit words of a wide fingerprint, the shingle length of the pipeline's stage and its similarity.
 WIDE, SHINGLE, SIMILARITY = 4, 5, 0.8
-#: Minima in a band key, and the share of pairs exactly at the similarity that may meet in no band.
-ROWS, MISS = 5, 1e-5
-#: Bucket pairs a text up to which all are compared at once, and the most rounds of stars before all that are left are.
-DENSE, STARS = 8, 4
+#: Minima in a shard key, and the share of pairs exactly at the similarity that may meet in no shard.
+ROWS, MISS = 6, 1e-3
+#: Standard deviations of the distance at the similarity that the radius allows for, and the number of shingles under which
+#: no radius holds (the bits of few shingles differ by chance).
+SPREAD, FEW = 3.0, 64
+#: Candidates that a member of a shard has checked, nearest first, round by round; None: all within the radius.
+NEAREST = (1, 4, None)
+#: Members of a part of a large shard, and those of each part nearest to its majority fingerprint, which all parts meet.
+PART, HEADS = 4096, 4
+#: Rows of a table that may be broadcast (under 20 bytes each).
+SMALL = 1_000_000
+_ODD = np.random.default_rng(42).integers(0, 1 << 63, 4096, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_MIX = np.uint64(0xFF51AFD7ED558CCD)
 
 
-def wide_fingerprint(text: str | None, words: int = SHINGLE) -> np.ndarray:
-    """WIDE * 64 majority bits over the distinct word shingles, as signed 64-bit integers."""
+def shingle_set(text: str | None, words: int = SHINGLE) -> np.ndarray:
+    """Sorted distinct 64-bit hashes of the word shingles (of all words, if there are fewer)."""
     import xxhash
 
     tokens = (text or "").encode().translate(_LOWER).split()
     if not tokens:
-        return np.zeros(WIDE, np.int64)
+        return np.zeros(0, np.uint64)
     joined = b" ".join(tokens)
     ends = np.cumsum([len(t) + 1 for t in tokens])
     starts = [0, *ends[:-1].tolist()]
     last = max(1, len(tokens) - words + 1)
     stops = (ends[min(words, len(tokens)) - 1 :] - 1).tolist()
-    digest = xxhash.xxh3_128_digest
-    distinct = {joined[a:b] for a, b in zip(starts[:last], stops, strict=False)}
-    h = np.frombuffer(b"".join([digest(s, k) for s in distinct for k in range(WIDE // 2)]), np.uint8).reshape(len(distinct), WIDE * 8)
+    digest = xxhash.xxh3_64_intdigest
+    return np.unique(np.fromiter((digest(joined[a:b]) for a, b in zip(starts[:last], stops, strict=False)), np.uint64, last))
+
+
+def wide_fingerprint(shingles: np.ndarray) -> np.ndarray:
+    """WIDE * 64 majority bits over a shingle set: a SimHash of WIDE words, each of its own mix of the hashes."""
+    if not len(shingles):
+        return np.zeros(WIDE, np.uint64)
     ones = np.zeros(WIDE * 64, np.int64)
-    for at in range(0, len(h), 4096):
-        ones += np.unpackbits(h[at : at + 4096], axis=1, bitorder="little").sum(0, dtype=np.int64)
-    return np.packbits(2 * ones > len(h), bitorder="little").view("<i8")
+    for at in range(0, len(shingles), 255):
+        h = shingles[at : at + 255, None] * _ODD[:WIDE]
+        h = (h ^ (h >> np.uint64(32))) * _MIX
+        h ^= h >> np.uint64(29)
+        ones += np.unpackbits(h.view(np.uint8), axis=1, bitorder="little").sum(0, dtype=np.uint8)
+    return np.packbits(2 * ones > len(shingles), bitorder="little").view("<u8")
 
 
 def differing_share(similarity: float) -> float:
@@ -237,99 +270,201 @@ def differing_share(similarity: float) -> float:
     return float(np.arccos(min(1.0, 2 * similarity / (1 + similarity))) / np.pi)
 
 
-def shingle_set(text: str | None, words: int = SHINGLE) -> np.ndarray:
-    """Sorted distinct 64-bit hashes of the word shingles (of all words, if there are fewer)."""
-    import xxhash
-
-    tokens = (text or "").encode().translate(_LOWER).split()
-    if not tokens:
-        return np.zeros(0, np.uint64)
-    joined = b" ".join(tokens)
-    ends = np.cumsum([len(t) + 1 for t in tokens])
-    starts = [0, *ends[:-1].tolist()]
-    last = max(1, len(tokens) - words + 1)
-    stops = (ends[min(words, len(tokens)) - 1 :] - 1).tolist()
-    digest = xxhash.xxh3_64_intdigest
-    return np.unique(np.fromiter((digest(joined[a:b]) for a, b in zip(starts[:last], stops, strict=False)), np.uint64, last))
+def wide_radius(similarity: float = SIMILARITY) -> int:
+    """Differing bits up to which a pair is a candidate: SPREAD deviations over the mean at the similarity."""
+    p, bits = differing_share(similarity), 64 * WIDE
+    return int(np.ceil(bits * p + SPREAD * np.sqrt(bits * p * (1 - p))))
 
 
 def bands(similarity: float = SIMILARITY) -> int:
-    """Bands of ROWS minima, so that at most MISS of the pairs at the similarity share none, whatever the table's size."""
+    """Shard keys of ROWS minima, so that at most MISS of the pairs at the similarity share none, whatever the table's size."""
     return int(np.ceil(np.log(MISS) / np.log1p(-(similarity**ROWS)))) if similarity < 1 else 1
 
 
 def band_keys(shingles: np.ndarray, n: int) -> np.ndarray:
     """One key for each of n bands: a hash of the minima of ROWS random orders of the set."""
-    odd = np.random.default_rng(42).integers(0, 1 << 63, n * ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    odd = _ODD[-n * ROWS :]
     least = np.full(n * ROWS, np.iinfo(np.uint64).max)
     for at in range(0, len(shingles), 256):
         np.minimum(least, (shingles[at : at + 256, None] * odd).min(0), out=least)
     key = np.arange(n, dtype=np.uint64)
     for column in least.reshape(n, ROWS).T:
-        key = (key ^ column) * np.uint64(0xFF51AFD7ED558CCD)
+        key = (key ^ column) * _MIX
         key ^= key >> np.uint64(33)
     return key.view(np.int64)
 
 
-def _labelled(met: DataFrame, found: DataFrame | None) -> DataFrame:
-    """Members (key, node, n) of buckets that still hold several components, with `comp` and the bucket's largest, `main`."""
-    if found is None:
-        rows = met.withColumn("comp", F.col("node"))
-    else:
-        rows = met.join(found.withColumnRenamed("component", "comp"), "node", "left").withColumn("comp", F.coalesce("comp", "node"))
-    sizes = rows.groupBy("key", "comp").agg(F.count("*").alias("size"))
-    total = sizes.groupBy("key").agg(F.max(F.struct("size", "comp"))["comp"].alias("main"), ((F.sum("size") * F.sum("size") - F.sum(F.col("size") * F.col("size"))) / 2).alias("open"))
-    return checkpointed(rows.join(total.where("open > 0"), "key"))
+def _by_part(solve: Callable[[dict[str, np.ndarray]], pa.RecordBatch | None]):
+    """Apply solve to whole (key, part) groups of rows that come sorted; one may go on in the next batch."""
+
+    def arrays(table: pa.Table) -> dict[str, np.ndarray]:
+        out = {c: table[c].to_numpy() for c in table.schema.names if c != "fp"}
+        out["fp"] = np.frombuffer(b"".join(table["fp"].to_pylist()), "<u8").reshape(-1, WIDE)
+        out["group"] = np.cumsum(np.append(0, (np.diff(out["key"]) != 0) | (np.diff(out["part"]) != 0)))
+        return out
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            key, part = (batch.column(c).to_numpy() for c in ("key", "part"))
+            before = np.flatnonzero((key != key[-1]) | (part != part[-1]))
+            cut = int(before[-1]) + 1 if len(before) else 0
+            if cut:
+                got = solve(arrays(pa.Table.from_batches([*held, batch.slice(0, cut)])))
+                held = []
+                if got is not None:
+                    yield got
+            held.append(batch.slice(cut))
+        if held:
+            got = solve(arrays(pa.Table.from_batches(held)))
+            if got is not None:
+                yield got
+
+    return run
+
 
+def _main(group: np.ndarray, comp: np.ndarray) -> np.ndarray:
+    """For each row whether it is of its group's largest component, if that has several rows (the smallest on ties)."""
+    order = np.lexsort((comp, group))
+    head = np.append(True, (np.diff(group[order]) != 0) | (np.diff(comp[order]) != 0))
+    run = np.cumsum(head) - 1
+    size, of = np.bincount(run), group[order][head]
+    best = np.lexsort((comp[order][head], -size, of))
+    first = best[np.append(True, np.diff(of[best]) != 0)]
+    chosen = np.zeros(len(size), bool)
+    chosen[first] = size[first] > 1
+    out = np.empty(len(group), bool)
+    out[order] = chosen[run]
+    return out
 
-def _fit(similarity: float) -> Column:
-    """Sizes alone do not rule the similarity out."""
-    least = F.lit(similarity - 1e-9)
-    return (F.col("na") >= least * F.col("nb")) & (F.col("nb") >= least * F.col("na"))
 
+def _candidates(k: int | None, similarity: float, x: dict[str, np.ndarray]) -> pa.RecordBatch | None:
+    """Pairs of different components within the radius: of each asking member the k nearest, or all.
 
-def _links(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
-    """The pairs (a, b) whose shingle sets have a Jaccard index of the similarity or more."""
+    Members outside their group's largest component ask. In a part of a large shard guests from other parts are there:
+    heads to be found (k given), or, in the last round, the members that ask.
+    """
+    guest, group, comp, n = x["guest"], x["group"], x["comp"], x["n"]
+    last = x["large"] & (k is None)
+    asks = np.where(last, guest, ~guest & ~_main(group, comp))
+    there = ~last | ~guest
+    mixed = np.zeros(int(group[-1]) + 1, bool)  # groups of more than one component
+    low, high = np.full(len(mixed), np.iinfo(np.int64).max), np.full(len(mixed), np.iinfo(np.int64).min)
+    np.minimum.at(low, group, comp)
+    np.maximum.at(high, group, comp)
+    mixed = low < high
+    query, target = np.flatnonzero(asks & mixed[group]), np.flatnonzero(there & mixed[group])
+    if not len(query) or not len(target):
+        return None
+    forest = Forest(x["fp"][target], group[target])
+    first = np.full(len(mixed), -1)
+    first[group[target]] = forest.root
+    query = query[first[group[query]] >= 0]
+    size = np.bincount(group[target], minlength=len(mixed))[group[query]]
+    radius = np.where(n[query] * similarity < FEW, WIDE * 64, wide_radius(similarity))
+    found: list[np.ndarray] = []
+    at = 0
+    ends = np.cumsum(size)
+    while at < len(query):  # queries whose groups have about STEP targets together
+        stop = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + STEP, "right")))
+        block = query[at:stop]
+        hits = []
+        for q, node, d in forest.visits(x["fp"][block], first[group[block]], radius[at:stop]):
+            a, b = block[q], target[node]
+            small = np.minimum(n[a], n[b])
+            near = ((d <= wide_radius(similarity)) | (small < FEW)) & (comp[a] != comp[b]) & (small >= (similarity - 1e-9) * np.maximum(n[a], n[b]))
+            hits.append(np.column_stack([a[near], d[near], x["node"][a[near]], x["node"][b[near]]]))
+        h = np.concatenate(hits)
+        if k is not None and len(h):
+            h = h[np.lexsort((h[:, 3], h[:, 1], h[:, 0]))]
+            rank = np.arange(len(h)) - np.searchsorted(h[:, 0], h[:, 0])
+            h = h[rank < k]
+        found.append(h[:, 2:])
+        at = stop
+    pairs = np.unique(np.sort(np.concatenate(found), axis=1), axis=0)
+    return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"]) if len(pairs) else None
+
+
+def _heads(x: dict[str, np.ndarray]) -> pa.RecordBatch | None:
+    """The members of each part that lie nearest to the majority of its fingerprints: the middle of a star of copies is one."""
+    out = []
+    starts = np.flatnonzero(np.append(True, np.diff(x["group"]) != 0))
+    for a, b in zip(starts, np.append(starts[1:], len(x["group"])), strict=True):
+        ones = np.zeros(WIDE * 64, np.int64)
+        for at in range(a, b, 1024):
+            ones += np.unpackbits(np.ascontiguousarray(x["fp"][at : min(b, at + 1024)]).view(np.uint8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+        middle = np.packbits(2 * ones > b - a, bitorder="little").view("<u8")
+        out.append(a + np.lexsort((x["node"][a:b], differing(x["fp"][a:b], middle)))[:HEADS])
+    rows = np.concatenate(out)
+    return pa.RecordBatch.from_arrays([pa.array(x["key"][rows]), pa.array(x["node"][rows])], ["key", "node"])
+
+
+def _dealt(rows: DataFrame, solve, schema: str) -> DataFrame:
+    return rows.repartition("key", "part").sortWithinPartitions("key", "part", "node").mapInArrow(_by_part(solve), schema)
+
+
+def _round(met: DataFrame, found: DataFrame | None, heads: DataFrame | None, k: int | None, similarity: float) -> DataFrame:
+    """Candidate pairs (a, b) of one round over the members (key, parts, part, node, n, fp) of all shards."""
+    rows = met.withColumn("comp", F.col("node"))
+    if found is not None:
+        few = found.count() <= SMALL
+        labels = found.withColumnRenamed("component", "label")
+        rows = met.join(F.broadcast(labels) if few else labels, "node", "left").withColumn("comp", F.coalesce("label", "node")).drop("label")
+    cols = ["key", "part", "node", "n", "comp", "fp", (F.col("parts") > 1).alias("large")]
+    all_rows = rows.select(*cols, F.lit(False).alias("guest"))
+    if heads is not None:
+        large = rows.where("parts > 1")
+        if k is None:
+            main = large.groupBy("key", "comp").agg(F.count("*").alias("size")).groupBy("key").agg(F.max(F.struct("size", F.col("comp").alias("main"))).alias("m"))
+            guests = large.join(main.select("key", F.col("m.main").alias("main")), "key").where("comp <> main")
+        else:
+            guests = large.join(F.broadcast(heads) if heads.count() <= SMALL else heads, ["key", "node"], "left_semi")
+        guests = guests.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+        all_rows = all_rows.unionByName(guests.select(*cols, F.lit(True).alias("guest")))
+    return _dealt(all_rows, partial(_candidates, k, similarity), "a long, b long").distinct()
+
+
+def _checked(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """(a, b, ok): whether the Jaccard index of a pair's shingle sets is the similarity or more."""
     both = F.size(F.array_intersect("sa", "sb"))
     left, right = (sets.select(F.col("node").alias(x), F.col("shingles").alias(f"s{x}")) for x in "ab")
-    sized = F.size("sa") + F.size("sb") - both
-    return pairs.distinct().join(left, "a").join(right, "b").where(both >= F.lit(similarity - 1e-9) * sized).select("a", "b")
+    ok = both >= F.lit(similarity - 1e-9) * (F.size("sa") + F.size("sb") - both)
+    return pairs.join(left, "a").join(right, "b").select("a", "b", ok.alias("ok"))
 
 
-def _grouped(met: DataFrame, sets: DataFrame, nodes: int, similarity: float) -> DataFrame | None:
-    """Components of all pairs that share a bucket and have the similarity.
+def _grouped(met: DataFrame, sets: DataFrame, similarity: float) -> DataFrame | None:
+    """Components of all pairs that meet in a shard, lie within the radius and have the similarity.
 
-    Where buckets are large, each member is first compared with one member of each of its buckets, another every
-    round. That joins most of a large group; then only pairs of different components are compared, all of them.
+    A member's nearest candidates are checked first. That joins most of a large group, after which only pairs of
+    different components are left; the last round checks all of those.
     """
-    found = links = None
-    for turn in range(STARS + 1):
-        rows = _labelled(met, found)
-        left = rows.groupBy("key").agg(F.first("open").alias("open")).agg(F.sum("open")).first()[0]
-        if not left:
-            return found
-        full = left <= DENSE * nodes or turn == STARS
-        if full:
-            a = rows.where("comp <> main").select("key", F.col("node").alias("a"), F.col("n").alias("na"), F.col("comp").alias("ca"))
-            b = rows.select("key", F.col("node").alias("b"), F.col("n").alias("nb"), F.col("comp").alias("cb"), "main")
-            pairs = a.join(b, "key").where(((F.col("cb") == F.col("main")) | (F.col("a") < F.col("b"))) & (F.col("ca") != F.col("cb")) & _fit(similarity))
-        else:
-            order = F.xxhash64("node", "key", F.lit(turn))
-            heads = rows.groupBy("key").agg(F.min(F.struct(order, "node", "n", "comp")).alias("h"))
-            heads = heads.select("key", F.col("h.node").alias("b"), F.col("h.n").alias("nb"), F.col("h.comp").alias("cb"))
-            pairs = rows.select("key", F.col("node").alias("a"), F.col("n").alias("na"), F.col("comp").alias("ca")).join(heads, "key").where((F.col("ca") != F.col("cb")) & _fit(similarity))
-        got = checkpointed(_links(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), sets, similarity))
-        links = got if links is None else links.unionByName(got)
-        found = components(links)
-        if full:
-            return found
+    heads = None
+    large = met.where("parts > 1")
+    if not large.isEmpty():
+        heads = checkpointed(_dealt(large, _heads, "key long, node long"))
+    found = links = failed = None
+    for k in NEAREST:
+        pairs = _round(met, found, heads, k, similarity)
+        if failed is not None:
+            pairs = pairs.join(failed, ["a", "b"], "left_anti")
+        got = checkpointed(_checked(pairs, sets, similarity))
+        new, bad = got.where("ok").select("a", "b"), got.where("not ok").select("a", "b")
+        failed = bad if failed is None else failed.unionByName(bad)
+        if not new.isEmpty():
+            links = new if links is None else links.unionByName(new)
+            found = components(links)
+    return found
 
 
 def similar(df: DataFrame, doc_id: str = "doc_id", text: str = "text", similarity: float = SIMILARITY, words: int = SHINGLE) -> DataFrame:
     """doc_id, body (digest of the shingle set) and component_id: texts linked where the Jaccard index of their word
     shingle sets is `similarity` or more.
 
-    Candidates share a band of minima (`bands`); each is checked against the sets themselves. Equal sets are one node.
+    Fingerprints of WIDE * 64 bits are dealt to shards by minima of the shingle set (`bands`: their number does not grow
+    with the table), each shard's BK-tree is searched within a radius that allows for the similarity, and every candidate
+    that could still join two components is checked against the sets themselves. Equal sets are one node.
     """
     n = bands(similarity)
 
@@ -342,23 +477,26 @@ def similar(df: DataFrame, doc_id: str = "doc_id", text: str = "text", similarit
     def sketch(piece: pa.RecordBatch) -> pa.RecordBatch:
         sets, body = read(piece.column("text").to_pylist())
         keys = pa.array([band_keys(s, n) if len(s) else [] for s in sets], pa.list_(pa.int64()))
-        return pa.RecordBatch.from_arrays([piece.column("key"), body, pa.array([len(s) for s in sets], pa.int32()), keys], ["doc_id", "body", "n", "keys"])
+        fp = pa.array([wide_fingerprint(s).tobytes() for s in sets], pa.binary())
+        return pa.RecordBatch.from_arrays([piece.column("key"), body, pa.array([len(s) for s in sets], pa.int32()), fp, keys], ["doc_id", "body", "n", "fp", "keys"])
 
     def whole(piece: pa.RecordBatch) -> pa.RecordBatch:
         sets, body = read(piece.column("text").to_pylist())
         return pa.RecordBatch.from_arrays([piece.column("key"), body, pa.array([s.view(np.int64) for s in sets], pa.list_(pa.int64()))], ["node", "body", "shingles"])
 
     given = df.select(F.col(doc_id).cast("long").alias("key"), F.col(text).cast("string").alias("text"))
-    prints = checkpointed(map_slices(given, "text", sketch, "doc_id long, body binary, n int, keys array<long>"))
-    reps = checkpointed(prints.groupBy("body").agg(F.min("doc_id").alias("node"), F.first("n").alias("n"), F.first("keys").alias("keys")))
+    prints = checkpointed(map_slices(given, "text", sketch, "doc_id long, body binary, n int, fp binary, keys array<long>"))
+    reps = checkpointed(prints.groupBy("body").agg(F.min("doc_id").alias("node"), F.first("n").alias("n"), F.first("fp").alias("fp"), F.first("keys").alias("keys")))
     some = reps.where("node is not null")
-    dealt = some.select("node", "n", F.explode("keys").alias("key"))
-    shared = dealt.groupBy("key").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low < high").select("key")
-    met = checkpointed(dealt.join(shared, "key"))
-    members = met.select("node").distinct()
-    sets = map_slices(given.join(members, F.col("key") == F.col("node"), "left_semi"), "text", whole, "node long, body binary, shingles array<long>")
+    dealt = some.select("node", F.explode("keys").alias("key"))
+    shared = dealt.groupBy("key").agg(F.count("*").alias("members")).where("members > 1").select("key", F.ceil(F.col("members") / PART).cast("int").alias("parts"))
+    own = dealt.join(shared, "key").join(some.select("node", "n", "fp"), "node")
+    met = checkpointed(own.withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")))
+    members = checkpointed(met.select("node").distinct())
+    wanted = F.broadcast(members) if members.count() <= SMALL else members
+    sets = map_slices(given.join(wanted, F.col("key") == F.col("node"), "left_semi"), "text", whole, "node long, body binary, shingles array<long>")
     sets = checkpointed(sets.join(some.select("node", "body"), ["node", "body"], "left_semi").dropDuplicates(["node", "body"]))
-    found = _grouped(met, sets, some.count(), similarity)
+    found = _grouped(met, sets, similarity)
     if found is None:
         return prints.join(reps.select("body", F.col("node").alias("component_id")), "body").select("doc_id", "body", "component_id")
     home = reps.select("body", "node").join(found, "node", "left").select("body", F.coalesce("component", "node").alias("component_id"))
@@ -370,11 +508,12 @@ def keep_one(df: DataFrame, doc_id: str = "doc_id", text: str = "text", similari
 
     Rows that repeat both id and text count once.
     """
-    groups = similar(df, doc_id, text, similarity, words)
-    groups = checkpointed(groups.where("doc_id is not null"))
-    going = groups.where("doc_id <> component_id").select(F.col("doc_id").alias("gone")).distinct()
-    kept = df.join(going, F.col(doc_id) == F.col("gone"), "left_anti")
+    given, back = numbered(df)
+    key, body = (f"c{df.columns.index(c)}" for c in (doc_id, text))
+    groups = checkpointed(similar(given, key, body, similarity, words).where("doc_id is not null"))
+    going = groups.where("doc_id <> component_id").select("doc_id").distinct()
+    kept = given.join(going, F.col(key) == F.col("doc_id"), "left_anti")
     repeated = groups.groupBy("doc_id", "body").agg(F.count("*").alias("n")).where("n > 1")
     if repeated.isEmpty():
-        return kept
-    return kept.withColumn("_same", F.xxhash64(F.col(text))).dropDuplicates([doc_id, "_same"]).drop("_same")
+        return back(kept)
+    return back(kept.withColumn("same", F.xxhash64(F.col(body))).dropDuplicates([key, "same"]))
