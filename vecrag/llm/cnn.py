@@ -2,15 +2,19 @@
 
 A word's embedding is the mean of the vectors its hashed pieces (the word and its character 3- to 5-grams with
 border marks) point to, so inflected forms share most of theirs. Filters of several widths run over the word sequence,
-each filter's maximum over the whole text is kept, and a logistic layer gives the score. Training starts from
-embeddings whose first column holds smoothed log odds of the pieces and runs Adam over a bounded labelled sample.
+each filter's maximum over the whole text is kept, and a logistic layer gives the score. All of it - the table of
+hashed embeddings, the filters and the output layer - is trained by backpropagation with Adam over a bounded labelled
+sample, from random values but for one column of the table, which starts at the pieces' smoothed log odds (from random
+values alone a few dozen labelled texts teach nothing). Longer texts than SAMPLE_CHARS are trained on by WINDOWS windows at hashed places.
 
-Thresholds are calibrated by language on the training rows: each language's cut is the one that gives the best F1
-there. Scores are mapped through one monotone curve so that the common cut lies at `CUT`; a language with enough
-labelled rows gets its own threshold in `Model.thresholds`, others the common one. Language is no input of a score.
+Thresholds are calibrated by language on a fold of the sample that is not trained on: each language's cut is the one of
+best F1 there. Scores are mapped through one monotone curve so that the common cut lies at `CUT`; a language with enough
+rows in the fold gets its own threshold in `Model.thresholds`, others the common one. The language is predicted from the
+text; it is no input of a score.
 
 Defined results: null and empty texts and texts without words get the score of the empty sequence; equal texts get
-equal scores; whole texts are read; labels that are null are not learned from.
+equal scores; whole texts are read, runs of letters over 40 in consecutive words of 40; labels that are null are not
+learned from.
 """
 
 from __future__ import annotations
@@ -24,16 +28,20 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecrag.llm.common import held_out, map_slices, sampled_ids
+from vecrag.llm import ppm
+from vecrag.llm.common import held_out, map_slices, numbered, sampled_ids, sampled_text
 
-BUCKETS, DIM, FILTERS, WIDTHS = 1 << 16, 8, 8, (1, 2, 3)
-#: Bounds of the training sample: rows of each label, and characters of a row.
-SAMPLE_ROWS, SAMPLE_CHARS, SEED = 1500, 30_000, 42
+BUCKETS, DIM, FILTERS, WIDTHS = 1 << 16, 12, 8, (1, 2, 3)
+#: Bounds of the training sample: rows of each label, characters of a row, windows of a longer one.
+SAMPLE_ROWS, SAMPLE_CHARS, WINDOWS, SEED = 1500, 30_000, 30, 42
+#: One row in FOLD of the sample calibrates thresholds instead of being trained on, where the sample has LEAST_ROWS rows.
+FOLD, LEAST_ROWS = 5, 100
 #: Score at which the query contract calls a text toxic.
 CUT = 0.3
-WORD = re.compile(r"[^\W_]+")
-#: Lengths of character n-grams, and characters of a word that its pieces are made of.
-GRAMS, LONGEST = (3, 4, 5), 40
+#: A run of letters and digits, in words of up to 40.
+WORD = re.compile(r"[^\W_]{1,40}")
+#: Lengths of character n-grams.
+GRAMS = (3, 4, 5)
 #: Words hashed or projected in one step.
 AT_ONCE = 20_000
 #: Words whose projected vectors a worker remembers before it starts anew.
@@ -42,7 +50,7 @@ REMEMBERED = 150_000
 
 #: Odd multiplier of the polynomial hash and the finishing multiplier (fixed values).
 _STEP, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xFF51AFD7ED558CCD)
-_POWERS = np.cumprod(np.full(64, _STEP, np.uint64))
+_POWERS = np.cumprod(np.full(64, _STEP, np.uint64))  # a word has 40 letters and 2 border marks
 
 
 def _bucket(h: np.ndarray) -> np.ndarray:
@@ -61,7 +69,7 @@ def flat_pieces(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
     if len(words) > AT_ONCE:
         parts = [flat_pieces(words[k : k + AT_ONCE]) for k in range(0, len(words), AT_ONCE)]
         return np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
-    marked = [f"<{w[:LONGEST]}>" for w in words]
+    marked = [f"<{w}>" for w in words]
     size = np.array([len(m) for m in marked])
     code = np.frombuffer("".join(marked).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64) + np.uint64(1)
     start = np.cumsum(size) - size
@@ -184,59 +192,79 @@ class Scorer:
         return self.model.curve(1 / (1 + np.exp(-np.clip(self.logits(texts), -50, 50))))
 
 
-def fit(texts: list[str], labels: np.ndarray, langs: list[str | None] | None = None, epochs: int = 12, rate: float = 0.02, batch: int = 64, seed: int = SEED) -> Model:
-    """Train on (text, 0/1 label) rows; langs only group the rows for threshold calibration."""
+class Adam:
+    """Adam over named arrays; of those named in `sparse` only the rows given with a gradient move."""
+
+    def __init__(self, params: dict[str, np.ndarray], rate: float):
+        self.params, self.rate, self.step = params, rate, 0
+        self.m, self.v = ({k: np.zeros_like(p) for k, p in params.items()} for _ in range(2))
+
+    def move(self, grads: dict[str, np.ndarray], rows: dict[str, np.ndarray] | None = None) -> None:
+        self.step += 1
+        for k, g in grads.items():
+            at = (rows or {}).get(k, slice(None))
+            m = self.m[k][at] = 0.9 * self.m[k][at] + 0.1 * g
+            v = self.v[k][at] = 0.999 * self.v[k][at] + 0.001 * g * g
+            self.params[k][at] -= self.rate * (m / (1 - 0.9**self.step)) / (np.sqrt(v / (1 - 0.999**self.step)) + 1e-8)
+
+
+def fit(texts: list[str], labels: np.ndarray, langs: list[str | None] | None = None, steps: int = 150, rate: float = 0.02, batch: int = 32, seed: int = SEED) -> Model:
+    """Train on (text, 0/1 label) rows; langs only group the rows of the fold for threshold calibration."""
     rng = np.random.default_rng(seed)
     y = np.asarray(labels, np.float64)
-    row_of: dict[str, int] = {}
-    docs = [np.array([row_of.setdefault(w, len(row_of)) for w in WORD.findall(t.lower())], np.int32) for t in texts]
-    flat, sizes = flat_pieces(list(row_of))
-    del row_of
-    starts = np.cumsum(sizes) - sizes
-    table = rng.normal(0, 0.05, (BUCKETS, DIM)).astype(np.float32)
-    table[:, 0] = _log_odds(docs, flat, starts, sizes, y)
-    filters = rng.normal(0, 0.3, (DIM, COLUMNS))
-    for j, offset, cols in LAYOUT:
-        filters[0, cols] = np.linspace(0.5, 1.5, FILTERS) / (WIDTHS[j])
-    model = Model(table, filters, np.full((len(WIDTHS), FILTERS), -1.0), np.full(len(WIDTHS) * FILTERS, 0.1), -2.0)
-    if not len(y) or y.min() == y.max():
+    model = Model(
+        rng.normal(0, 0.1, (BUCKETS, DIM)).astype(np.float32), (0.3 * rng.normal(0, 1, (DIM, COLUMNS))).astype(np.float32),
+        np.full((len(WIDTHS), FILTERS), -1.0, np.float32), np.full(len(WIDTHS) * FILTERS, 0.1, np.float32), -2.0,
+    )
+    fold = np.zeros(len(y), bool) if len(y) < LEAST_ROWS else np.arange(len(y)) % FOLD == FOLD - 1
+    if not len(y) or y[~fold].min() == y[~fold].max():
         model.top_bias = -4.0 if not len(y) or y.max() == 0 else 4.0
         model.top[:] = 0
         return model
-    embedded = np.vstack([_means(model.table, flat, starts, sizes, at, at + 50_000) for at in range(0, len(sizes), 50_000)])
-    del flat
-    params = {"embedded": embedded, "filters": model.filters, "bias": model.bias, "top": model.top, "top_bias": np.array([model.top_bias])}
-    slow = {"embedded"}  # word vectors are tuned through the filters only, so that unseen forms stay comparable
-    m, v = ({k: np.zeros_like(p) for k, p in params.items()} for _ in range(2))
-    weight = np.where(y == 1, 0.5 / max(y.mean(), 1e-9), 0.5 / max(1 - y.mean(), 1e-9))
-    step = 0
-    for _ in range(epochs):
-        for part in np.array_split(rng.permutation(len(y)), max(1, len(y) // batch)):
-            grads = _gradients(params, [docs[i] for i in part], y[part], weight[part])
-            step += 1
-            for k, g in grads.items():
-                if k in slow:
-                    continue
-                m[k] = 0.9 * m[k] + 0.1 * g
-                v[k] = 0.999 * v[k] + 0.001 * g * g
-                params[k] -= rate * (m[k] / (1 - 0.9**step)) / (np.sqrt(v[k] / (1 - 0.999**step)) + 1e-8)
-    model.filters, model.bias, model.top, model.top_bias = params["filters"], params["bias"], params["top"], float(params["top_bias"][0])
-    _calibrate(model, texts, y, langs)
+    row_of: dict[str, int] = {}
+    docs = [np.array([row_of.setdefault(w, len(row_of)) for w in WORD.findall(t.lower())], np.int32) for t, held in zip(texts, fold, strict=True) if not held]
+    flat, sizes = flat_pieces(list(row_of))
+    starts = np.append(0, np.cumsum(sizes))
+    row_count = len(row_of)
+    del row_of
+    y_in = y[~fold]
+    model.table[:, 0] = _log_odds(docs, flat, starts, y_in)
+    for j, _, cols in LAYOUT:
+        model.filters[0, cols] = np.linspace(0.5, 1.5, FILTERS) / WIDTHS[j]
+    params = {"table": model.table, "filters": model.filters, "bias": model.bias, "top": model.top, "top_bias": np.array([model.top_bias], np.float32)}
+    adam = Adam(params, rate)
+    weight = np.where(y_in == 1, 0.5 / y_in.mean(), 0.5 / (1 - y_in.mean())).astype(np.float32)
+    while adam.step < steps and row_count:
+        for part in np.array_split(rng.permutation(len(y_in)), max(1, len(y_in) // batch))[: steps - adam.step]:
+            given = [docs[i] for i in part]
+            words, index = np.unique(np.concatenate(given), return_inverse=True)
+            if not len(words):
+                continue
+            owner = np.repeat(np.arange(len(words)), sizes[words])
+            first = np.append(0, np.cumsum(sizes[words])[:-1])
+            pieces = flat[np.arange(len(owner)) + (starts[words] - first)[owner]]
+            many = sizes[words, None].astype(np.float32)
+            embedded = np.add.reduceat(model.table[pieces], first, axis=0) / many
+            ends = np.cumsum([len(d) for d in given])
+            grads = _gradients(params | {"embedded": embedded}, np.split(index, ends[:-1]), y_in[part], weight[part])
+            up = grads.pop("embedded")
+            told = np.flatnonzero(np.abs(up).sum(1))  # words that some filter's maximum came from
+            hit = np.isin(owner, told)
+            rows, at = np.unique(pieces[hit], return_inverse=True)
+            grads["table"] = np.zeros((len(rows), DIM), np.float32)
+            np.add.at(grads["table"], at, (up / many)[owner[hit]])
+            adam.move(grads, {"table": rows})
+    model.top_bias = float(params["top_bias"][0])
+    left = fold if fold.any() else ~fold
+    _calibrate(model, [t for t, k in zip(texts, left, strict=True) if k], y[left], [x for x, k in zip(langs, left, strict=True) if k] if langs else None)
     return model
 
 
-def _means(table: np.ndarray, flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray, a: int, b: int) -> np.ndarray:
-    """Mean piece vectors of the words a..b."""
-    first = starts[a]
-    last = starts[b] if b < len(starts) else len(flat)
-    return np.add.reduceat(table[flat[first:last]], starts[a:b] - first, axis=0) / sizes[a:b, None].astype(np.float32)
-
-
-def _log_odds(docs: list[np.ndarray], flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray, y: np.ndarray) -> np.ndarray:
+def _log_odds(docs: list[np.ndarray], flat: np.ndarray, starts: np.ndarray, y: np.ndarray) -> np.ndarray:
     """Smoothed log odds of a bucket's presence in texts labelled 1 against 0, shrunk where it was seen rarely."""
     hits = np.zeros((2, BUCKETS))
     for words, label in zip(docs, y, strict=True):
-        seen = [flat[starts[w] : starts[w] + sizes[w]] for w in np.unique(words)]
+        seen = [flat[starts[w] : starts[w + 1]] for w in np.unique(words)]
         if seen:
             hits[int(label), np.unique(np.concatenate(seen))] += 1
     n = np.array([max(1, (y == 0).sum()), max(1, (y == 1).sum())])
@@ -249,8 +277,8 @@ def _gradients(params: dict, docs: list[np.ndarray], y: np.ndarray, weight: np.n
     pad = max(WIDTHS)
     index = np.concatenate([np.append(d, np.full(pad, -1)) for d in docs])
     starts = np.cumsum([0, *(len(d) + pad for d in docs[:-1])])
-    x = np.where(index[:, None] >= 0, params["embedded"][index], 0.0)
-    seen = x @ params["filters"]
+    known = np.vstack([params["embedded"], np.zeros_like(params["embedded"][:1])])  # the last row is the padding word
+    seen = (known @ params["filters"])[index]
     pooled, where = [], []
     for k, _ in enumerate(WIDTHS):
         conv = np.repeat(params["bias"][k][None, :], len(index), 0)
@@ -270,14 +298,16 @@ def _gradients(params: dict, docs: list[np.ndarray], y: np.ndarray, weight: np.n
     error = (p - y) * weight / len(y)
     back = np.outer(error, params["top"]) * (raw > 0)
     grads = {"top": hidden.T @ error + 1e-4 * params["top"], "top_bias": np.array([error.sum()]), "bias": np.zeros_like(params["bias"]), "filters": 1e-4 * params["filters"]}
+    embedded = np.zeros_like(known)
     for k, _ in enumerate(WIDTHS):
         g = back[:, k * FILTERS : (k + 1) * FILTERS]
         grads["bias"][k] = g.sum(0)
         for j, offset, cols in LAYOUT:
             if j == k:
                 at = np.minimum(where[k] + offset, len(index) - 1)
-                grads["filters"][:, cols] += np.einsum("df,dfe->ef", g, x[at])
-    return grads
+                grads["filters"][:, cols] += np.einsum("df,dfe->ef", g, known[index[at]])
+                np.add.at(embedded, index[at].ravel(), (g[:, :, None] * params["filters"][:, cols].T[None]).reshape(-1, embedded.shape[1]))
+    return grads | {"embedded": embedded[:-1]}
 
 
 def _best_cut(p: np.ndarray, y: np.ndarray) -> float:
@@ -303,20 +333,26 @@ def _calibrate(model: Model, texts: list[str], y: np.ndarray, langs: list[str |
         model.thresholds[name] = _best_cut(scores[rows], y[rows]) if name and n >= 50 and 10 <= y[rows].sum() < n else CUT
 
 
-def train(df: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", label: str = "toxic", rows: int = SAMPLE_ROWS) -> Model:
-    """Learn from labelled rows that are not held out: at most `rows` of each label, picked by (seed, id) alone."""
+def train(df: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str = "text", label: str = "toxic", rows: int = SAMPLE_ROWS, languages: ppm.Model | None = None) -> Model:
+    """Learn from labelled rows that are not held out: at most `rows` of each label, picked by (seed, id) alone.
+
+    With `languages` thresholds are calibrated by predicted language, else there is the common one.
+    """
     given = labels.where(~held_out(doc_id) & F.col(label).isin(0, 1)).select(F.col(doc_id).alias("id"), F.col(label).cast("int").alias("label")).distinct()
     counts = {r["label"]: r["n"] for r in given.groupBy("label").agg(F.count("*").alias("n")).collect()}
     share = F.lit(0.0)
     for name, n in counts.items():
         share = F.when(F.col("label") == name, F.lit(min(1.0, 1.2 * rows / n))).otherwise(share)
     picked = given.where(sampled_ids(given, "id", share, SEED))  # at most about 2.4 * rows ids
-    texts = df.where(F.col(text).isNotNull() & (F.char_length(text) <= SAMPLE_CHARS)).select(F.col(doc_id).alias("id"), F.col(text).alias("text"), F.col(lang).alias("lang"))
-    got = texts.join(F.broadcast(picked), "id").select(F.xxhash64(F.lit(SEED), F.col("id")).alias("h"), "text", "lang", "label").collect()
+    body = sampled_text(F.col(text).cast("string"), F.col(doc_id), SAMPLE_CHARS, WINDOWS, SEED)
+    texts = df.where(F.col(text).isNotNull()).select(F.col(doc_id).alias("id"), body.alias("text"))
+    got = texts.join(F.broadcast(picked), "id").select(F.xxhash64(F.lit(SEED), F.col("id")).alias("h"), "text", "label").collect()
     chosen = []
     for k in (0, 1):
-        chosen += sorted(((r["h"] % (1 << 30), r["text"], r["lang"], k) for r in got if r["label"] == k), key=lambda x: (x[0], x[1]))[:rows]
-    return fit([r[1] for r in chosen], np.array([r[3] for r in chosen], float), [r[2] for r in chosen])
+        chosen += sorted(((r["h"] % (1 << 30), r["text"], k) for r in got if r["label"] == k), key=lambda x: (x[0], x[1]))[:rows]
+    given = [r[1] for r in chosen]
+    langs = None if languages is None else [x for k in range(0, len(given), 100) for x in languages.predict(given[k : k + 100])[0]]
+    return fit(given, np.array([r[2] for r in chosen], float), langs)
 
 
 def score(df: DataFrame, model: Model, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -333,19 +369,27 @@ def score(df: DataFrame, model: Model, doc_id: str = "doc_id", text: str = "text
     return map_slices(given, "text", work, f"key {df.schema[doc_id].dataType.simpleString()}, score double").withColumnRenamed("key", doc_id)
 
 
-def keep_clean(df: DataFrame, model: Model, text: str = "text", lang: str = "lang") -> DataFrame:
-    """Rows that score under their language's threshold (CUT where it has none), all columns kept as they are."""
-    shared = df.sparkSession.sparkContext.broadcast(model)
-    names, held = df.columns, {}
-    given = df.select(*(F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(names)))
-    at, of = names.index(text), names.index(lang) if lang in names else None
+def keep_clean(df: DataFrame, model: Model, languages: ppm.Model | None = None, text: str = "text") -> DataFrame:
+    """Rows that score under their predicted language's threshold (CUT where it has none), all columns kept as they are.
+
+    Languages are predicted only for rows whose score lies between the thresholds, where they decide.
+    """
+    shared = df.sparkSession.sparkContext.broadcast((model, languages))
+    given, back = numbered(df)
+    at, held = df.columns.index(text), {}
 
     def work(piece: pa.RecordBatch) -> pa.RecordBatch:
+        model, languages = shared.value
         if "it" not in held:
-            held["it"] = Scorer(shared.value)
-        langs = [None] * piece.num_rows if of is None else piece.column(of).to_pylist()
-        cuts = np.array([shared.value.thresholds.get(x, CUT) for x in langs], float)
-        return piece.filter(pa.array(held["it"].scores(piece.column(at).to_pylist()) < cuts))
-
-    out = map_slices(given, f"c{at}", work, given.schema)
-    return out.select(*(F.col(f"c{i}").alias(c) for i, c in enumerate(names)))
+            held["it"] = Scorer(model)
+        texts = piece.column(at).to_pylist()
+        scores = held["it"].scores(texts)
+        cuts = np.full(len(texts), CUT)
+        known = [CUT, *model.thresholds.values()]
+        open_rows = np.flatnonzero((scores >= min(known)) & (scores < max(known)))
+        if languages is not None and len(open_rows):
+            langs, _ = languages.predict([texts[k] for k in open_rows])
+            cuts[open_rows] = [model.thresholds.get(x, CUT) for x in langs]
+        return piece.filter(pa.array(scores < cuts))
+
+    return back(map_slices(given, f"c{at}", work, given.schema))

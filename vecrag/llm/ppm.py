@@ -9,6 +9,9 @@ text is a sum over its (ORDER+1)-byte grams; each slice prices its distinct gram
 The predicted language is the one with the shortest code; the score is its posterior under equal priors, its
 evidence counted per text as a whole. Defined results: null text or text without a letter is `und` with score 0;
 equal code lengths go to the language that sorts first; letters are compared in lower case; whole texts are coded.
+
+A posterior alone calls any long text one of the languages, so a filter also asks for a code of few enough bits a byte:
+the limit comes from training texts coded by trees that have not seen them.
 """
 
 from __future__ import annotations
@@ -21,11 +24,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecrag.llm.common import held_out, map_slices, sampled_ids
+from vecrag.llm.common import held_out, map_slices, numbered, sampled_ids, sampled_text
 
 ORDER = 3
-#: Training rows of a language: a bounded sample of its labelled rows, of texts up to SAMPLE_CHARS long.
-SAMPLE_ROWS, SAMPLE_CHARS, SEED = 400, 20_000, 42
+#: Training rows of a language: a bounded sample of its labelled rows; of texts over SAMPLE_CHARS characters, WINDOWS windows
+#: at hashed places.
+SAMPLE_ROWS, SAMPLE_CHARS, WINDOWS, SEED = 400, 20_000, 10, 42
+#: A text of LEAST_BYTES or more is of none of the languages if its code has over SLACK times the bits a byte that all but
+#: one in TAIL of the unseen training texts need.
+LEAST_BYTES, SLACK, TAIL = 40, 1.25, 100
 LETTER = re.compile(r"[^\W\d_]")
 _START = b"\n" * ORDER
 
@@ -123,15 +130,23 @@ def code_lengths(trees: list[ContextTree], texts: list[str]) -> np.ndarray:
 class Model:
     languages: list[str]
     trees: list[ContextTree]
+    limit: float = 8.0
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray]:
+        names, scores, _ = self.judge(texts)
+        return names, scores
+
+    def judge(self, texts: list[str | None]) -> tuple[list[str], np.ndarray, np.ndarray]:
+        """Language and score of each text, and whether its code is short enough for a text of that language."""
         bits = code_lengths(self.trees, [t or "" for t in texts])
         lettered = np.array([t is not None and bool(LETTER.search(t)) for t in texts], bool)
         if not self.languages:
-            return ["und"] * len(texts), np.zeros(len(texts))
+            return ["und"] * len(texts), np.zeros(len(texts)), np.zeros(len(texts), bool)
         best = np.argmin(np.round(bits, 6), axis=1)
         score = 1 / np.exp2(np.clip(bits.min(axis=1, keepdims=True) - bits, -1000, 0)).sum(axis=1)
-        return [self.languages[b] if ok else "und" for b, ok in zip(best, lettered, strict=True)], np.where(lettered, score, 0.0)
+        sizes = np.array([len((t or "").encode("utf-8", "replace")) for t in texts])
+        usual = (sizes < LEAST_BYTES) | (bits.min(axis=1) <= self.limit * sizes)
+        return [self.languages[b] if ok else "und" for b, ok in zip(best, lettered, strict=True)], np.where(lettered, score, 0.0), usual & lettered
 
 
 def train(df: DataFrame, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", rows: int = SAMPLE_ROWS) -> Model:
@@ -145,12 +160,25 @@ def train(df: DataFrame, doc_id: str = "doc_id", text: str = "text", lang: str =
     share = F.lit(0.0)
     for name, n in sorted(counts.items()):
         share = F.when(F.col(lang) == name, F.lit(min(1.0, 1.25 * rows / n))).otherwise(share)
-    sample = open_rows.where((F.char_length(text) <= SAMPLE_CHARS) & sampled_ids(open_rows, doc_id, share, SEED))
+    sample = open_rows.where(sampled_ids(open_rows, doc_id, share, SEED))
+    body = sampled_text(F.col(text).cast("string"), F.col(doc_id), SAMPLE_CHARS, WINDOWS, SEED)
     got: dict[str, list[tuple[int, str]]] = {}
-    for r in sample.select(F.xxhash64(F.lit(SEED), F.col(doc_id)).alias("h"), F.col(lang).alias("lang"), F.col(text).alias("text")).collect():
+    for r in sample.select(F.xxhash64(F.lit(SEED), F.col(doc_id)).alias("h"), F.col(lang).alias("lang"), body.alias("text")).collect():
         got.setdefault(r["lang"], []).append((r["h"] % (1 << 30), r["text"]))
     names = sorted(got)
-    return Model(names, [ContextTree.fit([t for _, t in sorted(got[n])[:rows]]) for n in names])
+    texts = [[t for _, t in sorted(got[n])[:rows]] for n in names]
+    return Model(names, [ContextTree.fit(t) for t in texts], usual_bits(texts))
+
+
+def usual_bits(texts: list[list[str]]) -> float:
+    """Bits a byte that a text of one of the languages has at most, but for a share of 1 / TAIL, times SLACK."""
+    rates = []
+    for own in texts:
+        for tree_of, coded in ((own[::2], own[1::2]), (own[1::2], own[::2])):
+            long = [t for t in coded if len(t.encode()) >= LEAST_BYTES]
+            if tree_of and long:
+                rates.append(code_lengths([ContextTree.fit(tree_of)], long)[:, 0] / [len(t.encode()) for t in long])
+    return min(8.0, float(np.quantile(np.concatenate(rates), 1 - 1 / TAIL)) * SLACK) if rates else 8.0
 
 
 def identify(df: DataFrame, model: Model, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -166,15 +194,13 @@ def identify(df: DataFrame, model: Model, doc_id: str = "doc_id", text: str = "t
 
 
 def keep_identified(df: DataFrame, model: Model, least: float = 0.5, text: str = "text") -> DataFrame:
-    """Rows whose text has a predicted language with a score of `least` or more, all columns kept as they are."""
+    """Rows whose text has a predicted language with a score of `least` or more and a code of usual length, all columns kept."""
     shared = df.sparkSession.sparkContext.broadcast(model)
-    names = df.columns
-    given = df.select(*(F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(names)))
-    at = names.index(text)
+    given, back = numbered(df)
+    at = df.columns.index(text)
 
     def work(piece: pa.RecordBatch) -> pa.RecordBatch:
-        langs, scores = shared.value.predict(piece.column(at).to_pylist())
-        return piece.filter(pa.array([lang != "und" and score >= least for lang, score in zip(langs, scores, strict=True)], pa.bool_()))
+        langs, scores, usual = shared.value.judge(piece.column(at).to_pylist())
+        return piece.filter(pa.array([lang != "und" and score >= least and ok for lang, score, ok in zip(langs, scores, usual.tolist(), strict=True)], pa.bool_()))
 
-    out = map_slices(given, f"c{at}", work, given.schema)
-    return out.select(*(F.col(f"c{i}").alias(c) for i, c in enumerate(names)))
+    return back(map_slices(given, f"c{at}", work, given.schema))
