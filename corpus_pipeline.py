@@ -11,7 +11,8 @@ from vecrag.llm.common import shared_folder, table
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return cnn.keep_clean(docs, cnn.train(docs, table(spark, sf_dir, "labels")))
+    languages = ppm.train(docs)
+    return cnn.keep_clean(docs, cnn.train(docs, table(spark, sf_dir, "labels"), languages=languages), languages)
 
 
 def keep_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
