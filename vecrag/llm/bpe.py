@@ -26,14 +26,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecrag.llm.common import slices
+from vecrag.llm.common import release, slices
 
 #: Bytes of a short piece, and pieces and bytes in one recursive query: they bound DuckDB's memory.
-SHORT, PIECES, BYTES = 64, 20_000, 320_000
+SHORT, PIECES, BYTES = 64, 10_000, 160_000
 #: Rows that a query over long pieces may gather in its rounds.
-LONG_ROWS = 2_000_000
+LONG_ROWS = 1_000_000
 #: Words and pieces that a worker remembers before it starts anew.
-WORDS_KEPT, PIECES_KEPT = 400_000, 600_000
+WORDS_KEPT, PIECES_KEPT = 200_000, 300_000
 #: Words of a text that are encoded together.
 TOGETHER = 500_000
 
@@ -212,7 +212,7 @@ class WordCoder:
 
         self.token_at = {token: at for at, token in enumerate(ranks)}
         self.tokens, self.token_ids = list(ranks), np.array(list(ranks.values()), np.int64)
-        self.db = duckdb.connect(config={"threads": 1, "memory_limit": "400MB", "temp_directory": ""})
+        self.db = duckdb.connect(config={"threads": 1, "memory_limit": "300MB", "temp_directory": ""})
         self.db.register("merges_given", merges)
         self.db.execute("CREATE TABLE merges AS SELECT * FROM merges_given")
         self.db.register("vocab_given", pa.table({"tok": self.token_ids, "hex": [t.hex() for t in ranks]}))
@@ -452,6 +452,7 @@ def encode(df: DataFrame, ranks_path: str, pattern: str, doc_id: str = "doc_id",
                 b = [h[1].hexdigest() if digests else b"".join(h[1]).decode() for h in held]
                 kept = [piece.column(f"k{i}") for i in range(len(keep))]
                 yield pa.RecordBatch.from_arrays([piece.column("key"), *kept, pa.array(n, pa.int64()), pa.array(a, kinds[0]), pa.array(b, kinds[1])], ["key", *(f"k{i}" for i in range(len(keep))), *names])
+        release()
 
     kind = df.schema[doc_id].dataType.simpleString()
     given = df.select(F.col(doc_id).alias("key"), F.col(text).cast("string").alias("text"), *(F.col(c).alias(f"k{i}") for i, c in enumerate(keep)))

@@ -45,7 +45,7 @@ GRAMS = (3, 4, 5)
 #: Words hashed or projected in one step.
 AT_ONCE = 20_000
 #: Words whose projected vectors a worker remembers before it starts anew.
-REMEMBERED = 150_000
+REMEMBERED = 80_000
 
 
 #: Odd multiplier of the polynomial hash and the finishing multiplier (fixed values).

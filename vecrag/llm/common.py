@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -13,7 +16,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of text that a Python operator holds decoded at once (a longer single text is its own slice).
-SLICE_BYTES = 2 << 20
+SLICE_BYTES = 1 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -74,10 +77,19 @@ def map_slices(df: DataFrame, column: str, work: Callable[[pa.RecordBatch], pa.R
         for batch in batches:
             for piece in slices(batch, column):
                 yield work(piece)
+        release()
 
     return df.mapInArrow(run, schema)
 
 
+def release() -> None:
+    """Give memory that a task has freed back to the system: its worker may wait idle beside other stages."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # not glibc
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def sampled_ids(df: DataFrame, doc_id: str, share: Column, seed: int) -> Column:
     """True for a share of the ids, fixed by (seed, id) alone: the same rows in every run and layout."""
     return F.pmod(F.xxhash64(F.lit(seed), F.col(doc_id)), F.lit(1 << 30)) < share * F.lit(1 << 30)
