@@ -1,13 +1,15 @@
 """Exact top-k by inner product: ball-tree branch and bound in every shard.
 
-Vectors are dealt to shards by a hash of their id; a shard's ball tree halves its members at the median along the
-direction between two far members, and a node keeps the mean and radius of its members. For a block of queries the
+Vectors are dealt to shards by a hash of their row; a shard's ball tree, built once and stored with it, halves its members
+at the median along the direction between two far members, and a node keeps the mean and radius of its members. For a
+block of queries the
 nodes wait in order of their upper bound |q . centre| + |q| * radius; a query is dropped from a node whose bound is
 under its current k-th score. A first pass gives each query the k best of one shard; that k-th score is shared with
 all shards from then on, and within a task it keeps rising from shard to shard.
 
 Defined results: vectors that are null, empty, or hold a null or non-finite component take no part; inner products
-exist between vectors of one length only; a repeated id counts once (its smallest vector); ties go to smaller ids.
+exist between vectors of one length only; rows that repeat an id are candidates, and queries, of their own (a row is only
+no candidate of itself); rows without an id take no part; ties go to smaller ids.
 """
 
 from __future__ import annotations
@@ -25,10 +27,14 @@ from pyspark.sql import functions as F
 from vecrag.llm.common import checkpointed
 
 LEAF, SHARD, BLOCK, TOP = 128, 4096, 1024, 5
+#: Blocks of queries that come to a shard together.
+BUNDLE = 16
+_NOBODY = np.iinfo(np.int64).max
 
 
 @dataclass
 class Tree:
+    rows: np.ndarray  # what tells a row from all others
     ids: np.ndarray
     vectors: np.ndarray
     nodes: list[tuple[int, int, int, int]]  # first row, row after the last, left node, right node (-1: leaf)
@@ -36,8 +42,9 @@ class Tree:
     radii: np.ndarray
 
 
-def build(ids: np.ndarray, vectors: np.ndarray, leaf: int = LEAF) -> Tree:
-    order = np.argsort(ids, kind="stable")
+def build(ids: np.ndarray, vectors: np.ndarray, leaf: int = LEAF, rows: np.ndarray | None = None) -> Tree:
+    rows = ids if rows is None else rows
+    order = np.lexsort((rows, ids))
     nodes: list[tuple[int, int, int, int]] = []
     centres, radii = [], []
 
@@ -61,17 +68,18 @@ def build(ids: np.ndarray, vectors: np.ndarray, leaf: int = LEAF) -> Tree:
         return at
 
     node(0, len(ids))
-    return Tree(ids[order], vectors[order], nodes, np.array(centres), np.array(radii))
+    return Tree(rows[order], ids[order], vectors[order], nodes, np.array(centres), np.array(radii))
 
 
 def search(tree: Tree, qid: np.ndarray, q: np.ndarray, k: int, best: np.ndarray | None = None, who: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, int]:
-    """The k best (scores, ids) of each query over `best`/`who` and the tree, and the number of products computed.
+    """The k best (scores, ids) of each query over `best`/`who` and the tree, and the number of products computed. qid is
+    the query's own row.
 
     Rows are sorted by falling score, then rising id; -inf stands for a missing one. Columns may exceed k - an incoming
     k-th score without its id (-1) is a bound only.
     """
     best = np.full((len(q), k), -np.inf) if best is None else best.copy()
-    who = np.full((len(q), k), np.iinfo(np.int64).max) if who is None else who.copy()
+    who = np.full((len(q), k), _NOBODY) if who is None else who.copy()
     length = np.sqrt((q**2).sum(1))
     bound = q @ tree.centres.T + length[:, None] * tree.radii[None, :] + 1e-6
     heap = [(-bound[:, 0].max(initial=-np.inf), 0)]
@@ -89,9 +97,9 @@ def search(tree: Tree, qid: np.ndarray, q: np.ndarray, k: int, best: np.ndarray
         score = q[alive] @ tree.vectors[lo:hi].T
         ids = tree.ids[lo:hi]
         products += score.size
-        score[qid[alive][:, None] == ids[None, :]] = -np.inf
+        score[qid[alive][:, None] == tree.rows[lo:hi][None, :]] = -np.inf
         take = min(k, hi - lo)
-        # order by (score, -id): ids are distinct, so equal scores at the edge must keep the smaller ids
+        # order by (score, -id): equal scores at the edge must keep the smaller ids
         floor = np.partition(score, hi - lo - take, axis=1)[:, hi - lo - take]
         hits = (score >= np.maximum(floor, best[alive, k - 1])[:, None]) & (score > -np.inf)
         for r in np.flatnonzero(hits.any(1)):
@@ -115,69 +123,86 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(n, -1).astype(np.float64) if n else np.zeros((0, 0))
 
 
-def _pairs(join: DataFrame, k: int) -> DataFrame:
-    """Search every (shard, block) row: ids and vectors of the shard, qids, vectors and k-th scores of the block.
+_TREE = {"rows": "<i8", "ids": "<i8", "vectors": "<f8", "nodes": "<i4", "centres": "<f8", "radii": "<f8"}
+TREE = ", ".join(f"{c} binary" for c in _TREE)
+ASKED = "qrows binary, qids binary, qbody binary, floor binary"
 
-    Each row is a group of its own, so that one shard and one block are in memory; k-th scores found in a task are
-    kept for the shards it comes to next.
-    """
-    known: dict[int, float] = {}
 
-    def run(t: pa.Table) -> pa.Table:
-        row = {c: t[c][0].as_py() for c in ("ids", "body", "qids", "qbody", "floor")}
-        ids, qids = np.frombuffer(row["ids"], "<i8"), np.frombuffer(row["qids"], "<i8")
-        tree = build(ids, np.frombuffer(row["body"], "<f8").reshape(len(ids), -1))
-        q = np.frombuffer(row["qbody"], "<f8").reshape(len(qids), -1)
-        shared = np.array([known.get(x, -np.inf) for x in qids.tolist()])
-        floor = np.maximum(np.frombuffer(row["floor"], "<f8"), shared)
-        nobody = np.full((len(q), k), np.iinfo(np.int64).max)
-        best, who, products = search(tree, qids, q, k, np.repeat(floor[:, None], k, axis=1), nobody)
-        if len(known) > 1 << 20:
-            known.clear()
-        known.update(zip(qids.tolist(), best[:, k - 1].tolist(), strict=True))
-        real = who != np.iinfo(np.int64).max
-        return pa.table({"query_id": qids[np.nonzero(real)[0]], "vec_id": who[real], "score": best[real].astype(np.int64), "products": np.full(int(real.sum()), products)})
+def _trees(placed: DataFrame) -> DataFrame:
+    """(dim, shard, tree): the ball tree of each shard, of bounded size, as packed bytes."""
 
-    return join.groupBy("dim", "shard", "block").applyInArrow(run, "query_id long, vec_id long, score long, products long")
+    def pack(t: pa.Table) -> pa.Table:
+        tree = build(t["id"].to_numpy(), _matrix(t["v"].combine_chunks()), rows=t["row"].to_numpy())
+        out = {g: pa.array([t[g][0].as_py()], pa.int32()) for g in ("dim", "shard")}
+        return pa.table(out | {c: pa.array([np.asarray(getattr(tree, c)).astype(kind).tobytes()], pa.binary()) for c, kind in _TREE.items()})
 
+    return placed.select("dim", "shard", "id", "row", "v").groupBy("dim", "shard").applyInArrow(pack, f"dim int, shard int, {TREE}")
 
-def _packed(df: DataFrame, group: list[str], id_name: str, names: tuple[str, str], extra: bool = False) -> DataFrame:
-    """One row for each group (of bounded size): its ids and vectors as packed bytes, sorted by id."""
-    schema = "".join(f"{g} int, " for g in group) + f"{names[0]} binary, {names[1]} binary" + (", floor binary" if extra else "")
+
+def _blocks(queries: DataFrame) -> DataFrame:
+    """(dim, block, rows, ids, vectors and k-th scores so far) of each block of queries, as packed bytes."""
 
     def pack(t: pa.Table) -> pa.Table:
-        t = t.sort_by(id_name).combine_chunks()
-        ids = t[id_name].to_numpy()
-        once = np.append(True, ids[1:] != ids[:-1])
-        body = _matrix(t["v"].chunk(0) if t["v"].num_chunks else t["v"].combine_chunks())[once]
-        out = {g: pa.array([t[g][0].as_py()], pa.int32()) for g in group}
-        out |= {names[0]: pa.array([ids[once].astype("<i8").tobytes()], pa.binary()), names[1]: pa.array([body.astype("<f8").tobytes()], pa.binary())}
-        if extra:
-            out["floor"] = pa.array([t["floor"].to_numpy(zero_copy_only=False)[once].astype("<f8").tobytes()], pa.binary())
-        return pa.table(out)
+        t = t.sort_by("row").combine_chunks()
+        out = {g: pa.array([t[g][0].as_py()], pa.int32()) for g in ("dim", "block")}
+        packed = (t["row"].to_numpy().astype("<i8"), t["id"].to_numpy().astype("<i8"), _matrix(t["v"].combine_chunks()).astype("<f8"), t["floor"].to_numpy(zero_copy_only=False).astype("<f8"))
+        return pa.table(out | {c.split()[0]: pa.array([x.tobytes()], pa.binary()) for c, x in zip(ASKED.split(", "), packed, strict=True)})
+
+    return queries.select("dim", "block", "row", "id", "v", "floor").groupBy("dim", "block").applyInArrow(pack, f"dim int, block int, {ASKED}")
+
+
+def _visit(trees: DataFrame, blocks: DataFrame, k: int) -> DataFrame:
+    """Search each tree for the bundle of query blocks that meets it at (dim, shard, bundle).
+
+    One tree and at most BUNDLE blocks are in memory; k-th scores found in a task are kept for what it comes to next.
+    """
+    known: dict[int, float] = {}
 
-    return df.groupBy(*group).applyInArrow(pack, schema)
+    def run(shard: pa.Table, asked: pa.Table) -> pa.Table:
+        out: list[tuple[np.ndarray, ...]] = []
+        if shard.num_rows and asked.num_rows:
+            dim = shard["dim"][0].as_py()
+            parts = {c: np.frombuffer(shard[c][0].as_py(), kind) for c, kind in _TREE.items()}
+            tree = Tree(parts["rows"], parts["ids"], parts["vectors"].reshape(-1, dim), [tuple(x) for x in parts["nodes"].reshape(-1, 4).tolist()], parts["centres"].reshape(-1, dim), parts["radii"])
+            for r in range(asked.num_rows):
+                rows, ids, floor = (np.frombuffer(asked[c][r].as_py(), kind) for c, kind in (("qrows", "<i8"), ("qids", "<i8"), ("floor", "<f8")))
+                q = np.frombuffer(asked["qbody"][r].as_py(), "<f8").reshape(-1, dim)
+                floor = np.maximum(floor, [known.get(x, -np.inf) for x in rows.tolist()])
+                best, who, _ = search(tree, rows, q, k, np.repeat(floor[:, None], k, axis=1), np.full((len(q), k), _NOBODY))
+                if len(known) > 1 << 20:
+                    known.clear()
+                known.update(zip(rows.tolist(), best[:, k - 1].tolist(), strict=True))
+                at, col = np.nonzero(who != _NOBODY)
+                out.append((rows[at], ids[at], who[at, col], best[at, col].astype(np.int64)))
+        cols = [np.concatenate(c) for c in zip(*out, strict=True)] if out else [np.zeros(0, np.int64)] * 4
+        return pa.table(dict(zip(("row", "query_id", "vec_id", "score"), cols, strict=True)))
+
+    keys = ["dim", "shard", "bundle"]
+    return trees.groupBy(*keys).cogroup(blocks.groupBy(*keys)).applyInArrow(run, "row long, query_id long, vec_id long, score long")
 
 
 def top_k(df: DataFrame, is_query: Column, vec_id: str = "vec_id", vector: str = "embedding", k: int = TOP, scale: int = 256) -> DataFrame:
     """query_id, rank, vec_id, score: each query row's k best candidates over all other rows."""
     given = df.select(F.col(vec_id).cast("long").alias("id"), quantised(vector, scale).alias("v"), F.coalesce(is_query, F.lit(False)).alias("asks"))
-    given = checkpointed(given.where("v is not null and id is not null").groupBy("id").agg(F.min("v").alias("v"), F.max("asks").alias("asks")).withColumn("dim", F.size("v")))
+    given = given.where("v is not null and id is not null").withColumns({"dim": F.size("v"), "row": F.monotonically_increasing_id()})
+    given = checkpointed(given)  # from here on a row keeps its number
     sizes = {r["dim"]: (r["n"], r["q"]) for r in given.groupBy("dim").agg(F.count("*").alias("n"), F.sum(F.col("asks").cast("long")).alias("q")).collect()}
     if not sizes:
         return df.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score long")
     many = lambda col, per: F.element_at(F.create_map(*(F.lit(x) for d, c in sizes.items() for x in (d, max(1, -(-c[col] // per))))), F.col("dim"))
-    placed = given.withColumn("shard", F.pmod(F.xxhash64(F.lit(1), "id"), many(0, SHARD)).cast("int"))
-    shards = checkpointed(_packed(placed, ["dim", "shard"], "id", ("ids", "body")))
-    queries = placed.where("asks").select(F.col("id").alias("qid"), "v", "dim", "shard", F.pmod(F.xxhash64(F.lit(2), "id"), many(1, BLOCK)).cast("int").alias("block"))
+    placed = given.withColumn("shard", F.pmod(F.xxhash64(F.lit(1), "row"), many(0, SHARD)).cast("int"))
+    trees = checkpointed(_trees(placed))
+    queries = placed.where("asks").drop("shard").withColumn("block", F.pmod(F.xxhash64(F.lit(2), "row"), many(1, BLOCK)).cast("int"))
     # first pass: one shard for each block, the same for all of its queries
-    seeds = _packed(queries.withColumn("floor", F.lit(float("-inf"))), ["dim", "block"], "qid", ("qids", "qbody"), True)
-    seeds = seeds.withColumn("shard", F.pmod(F.col("block"), many(0, SHARD)).cast("int"))
-    first = checkpointed(_pairs(seeds.join(shards, ["dim", "shard"]), k))
-    kth = first.withColumn("r", F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))).where(F.col("r") == k).select(F.col("query_id").alias("qid"), F.col("score").cast("double").alias("floor"))
-    blocks = checkpointed(_packed(queries.join(kth, "qid", "left").withColumn("floor", F.coalesce("floor", F.lit(float("-inf")))), ["dim", "block"], "qid", ("qids", "qbody"), True))
-    visits = blocks.withColumn("shard", F.explode(F.sequence(F.lit(0), many(0, SHARD) - 1))).where(F.col("shard") != F.pmod(F.col("block"), many(0, SHARD)))
-    rest = _pairs(visits.join(shards, ["dim", "shard"]), k)
+    home = F.pmod(F.col("block"), many(0, SHARD)).cast("int")
+    one = F.lit(0).alias("bundle")
+    seeds = _blocks(queries.withColumn("floor", F.lit(float("-inf")))).withColumn("shard", home).select("*", one)
+    first = checkpointed(_visit(trees.where(F.col("shard") < many(1, BLOCK)).select("*", one), seeds, k))
+    nth = W.partitionBy("row").orderBy(F.desc("score"), "vec_id")
+    kth = first.withColumn("r", F.row_number().over(nth)).where(F.col("r") == k).select("row", F.col("score").cast("double").alias("floor"))
+    blocks = checkpointed(_blocks(queries.join(kth, "row", "left").withColumn("floor", F.coalesce("floor", F.lit(float("-inf"))))))
+    bundles = F.ceil(many(1, BLOCK) / BUNDLE).cast("int")
+    asked = blocks.withColumn("bundle", F.pmod("block", bundles).cast("int")).withColumn("shard", F.explode(F.sequence(F.lit(0), many(0, SHARD) - 1))).where(F.col("shard") != home)
+    rest = _visit(trees.withColumn("bundle", F.explode(F.sequence(F.lit(0), bundles - 1))), asked, k)
     merged = first.unionByName(rest)
-    order = W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return merged.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+    return merged.withColumn("rank", F.row_number().over(nth)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
