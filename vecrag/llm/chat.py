@@ -5,7 +5,8 @@ prefix is rendered once as the prompt; what follows is rendered as the two compl
 spans that a loss should see (the assistant's turns with their end mark; all other turns are masked).
 
 Defined results: null turns are dropped, a null role is `user`, null content is empty; equal conversations are all
-prompt with two empty completions; an empty or null conversation has no turns; repeated rows are repeated.
+prompt with two empty completions; an empty or null conversation has no turns; repeated rows are repeated; in a table of
+turns each row without a conv_id is a conversation of its own, of one turn and without a partner.
 """
 
 from __future__ import annotations
@@ -67,8 +68,9 @@ def conversations(df: DataFrame, conv_id: str = "conv_id", turn: str = "turn", r
 
     A conversation is one record of the output, so its turns meet in one task; conversations that share texts don't.
     """
-    rows = df.where(F.col(conv_id).isNotNull()).select(F.col(conv_id).cast("long").alias("conv_id"), F.struct(F.col(turn).cast("long").alias("turn"), F.coalesce(F.col(role), F.lit("user")).alias("role"), F.coalesce(F.col(text), F.lit("")).alias("content")).alias("t"))
-    turns = rows.groupBy("conv_id").agg(F.array_sort(F.collect_list("t"), _by_turn).alias("turns"))
+    rows = df.select(F.col(conv_id).cast("long").alias("conv_id"), F.struct(F.col(turn).cast("long").alias("turn"), F.coalesce(F.col(role), F.lit("user")).alias("role"), F.coalesce(F.col(text), F.lit("")).alias("content")).alias("t"))
+    turns = rows.where("conv_id is not null").groupBy("conv_id").agg(F.array_sort(F.collect_list("t"), _by_turn).alias("turns"))
+    turns = turns.unionByName(rows.where("conv_id is null").select("conv_id", F.array("t").alias("turns")))
     return turns.select("conv_id", F.transform("turns", lambda t: F.struct(t["role"].alias("role"), t["content"].alias("content"))).alias("turns"))
 
 
