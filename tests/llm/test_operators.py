@@ -31,7 +31,7 @@ def docs(spark):
 
 @pytest.fixture(scope="module")
 def odd(spark):
-    return spark.createDataFrame(ODD, DOC).withColumn("score", F.lit("clash")).withColumn("fp", F.lit(1)).withColumn("_s", F.lit("x"))
+    return spark.createDataFrame(ODD, DOC).withColumn("score", F.lit("clash")).withColumn("fp", F.lit(1)).withColumns({c: F.lit("mine") for c in ("_s", "gone", "turn", "key", "c0", "node", "comp", "s", "t", "same")})
 
 
 def empty(spark):
@@ -348,7 +348,7 @@ def test_op5_budgets_equal_brute_force(spark):
     rng = np.random.default_rng(0)
     rows = [(i, "w " * int(n), s) for i, (n, s) in enumerate(zip(rng.integers(1, 30, 900), rng.choice(["big"] * 7 + ["mid"] * 2 + ["low"], 900), strict=True))]
     df = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(5)
-    out = mixing.mix(df, target=0.9, repeats=3.0, marks=True).collect()
+    out = mixing.mix(df, target=0.9, repeats=3.0).collect()
     sizes = {i: len(t.split()) for i, t, _ in rows}
     per = Counter()
     for i, _, s in rows:
@@ -363,13 +363,13 @@ def test_op5_budgets_equal_brute_force(spark):
         assert budget - 1e-6 <= taken[s] <= budget + longest
         times = Counter(r["doc_id"] for r in out if r["source"] == s)
         assert set(times.values()) <= {p, p + 1} and (p == 0 or len(times) == sum(1 for x in rows if x[2] == s))
-    again = mixing.mix(df.repartition(2), target=0.9, repeats=3.0, marks=True).collect()
+    again = mixing.mix(df.repartition(2), target=0.9, repeats=3.0).collect()
     assert sorted(out) == sorted(again)
     key = lambda i, p: None  # noqa: E731, F841 - order inside a pass is checked below by prefix sums
     s, (p, rest) = next((s, x) for s, x in planned.items() if x[1] > 0)
     part = {r["doc_id"] for r in out if r["source"] == s and r["pass_no"] == p}
     n_blocks = max(1, -(-sum(1 for x in rows if x[2] == s) // mixing.BLOCK_ROWS))
-    place = {r["doc_id"]: r["h"] for r in df.where(F.col("source") == s).select("doc_id", F.xxhash64(F.lit(mixing.SEED), F.lit(p), "doc_id").alias("h")).collect()}
+    place = {r["doc_id"]: r["h"] for r in df.where(F.col("source") == s).select("doc_id", F.xxhash64(F.lit(mixing.SEED), F.lit(p), F.xxhash64("doc_id", "text")).alias("h")).collect()}
     order = sorted(place, key=lambda i: ((place[i] >> 20) % n_blocks, place[i]))
     run, want = 0, set()
     for i in order:
@@ -378,11 +378,40 @@ def test_op5_budgets_equal_brute_force(spark):
         want.add(i)
         run += sizes[i]
     assert part == want
+    for r in out:
+        assert r["block_no"] == (r["place"] >> 20) % max(1, -(-sum(1 for x in rows if x[2] == r["source"]) // mixing.BLOCK_ROWS)) and 0 < r["turn"] < 1
+
+
+def test_op5_rows_are_written_as_a_permutation(spark, monkeypatch):
+    monkeypatch.setattr(mixing, "BLOCK_ROWS", 10)
+    df = spark.createDataFrame([(i, "w w", "big" if i % 3 else "low") for i in range(600)], "doc_id long, text string, source string")
+    mixed = mixing.mix(df, target=0.99, repeats=3.0)
+    marks = {(r["doc_id"], r["pass_no"]): (r["pass_no"], r["turn"], r["place"]) for r in mixed.collect()}
+    ids = [r["doc_id"] for r in mixing.in_order(mixed, df.columns).collect()]
+    want = [i for (i, _), _ in sorted(marks.items(), key=lambda x: x[1])]
+    assert ids == want and ids[:600] != sorted(ids[:600])
+    kinds = ["big" if i % 3 else "low" for i in ids]
+    assert all({"big", "low"} == set(kinds[k : k + 100]) for k in range(0, 500, 100))  # the sources alternate
+
+
+def test_op5_many_sources_by_aggregates(spark, monkeypatch):
+    rng = np.random.default_rng(1)
+    df = spark.createDataFrame([(i, "w " * int(rng.integers(1, 9)), f"s{int(rng.pareto(0.6)) % 40}") for i in range(800)], "doc_id long, text string, source string")
+    want = sorted(mixing.mix(df, target=0.97, repeats=2.5).collect())
+    monkeypatch.setattr(mixing, "BROADCAST_SOURCES", 0)
+    assert sorted(mixing.mix(df, target=0.97, repeats=2.5).collect()) == want
+    totals = spark.createDataFrame([(float(t),) for t in (1000, 100, 10)], "tokens double")
+    for target, repeats in ((0.9, None), (None, 2.0), (0.9, 2.0), (None, None)):
+        assert mixing.solve_distributed(totals, 1110.0, target, repeats) == pytest.approx(mixing.solve_exponent(np.array([1000.0, 100, 10]), 1110.0, target, repeats), abs=1e-9)
+    with pytest.raises(ValueError):
+        mixing.solve_distributed(totals, 5550.0, None, 2.0)
 
 
 def test_op5_edges(spark, odd):
     out = mixing.mix(odd, target=None, repeats=None, budget=None)
-    assert out.columns == odd.columns and sorted(map(str, out.select("doc_id").collect())) == sorted(map(str, odd.select("doc_id").collect()))
+    assert out.columns == [*odd.columns, "pass_no", "block_no", "turn_", "place"]
+    assert sorted(map(str, out.select(odd.columns).collect())) == sorted(map(str, odd.collect()))  # clashing columns keep their values
+    assert mixing.in_order(out, odd.columns).columns == odd.columns
     assert mixing.mix(odd).count() >= 1
     assert mixing.mix(empty(spark)).count() == 0
 
@@ -407,12 +436,15 @@ def test_op6_edges(spark, monkeypatch):
     vecs = [(0, [0.5, 0.5]), (50, [0.5, 0.5]), (50, [0.5, 0.5]), (100, [-0.1, 0.2]), (3, None), (4, [None, 1.0]), (5, [float("nan"), 1.0]), (6, []), (7, [1.0, 2.0, 3.0]), (None, [1.0, 1.0])] + [(i, [i / 60, -i / 90]) for i in range(8, 30)]
     df = spark.createDataFrame(vecs, "vec_id long, embedding array<float>").withColumn("score", F.lit(1))
     rows = ball.top_k(df, F.col("vec_id") % 50 == 0).collect()
-    sound = {i: [math.floor(np.float64(np.float32(x)) * 256) for x in v] for i, v in vecs if i is not None and v is not None and len(v) == 2 and not any(x is None or x != x for x in v)}
+    sound = [(i, [math.floor(np.float64(np.float32(x)) * 256) for x in v]) for i, v in vecs if i is not None and v is not None and len(v) == 2 and not any(x is None or x != x for x in v)]
     want = []
-    for q in (0, 50, 100):
-        ranked = sorted((-sum(a * b for a, b in zip(sound[q], v, strict=True)), i) for i, v in sound.items() if i != q)[:5]
-        want += [(q, r + 1, i, -s) for r, (s, i) in enumerate(ranked)]
+    for n, (q, qv) in enumerate(sound):
+        if q % 50 == 0:
+            ranked = sorted((-sum(a * b for a, b in zip(qv, v, strict=True)), i) for m, (i, v) in enumerate(sound) if m != n)[:5]
+            want += [(q, r + 1, i, -s) for r, (s, i) in enumerate(ranked)]
     assert sorted(tuple(r) for r in rows) == sorted(want)
+    both = spark.createDataFrame([(0, [1.0, 0.0]), (1, [3.0, 0.0]), (1, [5.0, 0.0])], "vec_id long, embedding array<float>")
+    assert sorted(tuple(r)[1:] for r in ball.top_k(both, F.col("vec_id") == 0).collect()) == [(1, 1, 256 * 5 * 256), (2, 1, 256 * 3 * 256)]
     assert ball.top_k(df.limit(0), F.lit(True)).count() == 0
 
 
@@ -542,29 +574,56 @@ def test_op7_query(spark):
 # -- 8: licences -------------------------------------------------------------------------------------------------------------------
 def test_op8_equals_brute_force(spark):
     docs = table(spark, "/root/testdata/sf0.01", "documents")
-    idf, units = licenses.vectors()
+    idf, units_of = licenses.vectors()
     rare = math.log(1 + len(licenses.TEMPLATES)) + 1
 
+    longest, chars = licenses.lengths()[-1], max(len(t) for _, t in licenses.TEMPLATES)
+    cue = re.compile("(?<![a-z0-9])(?:" + "|".join(re.escape(c) for c in licenses.cues()) + ")(?![a-z0-9])")
+
     def best(text):
-        found = []
-        for line in re.split(r"[\n\r]+", (text or "").lower()):
-            tf = Counter(re.findall(licenses.TOKEN, line))
-            w = {t: (1 + math.log(n)) * idf.get(t, rare) for t, n in tf.items()}
+        lowered, found = (text or "").lower(), []
+        segments = [x for x in re.split(r"[\n\r]+|(?<=[.!?;:])\s+", lowered) if re.search("[a-z0-9]", x)]
+        units = set()
+        for i, x in enumerate(segments):
+            if cue.search(x) or i + 1 < len(segments) and cue.search(segments[i + 1]):
+                run = re.findall(licenses.TOKEN, " ".join(segments[i : i + longest]))[:longest]
+                units |= {tuple(run[:n]) for n in [len(re.findall(licenses.TOKEN, x)), *licenses.lengths()] if n <= len(run)}
+        if cue.search(lowered) and len(lowered) <= 2 * chars:
+            units.add(tuple(re.findall(licenses.TOKEN, lowered)))
+        for unit in units:
+            w = {t: (1 + math.log(n)) * idf.get(t, rare) for t, n in Counter(unit).items()}
             norm = math.sqrt(sum(x * x for x in w.values()))
-            for name, unit in units:
-                dot = sum(x * unit.get(t, 0.0) for t, x in w.items())
+            for name, own in units_of:
+                dot = sum(x * own.get(t, 0.0) for t, x in w.items())
                 if norm and round(dot / norm, 6) >= licenses.LEAST:
-                    found.append((-round(dot / norm, 6), name))
+                    found.append((-round(dot / norm, 6), -len(unit), name))
         return min(found, default=None)
 
     want = {r["doc_id"]: best(r["text"]) for r in docs.collect()}
     rows = registry.op8_licenses(spark, "/root/testdata/sf0.01").collect()
-    assert len(rows) == len(want)
+    assert len(rows) == len(want) and sum(x is not None for x in want.values()) > 5
     for r in rows:
         own = want[r["doc_id"]]
         assert (r["origin"] == "own") == (own is not None)
         if own:
-            assert (r["license"], r["score"]) == (own[1], pytest.approx(-own[0], abs=2e-6))
+            assert (r["license"], r["score"]) == (own[2], pytest.approx(-own[0], abs=2e-6))
+
+
+def test_op8_headers_wrapped_notices_and_full_texts(spark):
+    import textwrap
+
+    text = dict((n, t) for n, t in licenses.TEMPLATES if len(t) > 600)
+    header = next(t for n, t in licenses.TEMPLATES if n == "GPL-3.0" and t.startswith("This program is free"))
+    rows = {
+        "a/x.py": "\n".join("# " + x for x in textwrap.wrap(header, 60)) + "\n\nimport os\n" + "code line here\n" * 40,
+        "b/mit.txt": "The MIT License\n\nCopyright (c) 2001 A Person\n\n" + textwrap.fill(text["MIT"], 70), "b/other.c": "int main() {}",
+        "c/x.c": "/* Some words of mine. Released under the MIT License. More words of mine follow here. */", "d/y.rs": "// SPDX-License-Identifier: ISC\nfn main() {}",
+        "e/COPYING": "  GNU GENERAL PUBLIC LICENSE\n  Version 3, 29 June 2007\n" + "Preamble words that nobody has listed among the templates of this test.\n" * 30, "e/z.c": "x",
+    }
+    df = spark.createDataFrame(list(rows.items()), "path string, text string").withColumn("doc_id", F.monotonically_increasing_id())
+    got = {r["path"]: (r["license"], r["origin"]) for r in licenses.scan(df, F.col("path")).collect()}
+    assert got["a/x.py"] == ("GPL-3.0", "own") and got["b/mit.txt"] == ("MIT", "own") and got["b/other.c"] == ("MIT", "inherited")
+    assert got["c/x.c"] == ("MIT", "own") and got["d/y.rs"] == ("ISC", "own") and got["e/COPYING"] == ("GPL-3.0", "own") and got["e/z.c"] == ("GPL-3.0", "inherited")
 
 
 def test_op8_inheritance(spark):
@@ -691,6 +750,7 @@ def test_op10_conversation_edges(spark):
     rows = [(1, 2, "assistant", "b"), (1, 1, "user", "a"), (1, None, None, None), (1, 2, "assistant", "b"), (None, 1, "user", "x"), (0, 1, "assistant", "z"), (5, 1, "user", "alone")]
     df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").withColumn("turns", F.lit(1))
     convs = {r["conv_id"]: [tuple(t) for t in r["turns"]] for r in chat.conversations(df).collect()}
+    assert convs.pop(None) == [("user", "x")]
     assert convs == {1: [("user", ""), ("user", "a"), ("assistant", "b"), ("assistant", "b")], 0: [("assistant", "z")], 5: [("user", "alone")]}
     pairs = {r["conv_id"]: [tuple(t) for t in r["rejected"]] for r in chat.reply_swaps(chat.conversations(df)).collect()}
     assert pairs[1] == [("user", ""), ("user", "a"), ("assistant", "b"), ("assistant", "z")] and pairs[0] == [("assistant", "b")] and pairs[5] == [("user", "alone")]

@@ -7,7 +7,7 @@ import tiktoken
 from conftest import same_rows
 
 import corpus_pipeline
-from vecrag.llm import bpe, registry
+from vecrag.llm import bpe, registry, simhash
 from vecrag.llm.common import table
 
 SF = "/root/testdata/sf0.001"
@@ -34,7 +34,21 @@ def test_run_encodes_what_is_left(spark):
     enc = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=bpe.read_ranks(public_tokenizers.path("byte_bpe_50k.tiktoken")), special_tokens={})
     texts = {r["doc_id"]: r["text"] for r in table(spark, SF, "documents").collect()}
     rows = corpus_pipeline.run(spark, SF).collect()
-    assert 0 < len(rows) and all(r["n_tokens"] == len(enc.encode_ordinary(texts[r["doc_id"]])) for r in rows)
+    assert 0 < len(rows) and all(r["ids"] == enc.encode_ordinary(texts[r["doc_id"]]) and r["n_tokens"] == len(r["ids"]) and r["decoded"] == texts[r["doc_id"]] for r in rows)
+    assert all(r["source"] for r in rows)
+
+
+def test_near_duplicates_equal_brute_force(spark):
+    docs = table(spark, "/root/testdata/sf0.01", "documents")
+    given = sorted((r["doc_id"], set(simhash.shingle_set(r["text"]).tolist())) for r in docs.select("doc_id", "text").collect())
+    low = {i: i for i, _ in given}
+    for n, (i, a) in enumerate(given):
+        for j, b in given[:n]:
+            if min(len(a), len(b)) >= 0.8 * max(len(a), len(b)) and len(a & b) >= 0.8 * len(a | b) - 1e-9 and low[i] != low[j]:
+                keep, drop = sorted((low[i], low[j]))
+                low = {k: keep if v == drop else v for k, v in low.items()}
+    kept = {r["doc_id"] for r in dict(corpus_pipeline.STAGES)["near_duplicates"](spark, docs, "").select("doc_id").collect()}
+    assert kept == {i for i, c in low.items() if i == c}
 
 
 @pytest.mark.parametrize("name", sorted(registry.SQL))

@@ -22,14 +22,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from vecrag.llm.common import checkpointed, map_slices, numbered
+from vecrag.llm.common import checkpointed, map_slices, numbered, release
 from vecrag.llm.graph import components
 
 RADIUS, WORDS, BITS = 4, 4, 64
 #: Members of a shard, and the mean size that the number of blocks is chosen for.
 SHARD, MEAN = 20_000, 64
 #: (query, node) pairs looked at in one vectorised step.
-STEP = 1 << 20
+STEP = 1 << 18
 #: More than any distance: keys of tree edges are node * STRIDE + distance.
 STRIDE = 1 << 10
 _LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
@@ -265,6 +265,12 @@ def wide_fingerprint(shingles: np.ndarray) -> np.ndarray:
     return np.packbits(2 * ones > len(shingles), bitorder="little").view("<u8")
 
 
+def mixed(values: np.ndarray) -> np.ndarray:
+    """64-bit hashes of small integers."""
+    h = values.astype(np.uint64) * _MIX
+    return (h ^ (h >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
+
+
 def differing_share(similarity: float) -> float:
     """Expected share of differing bits at a Jaccard index: the angle between the sets' indicator vectors over pi."""
     return float(np.arccos(min(1.0, 2 * similarity / (1 + similarity))) / np.pi)
@@ -321,6 +327,7 @@ def _by_part(solve: Callable[[dict[str, np.ndarray]], pa.RecordBatch | None]):
             got = solve(arrays(pa.Table.from_batches(held)))
             if got is not None:
                 yield got
+        release()
 
     return run
 
@@ -340,7 +347,7 @@ def _main(group: np.ndarray, comp: np.ndarray) -> np.ndarray:
     return out
 
 
-def _candidates(k: int | None, similarity: float, x: dict[str, np.ndarray]) -> pa.RecordBatch | None:
+def _candidates(k: int | None, similarity: float, few: int, x: dict[str, np.ndarray]) -> pa.RecordBatch | None:
     """Pairs of different components within the radius: of each asking member the k nearest, or all.
 
     Members outside their group's largest component ask. In a part of a large shard guests from other parts are there:
@@ -363,7 +370,7 @@ def _candidates(k: int | None, similarity: float, x: dict[str, np.ndarray]) -> p
     first[group[target]] = forest.root
     query = query[first[group[query]] >= 0]
     size = np.bincount(group[target], minlength=len(mixed))[group[query]]
-    radius = np.where(n[query] * similarity < FEW, WIDE * 64, wide_radius(similarity))
+    radius = np.where(n[query] * similarity < few, WIDE * 64, wide_radius(similarity))
     found: list[np.ndarray] = []
     at = 0
     ends = np.cumsum(size)
@@ -374,7 +381,7 @@ def _candidates(k: int | None, similarity: float, x: dict[str, np.ndarray]) -> p
         for q, node, d in forest.visits(x["fp"][block], first[group[block]], radius[at:stop]):
             a, b = block[q], target[node]
             small = np.minimum(n[a], n[b])
-            near = ((d <= wide_radius(similarity)) | (small < FEW)) & (comp[a] != comp[b]) & (small >= (similarity - 1e-9) * np.maximum(n[a], n[b]))
+            near = ((d <= wide_radius(similarity)) | (small < few)) & (comp[a] != comp[b]) & (small >= (similarity - 1e-9) * np.maximum(n[a], n[b]))
             hits.append(np.column_stack([a[near], d[near], x["node"][a[near]], x["node"][b[near]]]))
         h = np.concatenate(hits)
         if k is not None and len(h):
@@ -405,7 +412,7 @@ def _dealt(rows: DataFrame, solve, schema: str) -> DataFrame:
     return rows.repartition("key", "part").sortWithinPartitions("key", "part", "node").mapInArrow(_by_part(solve), schema)
 
 
-def _round(met: DataFrame, found: DataFrame | None, heads: DataFrame | None, k: int | None, similarity: float) -> DataFrame:
+def _round(met: DataFrame, found: DataFrame | None, heads: DataFrame | None, k: int | None, similarity: float, few: int) -> DataFrame:
     """Candidate pairs (a, b) of one round over the members (key, parts, part, node, n, fp) of all shards."""
     rows = met.withColumn("comp", F.col("node"))
     if found is not None:
@@ -423,7 +430,7 @@ def _round(met: DataFrame, found: DataFrame | None, heads: DataFrame | None, k:
             guests = large.join(F.broadcast(heads) if heads.count() <= SMALL else heads, ["key", "node"], "left_semi")
         guests = guests.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
         all_rows = all_rows.unionByName(guests.select(*cols, F.lit(True).alias("guest")))
-    return _dealt(all_rows, partial(_candidates, k, similarity), "a long, b long").distinct()
+    return _dealt(all_rows, partial(_candidates, k, similarity, few), "a long, b long").distinct()
 
 
 def _checked(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
@@ -434,8 +441,11 @@ def _checked(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").select("a", "b", ok.alias("ok"))
 
 
-def _grouped(met: DataFrame, sets: DataFrame, similarity: float) -> DataFrame | None:
-    """Components of all pairs that meet in a shard, lie within the radius and have the similarity.
+def grouped(met: DataFrame, sets: DataFrame, similarity: float, few: int = FEW) -> DataFrame | None:
+    """Components of all pairs that meet in a shard, lie within the radius and have the similarity; None if there are none.
+
+    met: the members (key, parts, part, node, n, fp) of the shards; sets: (node, shingles). Pairs with a set of fewer than
+    `few` members need not lie within the radius.
 
     A member's nearest candidates are checked first. That joins most of a large group, after which only pairs of
     different components are left; the last round checks all of those.
@@ -446,7 +456,7 @@ def _grouped(met: DataFrame, sets: DataFrame, similarity: float) -> DataFrame |
         heads = checkpointed(_dealt(large, _heads, "key long, node long"))
     found = links = failed = None
     for k in NEAREST:
-        pairs = _round(met, found, heads, k, similarity)
+        pairs = _round(met, found, heads, k, similarity, few)
         if failed is not None:
             pairs = pairs.join(failed, ["a", "b"], "left_anti")
         got = checkpointed(_checked(pairs, sets, similarity))
@@ -496,7 +506,7 @@ def similar(df: DataFrame, doc_id: str = "doc_id", text: str = "text", similarit
     wanted = F.broadcast(members) if members.count() <= SMALL else members
     sets = map_slices(given.join(wanted, F.col("key") == F.col("node"), "left_semi"), "text", whole, "node long, body binary, shingles array<long>")
     sets = checkpointed(sets.join(some.select("node", "body"), ["node", "body"], "left_semi").dropDuplicates(["node", "body"]))
-    found = _grouped(met, sets, similarity)
+    found = grouped(met, sets, similarity)
     if found is None:
         return prints.join(reps.select("body", F.col("node").alias("component_id")), "body").select("doc_id", "body", "component_id")
     home = reps.select("body", "node").join(found, "node", "left").select("body", F.coalesce("component", "node").alias("component_id"))

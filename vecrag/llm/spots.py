@@ -22,7 +22,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from vecrag.llm.graph import components
+from vecrag.llm import simhash
+from vecrag.llm.common import checkpointed
 
 CHAIN, STRIDE = 2, 1
 #: Common words that anchor signatures (fixed values).
@@ -155,41 +156,36 @@ def _rows(rows: list[tuple]) -> pa.RecordBatch:
 
 
 def near_duplicates(df: DataFrame, doc_id: str = "doc_id", text: str = "text", least: float = 0.8) -> DataFrame:
-    """doc_id, class_id (smallest id reachable through pairs of Jaccard `least` or more) and n_links (different sets linked).
+    """doc_id and class_id (smallest id reachable through pairs of sets with a Jaccard index of `least` or more).
 
     Equal sets are one node from the start. A set of n signatures can only match sets of least * n to n / least
-    signatures, so lengths are cut into partitions whose limits grow by 1 / least and a set meets its own partition
-    and the next. Within those it is compared with sets that share one of its n - ceil(least * n) + 1 rarest
-    signatures; both prunings lose no pair.
+    signatures, so lengths are cut into partitions whose limits grow by 1 / least, and a set meets its own partition
+    and the next. Within those it meets the sets that share one of its n - ceil(least * n) + 1 rarest signatures; both
+    prunings lose no pair. Sets that meet are compared nearest first and only as long as that can join two classes
+    (simhash.grouped), so a signature of many copies makes no pair of all of them.
     """
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found = [signature_set(t).astype(np.int64) for t in batch.column("text").to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(found, pa.list_(pa.int64()))], ["id", "sigs"])
+            fp = [simhash.wide_fingerprint(simhash.mixed(s)).tobytes() for s in found]
+            same = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in found]
+            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(found, pa.list_(pa.int64())), pa.array(fp, pa.binary()), pa.array(same, pa.binary())], ["id", "sigs", "fp", "same"])
 
     given = df.select(F.col(doc_id).cast("long").alias("id"), F.col(text).cast("string").alias("text"))
-    docs = given.mapInArrow(sets, "id long, sigs array<long>").withColumn("same", F.sha2(F.concat_ws(",", F.col("sigs").cast("array<string>")), 256))
-    nodes = docs.groupBy("same").agg(F.min("id").alias("node"), F.first("sigs").alias("sigs")).where("node is not null").withColumn("n", F.size("sigs"))
+    docs = checkpointed(given.mapInArrow(sets, "id long, sigs array<long>, fp binary, same binary"))
+    nodes = docs.groupBy("same").agg(F.min("id").alias("node"), F.first("sigs").alias("sigs"), F.first("fp").alias("fp")).where("node is not null")
     growth = F.lit(float(np.log(1 / least)))
-    nodes = nodes.withColumn("band", F.floor(F.log(F.greatest("n", F.lit(1))) / growth).cast("int"))
+    nodes = checkpointed(nodes.withColumn("n", F.size("sigs")).withColumn("band", F.floor(F.log(F.greatest("n", F.lit(1))) / growth).cast("int")))
     spots = nodes.select("node", "n", "band", F.explode("sigs").alias("sig"))
-    common = spots.groupBy("sig").agg(F.count("*").alias("df"))
-    order = W.partitionBy("node").orderBy("df", "sig")
-    prefix = spots.join(common, "sig").withColumn("r", F.row_number().over(order)).where(F.col("r") <= F.col("n") - F.ceil(F.lit(least) * F.col("n") - 1e-9) + 1)
-    left = prefix.select(F.col("node").alias("a"), F.col("n").alias("na"), "sig", F.explode(F.array(F.col("band"), F.col("band") + 1)).alias("band"))
-    right = prefix.select(F.col("node").alias("b"), F.col("n").alias("nb"), "sig", "band")
-    fits = (F.col("nb") >= F.lit(least) * F.col("na") - 1e-9) & (F.col("na") >= F.lit(least) * F.col("nb") - 1e-9)
-    pairs = left.join(right, ["sig", "band"]).where((F.col("a") != F.col("b")) & fits).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    bodies = nodes.select("node", "sigs", "n")
-    both = F.size(F.array_intersect("sa", "sb"))
-    links = (
-        pairs.join(bodies.select(F.col("node").alias("a"), F.col("sigs").alias("sa"), F.col("n").alias("na")), "a")
-        .join(bodies.select(F.col("node").alias("b"), F.col("sigs").alias("sb"), F.col("n").alias("nb")), "b")
-        .where(both >= F.lit(least) * (F.col("na") + F.col("nb") - both) - 1e-9)
-        .select("a", "b")
-    )
-    found = components(links).withColumnRenamed("component", "class")
-    degree = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("n_links"))
-    classes = nodes.select("same", "node").join(found, "node", "left").join(degree, "node", "left")
-    return docs.select(F.col("id").alias("doc_id"), "same").join(classes, "same", "left").select("doc_id", F.coalesce("class", "node").alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    common = spots.groupBy("sig").agg(F.count("*").alias("df")).where("df > 1")  # a signature of one set lets it meet no other
+    order = W.partitionBy("node").orderBy(F.coalesce("df", F.lit(1)), "sig")
+    prefix = spots.join(common, "sig", "left").withColumn("r", F.row_number().over(order)).where((F.col("r") <= F.col("n") - F.ceil(F.lit(least) * F.col("n") - 1e-9) + 1) & F.col("df").isNotNull())
+    dealt = checkpointed(prefix.select("node", F.explode(F.array(F.xxhash64("sig", "band"), F.xxhash64("sig", F.col("band") + 1))).alias("key")))
+    shared = dealt.groupBy("key").agg(F.count("*").alias("members")).where("members > 1").select("key", F.ceil(F.col("members") / simhash.PART).cast("int").alias("parts"))
+    met = dealt.join(shared, "key").join(nodes.select("node", "n", "fp"), "node").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int"))
+    found = simhash.grouped(checkpointed(met), nodes.select("node", F.col("sigs").alias("shingles")), least, few=1 << 40)
+    classes = nodes.select("same", "node").withColumn("class", F.col("node"))
+    if found is not None:
+        classes = classes.drop("class").join(found.withColumnRenamed("component", "class"), "node", "left")
+    return docs.select(F.col("id").alias("doc_id"), "same").join(classes, "same", "left").select("doc_id", F.coalesce("class", "node").alias("class_id"))
