@@ -2,18 +2,23 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from vecrag.functions.vector import l2, l2sq
+from vecrag.functions.vector import l2sq
 from vecrag.operators import index as two_tier
 from vecrag.operators import partition
-from vecrag.operators.knn import exact_distance, matrix, merge_topk
+from vecrag.operators.knn import exact_distance, matrix, merge_topk, nearest
+from vecrag.session import checkpointed
+
+#: Rows of a part of a list and queries of a block that meet in one task.
+PART, BLOCK = 50_000, 1024
+#: Bytes of the vectors of a single graph.
+GRAPH_BYTES = 1 << 30
 
 
 # -- inverted lists ------------------------------------------------------------------------------------------------
@@ -37,10 +42,46 @@ def probe_lists(queries: DataFrame, centroids: DataFrame, n_p: int) -> DataFrame
     return queries.select("qid", "qv").mapInArrow(run, "qid long, qv array<double>, cluster_id int, c_dist double")
 
 
+def _top_of_lists(rows: DataFrame, probes: DataFrame, k: int, near: Callable[[pa.Table, pa.Table, int], tuple[np.ndarray, np.ndarray, np.ndarray]], sizes: DataFrame | None = None) -> DataFrame:
+    """Ranked result of probed lists: the parts of a list (cluster_id, id, ..) meet the blocks of its queries (qid, cluster_id,
+    ..) in tasks of bounded size, and each sends its k best of every query. Lists that no query probes are not moved.
+    """
+    asked = probes.groupBy("cluster_id").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    sizes = rows.groupBy("cluster_id").agg(F.count("*").alias("n")) if sizes is None else sizes
+    shape = asked.join(sizes, "cluster_id").select("cluster_id", "blocks", F.ceil(F.col("n") / PART).cast("int").alias("parts"))
+    left = rows.join(F.broadcast(shape), "cluster_id").withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int")).withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    right = probes.join(F.broadcast(shape), "cluster_id").withColumn("block", F.pmod(F.xxhash64("qid"), F.col("blocks")).cast("int")).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+
+    def meet(a: pa.Table, b: pa.Table) -> pa.Table:
+        got = near(a, b, k) if a.num_rows and b.num_rows else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+        return pa.table({"qid": got[0], "id": got[1], "d": got[2]})
+
+    keys = ["cluster_id", "part", "block"]
+    partials = left.drop("parts", "blocks").groupBy(*keys).cogroup(right.drop("parts", "blocks").groupBy(*keys)).applyInArrow(meet, "qid long, id long, d double")
+    return merge_topk(partials, k)
+
+
+def _by_vectors(a: pa.Table, b: pa.Table, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    return nearest(b["qid"].to_numpy(), matrix(b["qv"]), a["id"].to_numpy(), matrix(a["v"]), k, "l2", True)
+
+
+def _by_codes(a: pa.Table, b: pa.Table, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Asymmetric distances: the square roots of summed table entries."""
+    ids, qids, codes = a["id"].to_numpy(), b["qid"].to_numpy(), matrix(a["codes"]).astype(int)
+    sub = np.arange(codes.shape[1])
+    out: list[tuple[np.ndarray, ...]] = []
+    for q, lut in zip(qids, b["luts"].to_pylist(), strict=True):
+        d = np.round(np.sqrt(np.array(lut)[sub, codes].sum(1)), 6)
+        d[ids == q] = np.inf
+        best = np.lexsort((ids, d))[:k]
+        best = best[np.isfinite(d[best])]
+        out.append((np.full(len(best), q), ids[best], d[best]))
+    return tuple(np.concatenate(c) for c in zip(*out, strict=True))
+
+
 def search_flat(lists: DataFrame, probes: DataFrame, k: int) -> DataFrame:
-    """Scan of the probed lists (cluster_id, id, v): the join is on the list, distances stay in the JVM."""
-    near = lists.select("cluster_id", "id", "v").join(probes.select("qid", "qv", "cluster_id"), "cluster_id")
-    return merge_topk(near.where("id <> qid").select("qid", "id", l2("qv", "v").alias("d")), k)
+    """Scan of the probed lists (cluster_id, id, v): k rows of a query and list are shuffled, not its distances."""
+    return _top_of_lists(lists.select("cluster_id", "id", "v"), probes.select("qid", "qv", "cluster_id"), k, _by_vectors)
 
 
 def ivf_search(assigned: DataFrame, centroids: DataFrame, queries: DataFrame, k: int, n_p: int) -> DataFrame:
@@ -49,17 +90,23 @@ def ivf_search(assigned: DataFrame, centroids: DataFrame, queries: DataFrame, k:
 
 
 def save_lists(assigned: DataFrame, path: str, buckets: int = two_tier.BUCKETS) -> None:
-    """Lists on disk: by bucket directories, sorted by cluster."""
+    """Lists on disk: by bucket directories, sorted by cluster, and their sizes."""
     rows = assigned.withColumn("bucket", F.pmod("cluster_id", F.lit(buckets)).cast("int"))
-    rows.repartition(buckets, "bucket").sortWithinPartitions("bucket", "cluster_id").write.mode("overwrite").partitionBy("bucket").parquet(path)
+    rows.repartition(buckets, "bucket").sortWithinPartitions("bucket", "cluster_id").write.mode("overwrite").partitionBy("bucket").parquet(f"{path}/lists")
+    assigned.groupBy("cluster_id").agg(F.count("*").alias("n")).write.mode("overwrite").parquet(f"{path}/sizes")
+
+
+def probed(spark, path: str, schema: str, probes: DataFrame, buckets: int) -> DataFrame:
+    """Rows of the probed lists only: bucket directories are pruned at run time, row groups by cluster."""
+    asked = probes.select("cluster_id", F.pmod("cluster_id", F.lit(buckets)).cast("int").alias("bucket")).distinct()
+    return spark.read.schema(schema).parquet(f"{path}/lists").join(F.broadcast(asked), ["bucket", "cluster_id"], "left_semi")
 
 
 def ivf_disk_search(spark, path: str, centroids: DataFrame, queries: DataFrame, k: int, n_p: int, buckets: int = two_tier.BUCKETS) -> DataFrame:
     """Inverted lists on disk: only the probed buckets are read (dynamic partition pruning)."""
-    probes = probe_lists(queries, centroids, n_p).withColumn("bucket", F.pmod("cluster_id", F.lit(buckets)).cast("int"))
-    lists = spark.read.schema("id long, v array<double>, cluster_id int, dist double, bucket int").parquet(path)
-    near = lists.join(probes, ["bucket", "cluster_id"]).where("id <> qid")
-    return merge_topk(near.select("qid", "id", l2("qv", "v").alias("d")), k)
+    probes = checkpointed(probe_lists(queries, centroids, n_p))
+    lists = probed(spark, path, "id long, v array<double>, cluster_id int, bucket int", probes, buckets)
+    return _top_of_lists(lists.select("cluster_id", "id", "v"), probes.select("qid", "qv", "cluster_id"), k, _by_vectors, spark.read.parquet(f"{path}/sizes"))
 
 
 def ivf_graph_search(index: two_tier.Index, assigned: DataFrame, queries: DataFrame, k: int, n_p: int, ef_c: int = two_tier.EF_C) -> DataFrame:
@@ -68,7 +115,10 @@ def ivf_graph_search(index: two_tier.Index, assigned: DataFrame, queries: DataFr
 
 
 def graph_index(emb: DataFrame, m: int = 16, ef_build: int = 64, mode: str = "incremental") -> two_tier.Index:
-    """One graph over all vectors (a single list): a baseline for tables that fit one task."""
+    """One graph over all vectors (a single list): a baseline for tables that fit one task, which is checked."""
+    n, dim = emb.agg(F.count("*"), F.max(F.size("v"))).first()
+    if n * (dim or 0) * 8 > GRAPH_BYTES:
+        raise ValueError(f"{n} vectors are too many for one graph in one task; use a two-tier index")
     first = emb.orderBy("id").limit(1).select(F.lit(0).alias("cluster_id"), F.col("v").alias("cv"))
     return two_tier.build_index(emb, centroids=first, m=m, ef_build=ef_build, mode=mode)
 
@@ -119,8 +169,11 @@ def pq_encode(emb: DataFrame, codebook: DataFrame, m_pq: int) -> DataFrame:
             codes = np.empty((len(x), m_pq), np.int32)
             for s, words in enumerate(book):
                 part = x[:, s * width : (s + 1) * width]
-                d = ((part[:, None, :] - words[None, :, :]) ** 2).sum(2)
-                codes[:, s] = np.round(d, 9).argmin(1)
+                d = (part**2).sum(1)[:, None] + (words**2).sum(1)[None, :] - 2 * part @ words.T
+                r, c = np.nonzero(d <= d.min(1)[:, None] + 1e-8)  # those that may be nearest, measured without cancellation
+                exact = np.round(((part[r] - words[c]) ** 2).sum(1), 9)
+                order = np.lexsort((c, exact, r))
+                codes[:, s] = c[order][np.append(True, r[order][1:] != r[order][:-1])]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(list(codes), pa.list_(pa.int32()))], [*names, "codes"])
 
     kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in emb.schema.fields)
@@ -143,13 +196,13 @@ def adc(codes, luts):
 def ivfpq_search(coded: DataFrame, centroids: DataFrame, codebook: DataFrame, queries: DataFrame, k: int, n_p: int, m_pq: int, rerank: int = 0) -> DataFrame:
     """Inverted lists of codes (cluster_id, id, codes, v): table distances; the best `rerank` are ranked exactly again."""
     probes = probe_lists(queries, centroids, n_p).join(pq_tables(queries, codebook, m_pq).select("qid", "luts"), "qid")
-    near = coded.select("cluster_id", "id", "codes").join(probes, "cluster_id").where("id <> qid").select("qid", "id", adc("codes", "luts").alias("d"))
-    return _rerank(merge_topk(near, max(k, rerank)), coded, queries, k) if rerank else merge_topk(near, k)
+    found = _top_of_lists(coded.select("cluster_id", "id", "codes"), probes.select("qid", "cluster_id", "luts"), max(k, rerank), _by_codes)
+    return _rerank(found, coded, queries, k) if rerank else found
 
 
 def _rerank(found: DataFrame, vectors: DataFrame, queries: DataFrame, k: int) -> DataFrame:
     exact = found.select("qid", "id").join(vectors.select("id", "v"), "id").join(queries.select("qid", "qv"), "qid")
-    return merge_topk(exact.select("qid", "id", l2("qv", "v").alias("d")), k)
+    return merge_topk(exact.select("qid", "id", F.sqrt(l2sq("qv", "v")).alias("d")), k)
 
 
 def graph_pq_search(index: two_tier.Index, emb: DataFrame, codebook: DataFrame, queries: DataFrame, k: int, ef: int, m_pq: int, rerank: int = 0) -> DataFrame:
@@ -161,16 +214,14 @@ def graph_pq_search(index: two_tier.Index, emb: DataFrame, codebook: DataFrame,
 
 
 def save_codes(coded: DataFrame, path: str, buckets: int = two_tier.BUCKETS) -> None:
-    rows = coded.select("id", "codes", "cluster_id").withColumn("bucket", F.pmod("cluster_id", F.lit(buckets)).cast("int"))
-    rows.repartition(buckets, "bucket").sortWithinPartitions("bucket", "cluster_id").write.mode("overwrite").partitionBy("bucket").parquet(path)
+    save_lists(coded.select("id", "codes", "cluster_id"), path, buckets)
 
 
 def ivfpq_disk_search(spark, path: str, centroids: DataFrame, codebook: DataFrame, queries: DataFrame, k: int, n_p: int, m_pq: int, buckets: int = two_tier.BUCKETS) -> DataFrame:
     """Codes on disk: only the probed buckets are read."""
-    probes = probe_lists(queries, centroids, n_p).join(pq_tables(queries, codebook, m_pq).select("qid", "luts"), "qid").withColumn("bucket", F.pmod("cluster_id", F.lit(buckets)).cast("int"))
-    lists = spark.read.schema("id long, codes array<int>, cluster_id int, bucket int").parquet(path)
-    near = lists.join(probes, ["bucket", "cluster_id"]).where("id <> qid")
-    return merge_topk(near.select("qid", "id", adc("codes", "luts").alias("d")), k)
+    probes = checkpointed(probe_lists(queries, centroids, n_p)).join(pq_tables(queries, codebook, m_pq).select("qid", "luts"), "qid")
+    lists = probed(spark, path, "id long, codes array<int>, cluster_id int, bucket int", probes, buckets)
+    return _top_of_lists(lists.select("cluster_id", "id", "codes"), probes.select("qid", "cluster_id", "luts"), k, _by_codes, spark.read.parquet(f"{path}/sizes"))
 
 
 # -- updates of lists --------------------------------------------------------------------------------------------------
@@ -191,14 +242,7 @@ def recall_at_k(result: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     return per.agg(F.count("*").alias("queries"), F.round(F.avg("r"), 6).alias("recall"))
 
 
-def salted_lists(assigned: DataFrame, salts: int) -> DataFrame:
-    """Hot lists dealt over `salts` tasks: (cluster_id, salt, ...) for a join with probes replicated by salt."""
-    return assigned.withColumn("salt", F.pmod(F.xxhash64("id"), F.lit(salts)).cast("int"))
-
-
-def search_salted(assigned: DataFrame, probes: DataFrame, k: int, salts: int = 8) -> DataFrame:
-    """search_flat for skewed lists: each probe meets every salt of its list; k rows of each are merged."""
-    many = probes.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
-    near = salted_lists(assigned, salts).join(many, ["cluster_id", "salt"]).where("id <> qid").select("qid", "id", "salt", l2("qv", "v").alias("d"))
-    part = F.row_number().over(W.partitionBy("qid", "salt").orderBy(F.round("d", 6), "id"))
-    return merge_topk(near.withColumn("r", part).where(F.col("r") <= k).select("qid", "id", "d"), k)
+def search_salted(assigned: DataFrame, probes: DataFrame, k: int, part: int = 8) -> DataFrame:
+    """search_flat for skewed lists, in parts of about `part` rows each."""
+    sizes = assigned.groupBy("cluster_id").agg((F.count("*") * F.ceil(F.lit(PART) / part)).alias("n"))
+    return _top_of_lists(assigned.select("cluster_id", "id", "v"), probes.select("qid", "qv", "cluster_id"), k, _by_vectors, sizes)

@@ -96,33 +96,49 @@ def knn_exact(emb: DataFrame, queries: DataFrame, k: int, metric: str = "l2", sk
 
         partials = emb.select("id", "v").mapInArrow(scan, "qid long, id long, d double")
     else:
-        blocks, shards = -(-shape[0] // BLOCK), -(-emb.count() // SHARDS_ROWS)
-        left = emb.select("id", "v", F.pmod(F.xxhash64("id"), F.lit(shards)).alias("shard"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"))
-        right = queries.select("qid", "qv", F.pmod(F.xxhash64("qid"), F.lit(blocks)).alias("block"), F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"))
-
         def meet(a: pa.Table, b: pa.Table) -> pa.Table:
             got = nearest(b["qid"].to_numpy(), matrix(b["qv"]), a["id"].to_numpy(), matrix(a["v"]), k, metric, skip_self)
             return pa.table({"qid": got[0], "id": got[1], "d": got[2]})
 
-        partials = left.groupBy("shard", "block").cogroup(right.groupBy("shard", "block")).applyInArrow(meet, "qid long, id long, d double")
+        partials = _in_shards(emb, queries, shape[0], meet)
     return merge_topk(partials, k)
 
 
 def range_search(emb: DataFrame, queries: DataFrame, radius: float) -> DataFrame:
-    """(qid, id, d) of all other vectors within an l2 radius; the queries are a checked, broadcast set."""
-    rows = queries.select("qid", "qv").limit(BROADCAST_BYTES // 8192 + 1).collect()
-    if len(rows) > BROADCAST_BYTES // 8192:
-        raise ValueError("too many range queries for one pass")
-    shared = emb.sparkSession.sparkContext.broadcast((np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows], float)))
-
-    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        qid, q = shared.value
-        for batch in batches:
-            if batch.num_rows and len(qid):
-                ids, x = batch.column("id").to_numpy(), matrix(batch.column("v"))
-                r, c = np.nonzero((block_distances(q, x, "l2") <= radius + 1e-5) & (qid[:, None] != ids[None, :]))
-                d = np.round(exact_distance(q[r], x[c], "l2"), 6)
-                keep = d <= radius
-                yield pa.RecordBatch.from_arrays([pa.array(qid[r[keep]]), pa.array(ids[c[keep]]), pa.array(d[keep])], ["qid", "id", "d"])
-
-    return emb.select("id", "v").mapInArrow(scan, "qid long, id long, d double")
+    """(qid, id, d) of all other vectors within an l2 radius. Queries are broadcast up to BROADCAST_BYTES; more of them meet
+    the shards of the vectors in blocks.
+    """
+
+    def within(qid: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        r, c = np.nonzero((block_distances(q, x, "l2") <= radius + 1e-5) & (qid[:, None] != ids[None, :]))
+        d = np.round(exact_distance(q[r], x[c], "l2"), 6)
+        keep = d <= radius
+        return qid[r[keep]], ids[c[keep]], d[keep]
+
+    n, dim = queries.agg(F.count("*"), F.max(F.size("qv"))).first()
+    if n * (dim or 1) * 8 <= BROADCAST_BYTES:
+        rows = queries.select("qid", "qv").collect()
+        shared = emb.sparkSession.sparkContext.broadcast((np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows], float)))
+
+        def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            qid, q = shared.value
+            for batch in batches:
+                for at in range(0, len(qid) if batch.num_rows else 0, BLOCK):
+                    got = within(qid[at : at + BLOCK], q[at : at + BLOCK], batch.column("id").to_numpy(), matrix(batch.column("v")))
+                    yield pa.RecordBatch.from_arrays([pa.array(c) for c in got], ["qid", "id", "d"])
+
+        return emb.select("id", "v").mapInArrow(scan, "qid long, id long, d double")
+
+    def meet(a: pa.Table, b: pa.Table) -> pa.Table:
+        got = within(b["qid"].to_numpy(), matrix(b["qv"]), a["id"].to_numpy(), matrix(a["v"])) if a.num_rows and b.num_rows else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+        return pa.table(dict(zip(("qid", "id", "d"), got, strict=True)))
+
+    return _in_shards(emb, queries, n, meet)
+
+
+def _in_shards(emb: DataFrame, queries: DataFrame, n: int, meet) -> DataFrame:
+    """Every shard of the vectors meets every block of the n queries, each pair in a task of bounded size."""
+    blocks, shards = -(-n // BLOCK), max(1, -(-emb.count() // SHARDS_ROWS))
+    left = emb.select("id", "v", F.pmod(F.xxhash64("id"), F.lit(shards)).alias("shard"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"))
+    right = queries.select("qid", "qv", F.pmod(F.xxhash64("qid"), F.lit(blocks)).alias("block"), F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"))
+    return left.groupBy("shard", "block").cogroup(right.groupBy("shard", "block")).applyInArrow(meet, "qid long, id long, d double")

@@ -31,11 +31,12 @@ def seeded_centroids(emb: DataFrame, n_c: int) -> DataFrame:
 
 
 def local(centroids: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Centroid ids and matrix on the driver; their number is chosen (n_c), and their size is checked."""
+    """Centroid ids and matrix on the driver; their number is chosen (n_c), and their size is checked before they come."""
+    n, dim = centroids.agg(F.count("*"), F.max(F.size("cv"))).first()
+    if n * (dim or 0) * 8 > BROADCAST_BYTES * 8:
+        raise ValueError("too many centroids for one tier; use scale.build_three_tier")
     rows = centroids.orderBy("cluster_id").collect()
     ids, c = np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows], float)
-    if c.nbytes > BROADCAST_BYTES * 8:
-        raise ValueError("too many centroids for one tier; use build_three_tier")
     return ids, c.reshape(len(ids), -1)
 
 
