@@ -8,20 +8,33 @@ from dataclasses import dataclass, replace
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from vecrag import schema
 from vecrag.operators import partition
 from vecrag.operators.kernel import Graph
-from vecrag.operators.knn import matrix, merge_topk
+from vecrag.operators.knn import knn_exact, matrix, merge_topk
+from vecrag.session import checkpointed
 
 N_P, EF_C, EF_L, M_C, BLOCK = 4, 32, 32, 8, 1024
-BUCKETS = 16
+#: Buckets of a small index; a larger one has as many as keep LISTS_PER_BUCKET lists (about 1 GB at 384 dimensions) in each.
+BUCKETS, LISTS_PER_BUCKET = 16, 2500
+#: Probed lists up to which their ids are pushed to the scan as literals.
+LITERALS = 1000
+
+
+def choose_buckets(n_c: int) -> int:
+    return max(BUCKETS, -(-n_c // LISTS_PER_BUCKET))
 
 
 @dataclass(frozen=True)
 class Index:
-    """centre: the centroid graph's stored row (bounded by n_c); radii by cluster; lists: the list graphs' table."""
+    """centre: the centroid graph's stored row (bounded by n_c); radii by cluster; lists: the list graphs' table.
+
+    A saved index also has `homes`, the list of each id by buckets of ids, and `at`: which version's files hold each bucket
+    of lists and of homes.
+    """
 
     spark: SparkSession
     centre: dict
@@ -30,16 +43,19 @@ class Index:
     buckets: int = BUCKETS
     version: int = 0
     path: str | None = None
+    homes: DataFrame | None = None
+    at: dict[str, dict[int, int]] | None = None
 
     @property
     def n_c(self) -> int:
         return self.centre["n"]
 
 
-def build_centroid_graph(centroids: DataFrame, m: int = M_C, ef_build: int = 64, alpha: float = 1.2, mode: str = "incremental") -> dict:
-    """Stored row of the graph over the centroids."""
+def build_centroid_graph(centroids: DataFrame, m: int = M_C, ef_build: int = 64, alpha: float = 1.2, mode: str | None = None) -> dict:
+    """Stored row of the graph over the centroids; without a mode, batch up to 1000 of them, incremental beyond."""
     ids, c = partition.local(centroids)
-    row = Graph.build(ids, c, mode=mode if len(ids) > 1000 else "batch", m=m, ef_build=ef_build, alpha=alpha).to_row()
+    mode = mode or ("batch" if len(ids) <= 1000 else "incremental")
+    row = Graph.build(ids, c, mode=mode, m=m, ef_build=ef_build, alpha=alpha).to_row()
     return row | {"exact": c}
 
 
@@ -60,7 +76,7 @@ def _table(graph: Graph, cluster_id: int, buckets: int, version: int, radius: fl
     return pa.table({c: pa.array([row[c]], kind) for c, kind in _KINDS.items()})
 
 
-def build_index(emb: DataFrame, n_c: int | None = None, rounds: int = 8, init: str = "seeded", m: int = 16, m_c: int = M_C, alpha: float = 1.2, ef_build: int = 64, mode: str = "batch", cap: int | None = None, centroids: DataFrame | None = None, buckets: int = BUCKETS) -> Index:
+def build_index(emb: DataFrame, n_c: int | None = None, rounds: int = 8, init: str = "seeded", m: int = 16, m_c: int = M_C, alpha: float = 1.2, ef_build: int = 64, mode: str = "batch", cap: int | None = None, centroids: DataFrame | None = None, buckets: int | None = None) -> Index:
     """Partition, then build both tiers. With `cap`, oversize lists are split and their means become centroids."""
     spark = emb.sparkSession
     if centroids is None:
@@ -72,6 +88,7 @@ def build_index(emb: DataFrame, n_c: int | None = None, rounds: int = 8, init: s
         centroids = per.groupBy("cluster_id").agg(F.array_sort(F.collect_list(F.struct("j", "x"))).alias("s")).select("cluster_id", F.col("s.x").alias("cv"))
         assigned = partition.assign(emb, centroids)
     centre = build_centroid_graph(centroids, m_c, ef_build, alpha)
+    buckets = buckets or choose_buckets(centre["n"])
     lists = build_partition_graphs(assigned, m, ef_build, alpha, mode, buckets)
     radii = {r["cluster_id"]: r["radius"] for r in partition.partition_stats(assigned).collect()}
     return Index(spark, centre, radii, lists, buckets)
@@ -107,8 +124,6 @@ def gate(probes: DataFrame, ratio: float | None = None) -> DataFrame:
     """Only promising probes: centroid distance at most `ratio` times the query's nearest one."""
     if ratio is None:
         return probes
-    from pyspark.sql import Window as W
-
     first = F.min("c_dist").over(W.partitionBy("qid"))
     return probes.withColumn("first", first).where(F.round("c_dist", 6) <= F.round(F.col("first") * ratio, 6)).drop("first")
 
@@ -144,22 +159,90 @@ def search_lists(loaded: DataFrame, k: int, ef_l: int, skip_self: bool = True) -
 
 
 def load_graphs(index: Index, blocks: DataFrame) -> DataFrame:
-    """Graph rows of probed lists only, with their queries: the join prunes bucket directories of a saved index."""
+    """Graph rows of probed lists only, with their queries: the join prunes bucket directories of a saved index, and few
+    probed lists are named to the scan, which then skips row groups.
+    """
     asked = blocks.withColumn("bucket", F.pmod(F.col("cluster_id"), F.lit(index.buckets)).cast("int"))
-    return index.lists.join(asked, ["bucket", "cluster_id"])
+    lists = index.lists
+    if index.path:
+        wanted = [r[0] for r in blocks.select("cluster_id").distinct().limit(LITERALS + 1).collect()]
+        if len(wanted) <= LITERALS:
+            lists = lists.where(F.col("cluster_id").isin(wanted) & F.col("bucket").isin(sorted({c % index.buckets for c in wanted})))
+    return lists.join(asked, ["bucket", "cluster_id"])
+
 
+def only(loaded: DataFrame, allowed: DataFrame) -> DataFrame:
+    """Graph rows in which all vectors but the allowed ids are flagged: they are crossed, never returned."""
+    ids = loaded.select("cluster_id", "ids").dropDuplicates(["cluster_id"]).select("cluster_id", F.posexplode("ids").alias("pos", "id"))
+    open_ = ids.join(allowed.select("id").distinct(), "id", "left_semi").groupBy("cluster_id").agg(F.collect_set("pos").alias("open"))
+    flags = F.transform("deleted", lambda d, i: d | ~F.array_contains("open", i))
+    return loaded.join(open_, "cluster_id").withColumn("deleted", flags).drop("open")
 
-def search(index: Index, queries: DataFrame, k: int = 10, n_p: int = N_P, ef_c: int = EF_C, ef_l: int = EF_L, ratio: float | None = None, skip_self: bool = True, where: DataFrame | None = None, fetch: int = 4) -> DataFrame:
-    """Ranked result (qid, id, d, rank). `where` (id) keeps matching vectors only, after fetching `fetch` times k."""
-    partials = search_partials(index, queries, k * fetch if where is not None else k, n_p, ef_c, ef_l, ratio, skip_self).where("id is not null")
-    if where is not None:
-        partials = partials.join(where.select("id").distinct(), "id", "left_semi")
-    return merge_topk(partials.select("qid", "id", "d"), k)
 
+def search(index: Index, queries: DataFrame, k: int = 10, n_p: int = N_P, ef_c: int = EF_C, ef_l: int = EF_L, ratio: float | None = None, skip_self: bool = True, where: DataFrame | None = None, bound: bool = False) -> DataFrame:
+    """Ranked result (qid, id, d, rank).
 
-def search_partials(index: Index, queries: DataFrame, k: int, n_p: int, ef_c: int, ef_l: int, ratio: float | None = None, skip_self: bool = True) -> DataFrame:
-    probes = gate(probe(index, queries, min(n_p, index.n_c), ef_c), ratio)
-    return search_lists(load_graphs(index, block_queries(probes)), k, ef_l, skip_self)
+    `where` (id) keeps matching vectors only: lists are searched for those alone, and queries that got fewer than k are
+    asked again with twice as many lists until all are probed. With `bound` the lists after the first are skipped where
+    centroid distance less radius exceeds the k-th distance found in the first (`gate_by_radius`).
+    """
+    if where is None:
+        return merge_topk(search_partials(index, queries, k, n_p, ef_c, ef_l, ratio, skip_self, bound).where("id is not null").select("qid", "id", "d"), k)
+    allowed = checkpointed(where.select("id").distinct())
+    found, left, width = None, queries, min(n_p, index.n_c)
+    while True:
+        part = search_partials(index, left, k, width, max(ef_c, width), ef_l, ratio, skip_self, False, allowed).where("id is not null")
+        got = checkpointed(merge_topk(part.select("qid", "id", "d"), k))
+        full = got.groupBy("qid").agg(F.count("*").alias("n")).where(F.col("n") >= k).select("qid")
+        if width >= index.n_c:
+            return got if found is None else found.unionByName(got)
+        done = got.join(full, "qid", "left_semi")
+        found = done if found is None else found.unionByName(done)
+        left = checkpointed(left.select("qid", "qv").join(full, "qid", "left_anti"))
+        if left.isEmpty():
+            return found
+        width = min(2 * width, index.n_c)
+
+
+def gate_by_radius(index: Index, probes: DataFrame, first: DataFrame, k: int) -> DataFrame:
+    """Probes whose list can still hold one of the k nearest, given the results (qid, id, d) of each query's first list."""
+    order = W.partitionBy("qid").orderBy("d", "id")
+    kth = first.withColumn("r", F.row_number().over(order)).where(F.col("r") == k).select("qid", F.col("d").alias("kth"))
+    radii = index.spark.createDataFrame([(int(c), float(r)) for c, r in index.radii.items()], "cluster_id int, radius double")
+    near = probes.join(F.broadcast(radii), "cluster_id", "left").join(kth, "qid", "left")
+    return near.where(F.col("kth").isNull() | (F.col("c_dist") - F.coalesce("radius", F.lit(0.0)) <= F.col("kth") + 1e-6)).select(*probes.columns)
+
+
+def search_partials(index: Index, queries: DataFrame, k: int, n_p: int, ef_c: int, ef_l: int, ratio: float | None = None, skip_self: bool = True, bound: bool = False, allowed: DataFrame | None = None) -> DataFrame:
+    probes = checkpointed(gate(probe(index, queries, min(n_p, index.n_c), ef_c), ratio))
+    inside = lambda some: search_lists(only(load, allowed) if allowed is not None else load, k, ef_l, skip_self) if (load := load_graphs(index, block_queries(some))) is not None else None
+    if not bound:
+        return inside(probes)
+    first = checkpointed(inside(probes.where("probe_rank = 1")))
+    rest = gate_by_radius(index, probes.where("probe_rank > 1"), first.where("id is not null"), k)
+    return first.unionByName(inside(checkpointed(rest)))
+
+
+def calibrate(index: Index, emb: DataFrame, target: float = 0.9, k: int = 10, sample: int = 48, most: int = 256, ef_l: int | None = None, seed: int = 42) -> dict[str, int]:
+    """Widths (n_p, ef_c, ef_l) that reach a recall on a hashed sample of the vectors, measured against exact neighbours.
+
+    One search of the widest setting gives the recall of all narrower ones. If none reaches the target the widest is
+    returned.
+    """
+    picked = emb.orderBy(F.xxhash64(F.lit(seed), "id"), "id").limit(sample).select(F.col("id").alias("qid"), F.col("v").alias("qv"))
+    picked = checkpointed(picked)
+    widest, ef_l = min(index.n_c, most), ef_l or max(EF_L, 6 * k)
+    widths = sorted({min(widest, 1 << b) for b in range(widest.bit_length() + 1)})
+    probes = checkpointed(probe(index, picked, widest, max(EF_C, 2 * widest)))
+    parts = search_lists(load_graphs(index, block_queries(probes)), k, ef_l).where("id is not null")
+    ranked = parts.join(probes.select("qid", "cluster_id", "probe_rank"), ["qid", "cluster_id"])
+    each = ranked.withColumn("n_p", F.explode(F.filter(F.array(*(F.lit(w) for w in widths)), lambda w: w >= F.col("probe_rank"))))
+    best = each.withColumn("r", F.row_number().over(W.partitionBy("qid", "n_p").orderBy(F.round("d", 6), "id"))).where(F.col("r") <= k)
+    truth = knn_exact(emb, picked, k)
+    n = truth.count()
+    hits = {r["n_p"]: r["n"] for r in best.join(truth.select("qid", "id"), ["qid", "id"]).groupBy("n_p").agg(F.count("*").alias("n")).collect()}
+    n_p = next((w for w in widths if hits.get(w, 0) >= target * n), widest)
+    return {"n_p": n_p, "ef_c": max(EF_C, 2 * n_p), "ef_l": ef_l}
 
 
 def search_counters(index: Index, queries: DataFrame, k: int = 10, n_p: int = N_P, ef_c: int = EF_C, ef_l: int = EF_L) -> DataFrame:
@@ -198,32 +281,99 @@ def search_one(index: Index, qv, k: int = 10, n_p: int = N_P, ef_c: int = EF_C,
 
 
 # -- storage ---------------------------------------------------------------------------------------------------------
+HOMES = "id long, cluster_id int, bucket int"
+
+
+def _write(rows: DataFrame, folder: str, keys: tuple[str, ...]) -> None:
+    """Rows by bucket directories; small row groups, so that a probe reads little besides its lists."""
+    rows.repartition("bucket").sortWithinPartitions("bucket", *keys).write.mode("overwrite").partitionBy("bucket").option("parquet.block.size", 1 << 20).parquet(folder)
+
+
+def _read(spark: SparkSession, path: str, table: str, at: dict[int, int], kind: str) -> DataFrame:
+    """A table whose buckets may lie in files of different versions."""
+    names = [c.split()[0] for c in kind.split(", ")]
+    if not at:
+        return spark.createDataFrame([], kind)
+    if len(set(at.values())) == 1:
+        return spark.read.schema(kind).parquet(f"{path}/{table}/v={next(iter(at.values()))}").select(*names)
+    places = [f"{path}/{table}/v={v}/bucket={b}" for b, v in sorted(at.items())]
+    return spark.read.schema(kind).option("basePath", f"{path}/{table}").parquet(*places).select(*names)
+
+
+def home_bucket(index: Index, of: str = "id"):
+    return F.pmod(F.xxhash64(of), F.lit(index.buckets)).cast("int")
+
+
+def _commit(index: Index, path: str, version: int, at: dict[str, dict[int, int]]) -> Index:
+    """The manifest says which version's files hold each bucket; it is written last, which makes the version visible."""
+    c = index.centre
+    exact = [float(x) for x in np.asarray(c.get("exact", np.frombuffer(c["vecs"], "<f4"))).ravel()]
+    places = [(t, int(b), int(v)) for t, of in at.items() for b, v in of.items()]
+    row = (version, index.buckets, c["n"], c["dim"], c["m"], [int(i) for i in c["ids"]], exact, c["levels"], c["link_ptr"], c["link_to"], c["entry"], c["max_level"], sorted((int(k), float(r)) for k, r in index.radii.items()), places)
+    kind = "version long, buckets int, n int, dim int, m int, ids array<bigint>, vecs array<double>, levels array<int>, link_ptr array<int>, link_to array<int>, entry int, max_level int, radii array<struct<c:int,r:double>>, at array<struct<t:string,b:int,v:long>>"
+    index.spark.createDataFrame([row], kind).coalesce(1).write.mode("overwrite").parquet(f"{path}/manifest/v={version}")
+    return load_index(index.spark, path, version)
+
+
+def _buckets_of(spark: SparkSession, folder: str, kind: str) -> list[int]:
+    """Buckets that a written version has rows in; their number is that of the index's directories."""
+    return [r[0] for r in spark.read.schema(kind).parquet(folder).select("bucket").distinct().collect()]
+
+
 def save_index(index: Index, path: str, version: int | None = None) -> Index:
-    """Lists by bucket and sorted by cluster; the manifest of the version is written last, which commits it."""
+    """All lists by bucket and sorted by cluster, the list of each id, and the manifest."""
     version = index.version if version is None else version
-    lists = index.lists.withColumn("version", F.lit(version).cast("long"))
-    lists.repartition(index.buckets, "bucket").sortWithinPartitions("bucket", "cluster_id").write.mode("overwrite").partitionBy("bucket").option("parquet.block.size", 1 << 20).parquet(f"{path}/lists/v={version}")
-    manifest = {k: v for k, v in index.centre.items() if k != "exact"}
-    centre = [(version, index.buckets, manifest["n"], manifest["dim"], manifest["m"], manifest["ids"], [float(x) for x in np.asarray(index.centre.get("exact", np.frombuffer(manifest["vecs"], "<f4"))).ravel()], manifest["levels"], manifest["link_ptr"], manifest["link_to"], manifest["entry"], manifest["max_level"], sorted((int(c), float(r)) for c, r in index.radii.items()))]
-    kind = "version long, buckets int, n int, dim int, m int, ids array<bigint>, vecs array<double>, levels array<int>, link_ptr array<int>, link_to array<int>, entry int, max_level int, radii array<struct<c:int,r:double>>"
-    index.spark.createDataFrame(centre, kind).coalesce(1).write.mode("overwrite").parquet(f"{path}/manifest/v={version}")
-    return load_index(index.spark, path, version)
+    spark = index.spark
+    _write(index.lists.withColumn("version", F.lit(version).cast("long")), f"{path}/lists/v={version}", ("cluster_id",))
+    lists = spark.read.schema(schema.GRAPH).parquet(f"{path}/lists/v={version}")
+    _write(lists.select(F.explode("ids").alias("id"), "cluster_id").withColumn("bucket", home_bucket(index)), f"{path}/homes/v={version}", ("id",))
+    at = {t: dict.fromkeys(_buckets_of(spark, f"{path}/{t}/v={version}", kind), version) for t, kind in (("lists", schema.GRAPH), ("homes", HOMES))}
+    return _commit(index, path, version, at)
 
 
 def load_index(spark: SparkSession, path: str, version: int | None = None) -> Index:
     """A version of a saved index (the newest by default); readers keep the version they opened."""
-    rows = spark.read.option("basePath", f"{path}/manifest").parquet(f"{path}/manifest").orderBy(F.desc("version")) if version is None else spark.read.parquet(f"{path}/manifest/v={version}")
-    r = rows.first()
+    if version is None:
+        version = spark.read.option("basePath", f"{path}/manifest").parquet(f"{path}/manifest").agg(F.max("version")).first()[0]
+    r = spark.read.parquet(f"{path}/manifest/v={version}").first()
     exact = np.array(r["vecs"]).reshape(r["n"], r["dim"])
     centre = {c: r[c] for c in ("n", "dim", "m", "ids", "levels", "link_ptr", "link_to", "entry", "max_level")} | {"vecs": exact.astype("<f4").tobytes(), "deleted": [False] * r["n"], "exact": exact}
-    lists = spark.read.schema(schema.GRAPH).parquet(f"{path}/lists/v={r['version']}")
-    return Index(spark, centre, {x["c"]: x["r"] for x in r["radii"]}, lists, r["buckets"], r["version"], path)
+    at: dict[str, dict[int, int]] = {"lists": {}, "homes": {}}
+    for x in r["at"]:
+        at[x["t"]][x["b"]] = x["v"]
+    lists, homes = _read(spark, path, "lists", at["lists"], schema.GRAPH), _read(spark, path, "homes", at["homes"], HOMES)
+    return Index(spark, centre, {x["c"]: x["r"] for x in r["radii"]}, lists, r["buckets"], r["version"], path, homes, at)
+
+
+def update_saved(index: Index, updates: DataFrame, version: int | None = None, **options) -> Index:
+    """A new version of a saved index: only buckets that hold a touched list, or a touched id's home, are written."""
+    version, spark, path = index.version + 1 if version is None else version, index.spark, index.path
+    routed = checkpointed(route(index, updates))
+    touched = checkpointed(routed.select("cluster_id").distinct())
+    places = [r[0] for r in touched.select(F.pmod("cluster_id", F.lit(index.buckets)).cast("int")).distinct().collect()]
+    at = {t: dict(of) for t, of in index.at.items()}
+    if places:
+        near = index.lists.where(F.col("bucket").isin(places))
+        changed = _changed(near, routed, index.buckets, version, **options)
+        kept = near.join(touched, "cluster_id", "left_anti")
+        _write(kept.unionByName(changed), f"{path}/lists/v={version}", ("cluster_id",))
+        at["lists"] |= dict.fromkeys(_buckets_of(spark, f"{path}/lists/v={version}", schema.GRAPH), version)
+        new = routed.where("op = 'insert'").select("id", "cluster_id").withColumn("bucket", home_bucket(index))
+        ids = checkpointed(routed.select("id").distinct().withColumn("bucket", home_bucket(index)))
+        houses = [r[0] for r in ids.select("bucket").distinct().collect()]
+        old = index.homes.where(F.col("bucket").isin(houses)).join(ids.select("id"), "id", "left_anti").select("id", "cluster_id", "bucket")
+        _write(old.unionByName(new), f"{path}/homes/v={version}", ("id",))
+        written = _buckets_of(spark, f"{path}/homes/v={version}", HOMES)
+        at["homes"] = {b: v for b, v in at["homes"].items() if b not in houses} | dict.fromkeys(written, version)
+        radii = {r["cluster_id"]: r["radius"] for r in spark.read.schema(schema.GRAPH).parquet(f"{path}/lists/v={version}").join(F.broadcast(touched), "cluster_id", "left_semi").select("cluster_id", "radius").collect()}
+        index = replace(index, radii=index.radii | radii)
+    return _commit(index, path, version, at)
 
 
 # -- updates ---------------------------------------------------------------------------------------------------------
 def normalise_updates(updates: DataFrame) -> DataFrame:
-    """Last operation of each id by seq: (id, op, v, seq)."""
-    return updates.groupBy("id").agg(F.max_by(F.struct("op", "v", "seq"), "seq").alias("u")).select("id", "u.op", "u.v", "u.seq")
+    """Last operation of each id by seq, an insert before a delete on ties, then the larger vector: (id, op, v, seq)."""
+    return updates.groupBy("id").agg(F.max_by(F.struct("op", "v", "seq"), F.struct("seq", "op", "v")).alias("u")).select("id", "u.op", "u.v", "u.seq")
 
 
 def route(index: Index, updates: DataFrame) -> DataFrame:
@@ -231,23 +381,24 @@ def route(index: Index, updates: DataFrame) -> DataFrame:
     last = normalise_updates(updates)
     table = partition.as_table(index.spark, np.array(index.centre["ids"]), np.asarray(index.centre["exact"]))
     new = partition.assign(last.where("op = 'insert'").select("id", "v"), table).select("cluster_id", "id", F.lit("insert").alias("op"), "v", "dist")
-    homes = index.lists.select("cluster_id", F.explode("ids").alias("id"))
-    old = homes.join(last.select("id"), "id").select("cluster_id", "id", F.lit("delete").alias("op"), F.lit(None).cast("array<double>").alias("v"), F.lit(None).cast("double").alias("dist"))
+    asked = last.select("id")
+    if index.homes is None:
+        homes = index.lists.select("cluster_id", F.explode("ids").alias("id")).join(asked, "id")
+    else:  # only the touched buckets of ids are read
+        homes = index.homes.join(asked.withColumn("bucket", home_bucket(index)), ["bucket", "id"])
+    old = homes.select("cluster_id", "id", F.lit("delete").alias("op"), F.lit(None).cast("array<double>").alias("v"), F.lit(None).cast("double").alias("dist"))
     return old.unionByName(new)
 
 
-def apply_updates(index: Index, updates: DataFrame, m: int = 16, ef_build: int = 64, alpha: float = 1.2) -> Index:
-    """A new version in which only touched lists are rewritten: deletes first, then inserts, each in order of id."""
-    routed = route(index, updates).select(F.col("cluster_id").alias("target"), F.col("id").alias("uid"), F.col("op").alias("op"), F.col("v").alias("uv"), F.col("dist").alias("udist"))
-    touched = routed.select("target").distinct()
-    version, buckets = index.version + 1, index.buckets
+def _changed(lists: DataFrame, routed: DataFrame, buckets: int, version: int, m: int = 16, ef_build: int = 64, alpha: float = 1.2) -> DataFrame:
+    """The touched lists' new graphs: deletes first, then inserts, each in order of id."""
+    ops = routed.select(F.col("cluster_id").alias("target"), F.col("id").alias("uid"), "op", F.col("v").alias("uv"), F.col("dist").alias("udist"))
 
     def change(old: pa.Table, ops: pa.Table) -> pa.Table:
         if old.num_rows:
             row = {c: old[c][0].as_py() for c in old.schema.names}
             graph, cid, radius = Graph.from_row(row, ef_build=ef_build, alpha=alpha), row["cluster_id"], row["radius"]
         else:
-            row = None
             cid, radius = ops["target"][0].as_py(), 0.0
             dim = next((len(v) for v in ops["uv"].to_pylist() if v is not None), 0)
             graph = Graph(dim=dim, m=m, ef_build=ef_build, alpha=alpha)
@@ -260,10 +411,17 @@ def apply_updates(index: Index, updates: DataFrame, m: int = 16, ef_build: int =
         return _table(graph, cid, buckets, version, radius)
 
     hit = F.col("cluster_id") == F.col("target")
-    changed = index.lists.join(touched, hit, "left_semi").groupBy("cluster_id").cogroup(routed.groupBy("target")).applyInArrow(change, schema.GRAPH)
-    kept = index.lists.join(touched, hit, "left_anti")
-    lists = kept.unionByName(changed)
-    return replace(index, lists=lists, version=version)
+    mine = lists.join(ops.select("target").distinct(), hit, "left_semi")
+    return mine.groupBy("cluster_id").cogroup(ops.groupBy("target")).applyInArrow(change, schema.GRAPH)
+
+
+def apply_updates(index: Index, updates: DataFrame, m: int = 16, ef_build: int = 64, alpha: float = 1.2) -> Index:
+    """A new version in which only touched lists are changed, not yet written; see update_saved for a saved index."""
+    routed = route(index, updates)
+    version = index.version + 1
+    changed = _changed(index.lists, routed, index.buckets, version, m, ef_build, alpha)
+    kept = index.lists.join(routed.select("cluster_id").distinct(), "cluster_id", "left_anti").select(*index.lists.columns)
+    return replace(index, lists=kept.unionByName(changed), version=version, path=None, homes=None, at=None)
 
 
 def refresh(index: Index) -> Index:
@@ -276,15 +434,14 @@ def flag_deleted(index: Index, ids: DataFrame) -> Index:
     gone = ids.select(F.col("id")).distinct()
     homes = index.lists.select("cluster_id", F.posexplode("ids").alias("pos", "id")).join(gone, "id").groupBy("cluster_id").agg(F.collect_set("pos").alias("flags"))
     flagged = F.transform("deleted", lambda d, i: d | F.array_contains(F.coalesce("flags", F.array().cast("array<int>")), i))
-    return replace(index, lists=index.lists.join(homes, "cluster_id", "left").withColumn("deleted", flagged).drop("flags"))
+    return replace(index, lists=index.lists.join(homes, "cluster_id", "left").withColumn("deleted", flagged).drop("flags"), path=None)
 
 
 def purge(index: Index) -> Index:
     """Remove flagged vectors from the touched lists."""
     flagged = index.lists.where(F.exists("deleted", lambda d: d))
     ops = flagged.select(F.explode(F.filter(F.transform("ids", lambda i, k: F.when(F.get("deleted", k), i)), lambda i: i.isNotNull())).alias("id"))
-    unflagged = replace(index, lists=index.lists)
-    return apply_updates(unflagged, ops.select("id", F.lit("delete").alias("op"), F.lit(None).cast("array<double>").alias("v"), F.lit(0).cast("long").alias("seq")))
+    return apply_updates(index, ops.select("id", F.lit("delete").alias("op"), F.lit(None).cast("array<double>").alias("v"), F.lit(0).cast("long").alias("seq")))
 
 
 def members(index: Index) -> DataFrame:

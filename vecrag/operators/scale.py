@@ -16,6 +16,7 @@ from vecrag.operators import index as two_tier
 from vecrag.operators import partition
 from vecrag.operators.kernel import Graph
 from vecrag.operators.knn import matrix, merge_topk
+from vecrag.session import checkpointed
 
 #: Vectors of a coarse partition that its fine centroids are fitted on, for each fine centroid.
 SAMPLE_PER_FINE, ASSIGN_ROWS = 100, 50_000
@@ -102,30 +103,31 @@ def stored_vectors(index: two_tier.Index) -> DataFrame:
 
 def rebalance(index: two_tier.Index, cap: int = partition.CAP, floor: int = 20, m: int = 16) -> two_tier.Index:
     """Split lists over `cap`, dissolve lists under `floor` into their neighbours; other lists stay as they are."""
-    sizes = {r["cluster_id"]: r["n"] for r in index.lists.select("cluster_id", F.size(F.filter("deleted", lambda d: ~d)).alias("n")).collect()}
+    sizes = checkpointed(index.lists.select("cluster_id", F.size(F.filter("deleted", lambda d: ~d)).alias("n")))
     ids, exact = list(index.centre["ids"]), np.asarray(index.centre["exact"])
-    big = {c for c, n in sizes.items() if n > cap}
-    small = {c for c, n in sizes.items() if n < floor} if len(ids) > 1 else set()
-    if len(big | small) == len(ids) and not big:
-        small.discard(max(small, key=lambda c: (sizes[c], -c)))
-    if not big and not small:
+    odd = sizes.where((F.col("n") > cap) | (F.lit(len(ids) > 1) & (F.col("n") < floor)))
+    if odd.where(F.col("n") <= cap).count() == len(ids):  # all are small: the largest of them stays
+        odd = odd.join(odd.orderBy(F.desc("n"), "cluster_id").limit(1).select("cluster_id"), "cluster_id", "left_anti")
+    odd = checkpointed(odd)
+    if odd.isEmpty():
         return index
     vectors = stored_vectors(index)
-    loose = vectors.where(F.col("cluster_id").isin(sorted(big | small)))
-    kept = [(c, v) for c, v in zip(ids, exact, strict=True) if c not in big | small]
-    parts = partition.split_large(loose.where(F.col("cluster_id").isin(sorted(big))).withColumn("dist", F.lit(0.0)), cap)
+    loose = checkpointed(vectors.join(odd.select("cluster_id", "n"), "cluster_id"))
+    gone = {r[0] for r in odd.select("cluster_id").collect()}  # at most as many as there are centroids, which are here
+    kept = [(c, v) for c, v in zip(ids, exact, strict=True) if c not in gone]
+    parts = partition.split_large(loose.where(F.col("n") > cap).drop("n").withColumn("dist", F.lit(0.0)), cap)
     means = parts.select("cluster_id", F.posexplode("v").alias("j", "x")).groupBy("cluster_id", "j").agg(F.avg("x").alias("x"))
     rows = means.groupBy("cluster_id").agg(F.array_sort(F.collect_list(F.struct("j", "x"))).alias("s")).orderBy("cluster_id").select("s.x").collect()
     free = iter(range(max(ids) + 1, max(ids) + 1 + len(rows)))
     kept += [(next(free), np.array(r[0])) for r in rows]
     centroids = partition.as_table(index.spark, np.array([c for c, _ in kept]), np.array([v for _, v in kept]))
-    moved = partition.assign(loose.select("id", "v"), centroids)
-    hit = [r[0] for r in moved.select("cluster_id").distinct().collect()]
-    stay = vectors.where(F.col("cluster_id").isin(hit) & ~F.col("cluster_id").isin(sorted(big | small)))
+    moved = checkpointed(partition.assign(loose.select("id", "v"), centroids))
+    hit = checkpointed(moved.select("cluster_id").distinct())
+    stay = vectors.join(hit, "cluster_id", "left_semi").join(odd.select("cluster_id"), "cluster_id", "left_anti")
     again = partition.assign(stay.select("id", "v"), centroids).select("id", "v", "dist").join(stay.select("id", "cluster_id"), "id").select("id", "v", "cluster_id", "dist")
     rebuilt = two_tier.build_partition_graphs(moved.unionByName(again), m, buckets=index.buckets, version=index.version + 1)
-    lists = index.lists.where(~F.col("cluster_id").isin(sorted({*hit, *big, *small}))).unionByName(rebuilt)
-    out = replace(index, centre=two_tier.build_centroid_graph(centroids, index.centre["m"]), lists=lists, version=index.version + 1)
+    left = index.lists.join(hit.unionByName(odd.select("cluster_id")).distinct(), "cluster_id", "left_anti").select(*index.lists.columns)
+    out = replace(index, centre=two_tier.build_centroid_graph(centroids, index.centre["m"]), lists=left.unionByName(rebuilt), version=index.version + 1, path=None, homes=None, at=None)
     return two_tier.refresh(out)
 
 

@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from vecrag.session import shared_folder
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
 
@@ -25,8 +25,5 @@ def query(sql: str | None):
 
 
 def folder(spark: SparkSession) -> str:
-    """A new folder in the one that spark.checkpoint.dir names; one of our own only where that is unset."""
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt"))
-    return f"{sc.getCheckpointDir()}/{uuid.uuid4().hex}"
+    """A new folder in the one that spark.checkpoint.dir names."""
+    return shared_folder(spark)

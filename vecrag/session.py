@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 import zipfile
 from pathlib import Path
 
@@ -24,12 +25,23 @@ def ship(spark: SparkSession) -> None:
     sc._vecrag_shipped = True
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """Make a small, often used table once: its rows go to the shared folder of spark.checkpoint.dir.
-
-    Only where that is unset (tests) is a folder of our own used.
-    """
-    sc = df.sparkSession.sparkContext
+def checkpoint_folder(spark: SparkSession) -> str:
+    """The folder of spark.checkpoint.dir. Where that is unset, a single machine gets one of its own; a cluster must name one."""
+    sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt"))
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if named is None and not sc.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="ckpt"))
+    return sc.getCheckpointDir()
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """A new folder in the shared one, for tables that a job writes and reads again."""
+    return f"{checkpoint_folder(spark)}/{uuid.uuid4().hex}"
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """Make a small, often used table once: its rows go to the shared folder of spark.checkpoint.dir."""
+    checkpoint_folder(df.sparkSession)
     return df.checkpoint(eager=True)

@@ -32,12 +32,12 @@ def to_folder(stream: DataFrame, path: str, checkpoint: str) -> None:
 
 
 def stream_updates(index: two_tier.Index, updates: DataFrame, path: str, checkpoint: str) -> two_tier.Index:
-    """Apply (seq, op, id, v) micro-batches to an index saved at `path`; batch n writes version n + 1.
+    """Apply (seq, op, id, v) micro-batches to an index saved at `path`; batch n writes the buckets it touches as version n + 1.
 
     A batch that was applied before (after a restart) finds its version there and changes nothing.
     """
     spark = index.spark
-    base = two_tier.save_index(index, path, 0)
+    two_tier.save_index(index, path, 0)
 
     def apply(batch: DataFrame, batch_id: int) -> None:
         try:
@@ -46,12 +46,10 @@ def stream_updates(index: two_tier.Index, updates: DataFrame, path: str, checkpo
         except Exception as missing:  # noqa: BLE001 - the reader's own error class differs between versions
             if "PATH_NOT_FOUND" not in str(missing):
                 raise
-        before = two_tier.load_index(spark, path, batch_id)
-        changed = two_tier.apply_updates(before, batch.select("id", "op", "v", "seq"))
-        two_tier.save_index(two_tier.replace(changed, radii=before.radii), path, batch_id + 1)
+        two_tier.update_saved(two_tier.load_index(spark, path, batch_id), batch.select("id", "op", "v", "seq"), batch_id + 1)
 
     updates.writeStream.foreachBatch(apply).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
-    return two_tier.refresh(two_tier.load_index(spark, path)) if base else base
+    return two_tier.load_index(spark, path)
 
 
 def stream_search(index: two_tier.Index, queries: DataFrame, out: str, checkpoint: str, k: int = 10, **width) -> None:
@@ -91,6 +89,73 @@ def updates_before(updates: DataFrame, queries: DataFrame, within: str = "1 hour
     return u.join(q, near).select(F.col("u_user").alias("user_id"), "uts", "qts")
 
 
+def late_rows(batch: DataFrame, seen_until: str, late: str = LATE) -> DataFrame:
+    """(late, on_time) of a micro-batch against the largest event time before it: what a watermark of `late` drops is counted."""
+    limit = F.lit(seen_until).cast("timestamp") - F.expr(f"INTERVAL {late}")
+    return batch.agg(F.coalesce(F.sum((F.col("ts") < limit).cast("long")), F.lit(0)).alias("late"), F.coalesce(F.sum((F.col("ts") >= limit).cast("long")), F.lit(0)).alias("on_time"))
+
+
+def tumbling_with_late(events: DataFrame, name: str, path: str, checkpoint: str, width: str = "10 minutes", late: str = LATE) -> DataFrame:
+    """(batch, late, on_time) of each micro-batch: rows that came too late for their window, which the windows leave out."""
+    spark = events.sparkSession
+    top: dict[str, str | None] = {"ts": None}
+
+    def count(batch: DataFrame, batch_id: int) -> None:
+        before = top["ts"]
+        rows = late_rows(batch, before, late) if before is not None else batch.agg(F.lit(0).cast("long").alias("late"), F.count("*").alias("on_time"))
+        rows.select(F.lit(batch_id).cast("long").alias("batch"), "late", "on_time").write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
+        newest = batch.agg(F.max("ts").cast("string")).first()[0]
+        top["ts"] = max(x for x in (before, newest) if x is not None) if before or newest else None
+
+    events.writeStream.queryName(name).foreachBatch(count).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.option("pathGlobFilter", "*.parquet").option("recursiveFileLookup", "true").parquet(path)
+
+
+class PendingUpdates(StatefulProcessor):
+    """Per list: updates wait until LIMIT of them are there or a timer goes off; then they come out together, last one of
+    each id. That lets a list be rewritten once for many updates. Without a waiting time there is no timer.
+    """
+
+    def __init__(self, limit: int = 8, wait_ms: int | None = None):
+        self.limit, self.wait_ms = limit, wait_ms
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.handle = handle
+        self.waiting = handle.getListState("waiting", "seq long, op string, id long")
+
+    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer) -> Iterator[pd.DataFrame]:  # noqa: N802
+        new = [tuple(r) for part in rows for r in part[["seq", "op", "id"]].itertuples(index=False)]
+        held = [tuple(r) for r in self.waiting.get()] if self.waiting.exists() else []
+        if not held and self.wait_ms is not None:
+            self.handle.registerTimer(timer.getCurrentProcessingTimeInMs() + self.wait_ms)
+        held += new
+        if len(held) >= self.limit:
+            self.waiting.clear()
+            yield self._out(key, held)
+        else:
+            self.waiting.put(held)
+
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:  # noqa: N802
+        held = [tuple(r) for r in self.waiting.get()] if self.waiting.exists() else []
+        self.waiting.clear()
+        if held:
+            yield self._out(key, held)
+
+    @staticmethod
+    def _out(key, held: list[tuple]) -> pd.DataFrame:
+        last = {i: (seq, op, i) for seq, op, i in sorted(held)}
+        return pd.DataFrame([(key[0], *x) for x in sorted(last.values())], columns=["cluster_id", "seq", "op", "id"])
+
+    def close(self) -> None:
+        pass
+
+
+def pending_updates(routed: DataFrame, limit: int = 8, wait_ms: int | None = 60_000) -> DataFrame:
+    """(cluster_id, seq, op, id) in groups by list, from a stream of routed updates."""
+    mode = "None" if wait_ms is None else "ProcessingTime"
+    return routed.groupBy("cluster_id").transformWithStateInPandas(PendingUpdates(limit, wait_ms), "cluster_id long, seq long, op string, id long", "Update", mode)
+
+
 class LastQuery(StatefulProcessor):
     """Per user: the last query and whether the present one repeats it (a cache hit)."""
 
