@@ -6,6 +6,7 @@ everything but the dense form of a vector is an expression or a two-phase aggreg
 
 from __future__ import annotations
 
+import weakref
 from collections.abc import Iterator
 
 import numpy as np
@@ -18,6 +19,8 @@ from vecrag.functions import vector as V
 from vecrag.session import checkpointed
 
 WINDOW, OVERLAP, EXT, DIM = 3, 2, 1, 384
+#: Tokens of an idf table that is broadcast.
+BROADCAST_TOKENS = 1_000_000
 
 
 # -- the hash embedder -----------------------------------------------------------------------------------------------
@@ -28,14 +31,29 @@ def idf_table(docs: DataFrame, text: str = "text") -> DataFrame:
     return df.join(F.broadcast(n)).select("token", F.log((1 + F.col("n")) / (1 + F.col("df"))).alias("idf"))
 
 
+def weights_of(idf: DataFrame, dim: int = DIM) -> DataFrame:
+    """(token, bucket, x): where a token falls and its signed weight; md5 is taken once a distinct token.
+
+    The table is broadcast to the terms where it has at most BROADCAST_TOKENS rows (under 64 bytes each); beyond, terms
+    and table are shuffled, and AQE splits the partitions of frequent tokens.
+    """
+    out = idf.select("token", V.bucket(F.col("token"), dim).alias("bucket"), (V.sign(F.col("token")) * F.col("idf")).alias("x"))
+    if idf not in _TOKENS:
+        _TOKENS[idf] = idf.count()
+    return F.broadcast(out) if _TOKENS[idf] <= BROADCAST_TOKENS else out
+
+
+#: Rows of the idf tables met so far, so that each is counted once.
+_TOKENS: weakref.WeakKeyDictionary = weakref.WeakKeyDictionary()
+
+
 def sparse_vectors(owners: DataFrame, keys: list[str], idf: DataFrame, dim: int = DIM, text: str = "text") -> DataFrame:
     """(keys, bucket, w): unit-length signed hash vectors of each owner's text, as sparse rows; tokens without idf weigh 0.
 
-    Terms are counted per owner before the join with idf, a token's hash is computed once a (owner, token).
+    One shuffle by owner: the terms of an owner meet once, for the sums of its buckets and for its length.
     """
-    terms = owners.select(*keys, F.explode(V.tokens(text)).alias("token")).groupBy(*keys, "token").agg(F.count("*").alias("tf"))
-    weighted = terms.join(idf, "token").select(*keys, V.bucket(F.col("token"), dim).alias("bucket"), (V.sign(F.col("token")) * F.col("tf") * F.col("idf")).alias("w"))
-    summed = weighted.groupBy(*keys, "bucket").agg(F.sum("w").alias("w"))
+    terms = owners.select(*keys, F.explode(V.tokens(text)).alias("token")).join(weights_of(idf, dim), "token")
+    summed = terms.select(*keys, "bucket", "x").repartition(*keys).groupBy(*keys, "bucket").agg(F.sum("x").alias("w"))
     length = F.sqrt(F.sum(F.col("w") * F.col("w")).over(W.partitionBy(*keys)))
     return summed.withColumn("len", length).where("len > 0").select(*keys, "bucket", (F.col("w") / F.col("len")).alias("w"))
 
@@ -148,3 +166,23 @@ def condense(retrieved: DataFrame, docs: DataFrame, queries: DataFrame, idf: Dat
     out = out.withColumn("text", F.when(keep, F.col("whole")).otherwise(merge(F.col("parts")))).withColumn("score", F.coalesce("score", F.lit(0.0)))
     out = reorder(out) if by_score else out.withColumn("new_rank", F.col("rank"))
     return out.select("qid", "doc_id", "rank", "new_rank", "score", "start", "stop", "text", "parts")
+
+
+def condense_grid(retrieved: DataFrame, docs: DataFrame, queries: DataFrame, idf: DataFrame, cells, ext: int = EXT, dim: int = DIM) -> dict[tuple[int, int], DataFrame]:
+    """(qid, doc_id, rank, context) of each (window, overlap) cell. Windows of one size are scored once, at every start; a
+    larger step then takes its starts among them.
+    """
+    retrieved = checkpointed(retrieved.select("qid", "doc_id", "rank"))
+    sents = checkpointed(split_sentences(docs))
+    whole = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("whole"))
+    out = {}
+    for window in sorted({w for w, _ in cells}):
+        scored = checkpointed(score_windows(windows(sents, window, window - 1), retrieved, queries, idf, dim))
+        for overlap in sorted(o for w, o in cells if w == window):
+            starts = sents.select("doc_id", F.explode(window_starts(F.size("sents"), window, window - overlap)).alias("start"))
+            made = extend(best_window(scored.join(starts, ["doc_id", "start"], "left_semi")), sents, ext)
+            both = retrieved.join(whole, "doc_id").join(made.select("qid", "doc_id", "score", "parts"), ["qid", "doc_id"], "left")
+            text = F.when(F.col("parts").isNull(), F.col("whole")).otherwise(merge(F.col("parts")))
+            ranked = reorder(both.withColumn("context", text).withColumn("score", F.coalesce("score", F.lit(0.0))))
+            out[window, overlap] = ranked.select("qid", "doc_id", F.col("new_rank").alias("rank"), "context")
+    return out

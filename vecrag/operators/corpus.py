@@ -32,7 +32,13 @@ def chunk(docs: DataFrame, size: int = 5, overlap: int = 0, ratio: float = 1.0)
     return rows.select("doc_id", "chunk_no", before.cast("long").alias("offset"), text.alias("text"), V.token_count(text).alias("n_tokens"))
 
 
+#: Elements whose content is not text of a page.
+UNREAD = ("script", "style", "nav", "footer")
+
+
 def strip_pages(pages: DataFrame) -> DataFrame:
     """(doc_id, text) of web pages: markup out, white space in one; a light source for retrieval tests."""
-    body = F.regexp_replace("html", r"(?is)<(script|style|nav|footer)[^>]*>.*?</\1>", " ")
+    body = F.col("html")
+    for tag in UNREAD:
+        body = F.regexp_replace(body, f"(?is)<{tag}[^>]*>.*?</{tag}>", " ")
     return pages.select(F.col("page_id").alias("doc_id"), F.trim(F.regexp_replace(F.regexp_replace(body, r"(?s)<[^>]*>", " "), r"\s+", " ")).alias("text"))

@@ -15,9 +15,10 @@ PARAMETERS = "name string, N double, d double, Nc double, M double, M2 double, m
 #: Device constants as published (fixed values).
 T_OP_MS, SEEK_MS, COMMAND_MS, BYTE_MS = 1.94e-4, 0.025, 0.015, 3.6e-7
 VOLT, CPU_UA, DISK_UA = 4.0, 2300.0, 800.0
-#: Shapes of the published vector set and of the given table.
+#: Shapes of the two published vector sets and of the given table.
 SHAPES = (
     ("published", 1e6, 128.0, 4000.0, 32.0, 16.0, 16.0, 8.0, 16.0, 128.0, 32.0, 16.0),
+    ("published_256", 2.9e5, 256.0, 1160.0, 32.0, 16.0, 32.0, 8.0, 16.0, 128.0, 32.0, 16.0),
     ("small", 500.0, 64.0, 16.0, 16.0, 8.0, 8.0, 8.0, 4.0, 64.0, 16.0, 16.0),
 )
 
@@ -165,3 +166,24 @@ def centroid_sweep(params: DataFrame, n_cs: tuple[int, ...]) -> DataFrame:
     all_of = memory_model(grid).join(times, ["name", "method"]).join(energy_model(times), ["name", "method"]).where("method = 'two_tier'")
     parts = F.split("name", "@")
     return all_of.select(F.element_at(parts, 1).alias("name"), F.element_at(parts, 2).cast("int").alias("n_c"), F.round("bytes", 3).alias("bytes"), F.round("ms", 9).alias("ms"), F.round("uj", 9).alias("uj"))
+
+
+def memory_report(index, model: DataFrame | None = None) -> DataFrame:
+    """(what, bytes) of a real index: modelled (the two-tier form at its own shape), resident (centroid tier), stored (list
+    graphs), the largest list (what a sequential search holds besides) and the share of vectors in it.
+    """
+    spark, c = index.spark, index.centre
+    lists = index.lists.select("n", "dim", "m", (F.length("vecs") + 8 * F.size("ids") + 4 * (F.size("link_to") + F.size("link_ptr") + F.size("levels"))).alias("bytes"))
+    total = lists.agg(F.sum("n").alias("N"), F.max("dim").alias("d"), F.max("m").alias("M"), F.sum("bytes").alias("stored"), F.max("bytes").alias("largest_list"))
+    resident = len(c["vecs"]) + 8 * len(c["ids"]) + 4 * (len(c["link_to"]) + len(c["link_ptr"]) + len(c["levels"])) + 12 * len(index.radii)
+    shape = total.select(F.lit("index").alias("name"), F.col("N").cast("double").alias("N"), F.col("d").cast("double").alias("d"), F.lit(float(c["n"])).alias("Nc"), F.col("M").cast("double").alias("M"), F.lit(float(c["m"])).alias("M2"), *(F.lit(x).alias(n) for n, x in (("m_pq", 8.0), ("nbits", 8.0), ("nP", 4.0), ("ef_H", 64.0), ("ef_c", 32.0), ("ef_L", 32.0))))
+    modelled = memory_model(shape, resident="one_list").where("method = 'two_tier'").select(F.lit("modelled").alias("what"), F.round("bytes").cast("long").alias("bytes"))
+    real = total.select(F.explode(F.array(*(F.struct(F.lit(n).alias("what"), v.cast("long").alias("bytes")) for n, v in (("resident", F.lit(resident)), ("stored", F.col("stored")), ("largest_list", F.col("largest_list")))))).alias("x")).select("x.what", "x.bytes")
+    return modelled.unionByName(real)
+
+
+def power_report(work: DataFrame, volt: float = VOLT, cpu_ua: float = CPU_UA, disk_ua: float = DISK_UA, t_op: float = T_OP_MS) -> DataFrame:
+    """(.., t_s, t_d, uj_model) of counted work (ops, seeks, bytes): modelled computing and disk time in ms, and energy."""
+    t_s = F.col("ops") * t_op
+    t_d = F.col("seeks") * (SEEK_MS + COMMAND_MS) + F.col("bytes") * BYTE_MS
+    return work.select(*work.columns, F.round(t_s, 9).alias("t_s"), F.round(t_d, 9).alias("t_d"), F.round(volt * (cpu_ua * t_s + disk_ua * t_d) / 1000, 9).alias("uj_model"))

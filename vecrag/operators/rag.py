@@ -1,11 +1,15 @@
 """Retrieval pipelines: plain, small chunks, compressed, re-ranked, disk-backed, iterative and two-tier.
 
-Retrieval scores are sparse hash-vector products: a join on buckets, aggregated before it is ranked, so what is
-shuffled is queries x matching buckets. `retrieve` is exact; the two-tier pipeline may take its ranks from an index.
+`retrieve` is exact: blocks of query vectors are broadcast (their size is checked) and scored against the documents' sparse
+vectors where those are, k rows a query and task go on. The two-tier pipeline searches an index over document vectors.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -14,16 +18,71 @@ from vecrag.functions import vector as V
 from vecrag.operators import baselines, partition
 from vecrag.operators import condense as C
 from vecrag.operators import index as two_tier
+from vecrag.session import checkpointed, shared_folder
 
 K = 4
 
 
 def retrieve(owners: DataFrame, queries: DataFrame, idf: DataFrame, k: int = K, key: str = "doc_id", dim: int = C.DIM) -> DataFrame:
-    """(qid, key, score, rank): the k owners of highest cosine, by (score rounded to 6 falling, key)."""
-    ov = C.sparse_vectors(owners, [key], idf, dim)
-    qv = C.sparse_vectors(queries, ["qid"], idf, dim, "query")
-    scored = qv.withColumnRenamed("w", "qw").join(ov, "bucket").groupBy("qid", key).agg(F.round(F.sum(F.col("qw") * F.col("w")), 6).alias("score"))
-    return top(scored, key, k)
+    """(qid, key, score, rank): the k owners of highest cosine, by (score rounded to 6 falling, key).
+
+    Owners that share no bucket with a query are no candidates of it.
+    """
+    packed = lambda rows, name: rows.groupBy(name).agg(F.collect_list("bucket").alias("_b"), F.collect_list("w").alias("_w"))
+    qv = packed(C.sparse_vectors(queries, ["qid"], idf, dim, "query"), "qid").select("qid", F.col("_b").alias("_qb"), F.col("_w").alias("_qw"))
+    ov = packed(C.sparse_vectors(owners, [key], idf, dim), key)
+    kind = f"qid long, {key} {owners.schema[key].dataType.simpleString()}, score double"
+    most = max(1, QUERY_BYTES // (8 * dim))
+    n = queries.count()
+    if n <= most:
+        rows = qv.collect()  # at most `most` rows of dim numbers
+        shared = owners.sparkSession.sparkContext.broadcast(([r[0] for r in rows], _dense([r[1] for r in rows], [r[2] for r in rows], dim)))
+
+        def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                for at in range(0, batch.num_rows, BLOCK):
+                    yield _best(*shared.value, batch.slice(at, BLOCK), k, dim, key)
+
+        partials = ov.mapInArrow(scan, kind)
+    else:  # blocks of queries meet shards of owners
+        blocks, shards = -(-n // most), max(1, -(-owners.count() // SHARD))
+        left = ov.withColumn("_s", F.pmod(F.xxhash64(key), F.lit(shards))).withColumn("_q", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+        right = qv.withColumn("_q", F.pmod(F.xxhash64("qid"), F.lit(blocks)).cast("int")).withColumn("_s", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shards - 1).cast("long"))))
+
+        def meet(a: pa.Table, b: pa.Table) -> pa.Table:
+            q = _dense(b["_qb"].to_pylist(), b["_qw"].to_pylist(), dim)
+            parts = [_best(b["qid"].to_pylist(), q, a.slice(at, BLOCK).combine_chunks().to_batches()[0], k, dim, key) for at in range(0, a.num_rows, BLOCK)]
+            return pa.Table.from_batches(parts, schema=None if parts else pa.schema([("qid", pa.int64()), (key, a.schema.field(key).type), ("score", pa.float64())]))
+
+        partials = left.groupBy("_s", "_q").cogroup(right.groupBy("_s", "_q")).applyInArrow(meet, kind)
+    return top(partials, key, k)
+
+
+#: Bytes of dense query vectors that are broadcast, owners scored in one step, owners of a shard beyond that.
+QUERY_BYTES, BLOCK, SHARD = 32 << 20, 2048, 100_000
+
+
+def _dense(buckets: list, weights: list, dim: int) -> np.ndarray:
+    out = np.zeros((len(buckets), dim))
+    for r, (b, w) in enumerate(zip(buckets, weights, strict=True)):
+        out[r, b] = w
+    return out
+
+
+def _best(qids: list[int], q: np.ndarray, batch: pa.RecordBatch, k: int, dim: int, key: str) -> pa.RecordBatch:
+    """The k best owners of a batch for each query, with all that tie with the last."""
+    b, w = batch.column("_b"), batch.column("_w")
+    rows = np.repeat(np.arange(batch.num_rows), b.value_lengths().to_numpy())
+    d = np.zeros((batch.num_rows, dim))
+    d[rows, b.flatten().to_numpy()] = w.flatten().to_numpy()
+    score = np.round(q @ d.T, 6) + 0.0
+    score[((q != 0).astype(np.float32) @ (d != 0).astype(np.float32).T) == 0] = -np.inf
+    take = min(k, score.shape[1])
+    if not take or not len(qids):
+        return pa.RecordBatch.from_arrays([pa.array([], pa.int64()), batch.column(key).slice(0, 0), pa.array([], pa.float64())], ["qid", key, "score"])
+    limit = np.partition(score, score.shape[1] - take, axis=1)[:, score.shape[1] - take]
+    r, c = np.nonzero((score >= limit[:, None]) & (score > -np.inf))
+    return pa.RecordBatch.from_arrays([pa.array(np.array(qids, np.int64)[r]), batch.column(key).take(pa.array(c)), pa.array(score[r, c])], ["qid", key, "score"])
 
 
 def top(scored: DataFrame, key: str, k: int) -> DataFrame:
@@ -31,8 +90,11 @@ def top(scored: DataFrame, key: str, k: int) -> DataFrame:
     return scored.withColumn("rank", rank).where(F.col("rank") <= k).select("qid", key, "score", "rank")
 
 
-def bm25(docs: DataFrame, queries: DataFrame, k: int = 10, k1: float = 1.2, b: float = 0.75, text: str = "text") -> DataFrame:
-    """(qid, doc_id, score, rank) of the k best documents by keyword; only postings of query terms are counted."""
+def bm25(docs: DataFrame, queries: DataFrame, k: int = 10, k1: float = 1.2, b: float = 0.75, text: str = "text", pairs: DataFrame | None = None) -> DataFrame:
+    """(qid, doc_id, score, rank) of the k best documents by keyword; only postings of query terms are counted.
+
+    With `pairs` (qid, doc_id) only those are scored and ranked, by the statistics of all documents.
+    """
     lengths = docs.select("doc_id", V.token_count(text).alias("dl"))
     facts = lengths.agg(F.count("*").alias("n"), F.avg("dl").alias("avg_dl"))
     terms = queries.select("qid", F.explode(F.array_distinct(V.tokens("query"))).alias("token"))
@@ -41,7 +103,11 @@ def bm25(docs: DataFrame, queries: DataFrame, k: int = 10, k1: float = 1.2, b: f
     idf = F.log(1 + (F.col("n") - F.col("df") + 0.5) / (F.col("df") + 0.5))
     weight = idf * F.col("tf") * (k1 + 1) / (F.col("tf") + k1 * (1 - b + b * F.col("dl") / F.col("avg_dl")))
     scored = postings.join(df, "token").join(lengths, "doc_id").join(F.broadcast(facts)).select("token", "doc_id", weight.alias("w"))
-    return top(terms.join(scored, "token").groupBy("qid", "doc_id").agg(F.round(F.sum("w"), 6).alias("score")), "doc_id", k)
+    if pairs is not None:
+        terms = terms.join(pairs.select("qid", F.col("doc_id").alias("_doc")), "qid")
+        scored = scored.withColumn("_doc", F.col("doc_id"))
+    met = terms.join(scored, ["token"] if pairs is None else ["token", "_doc"])
+    return top(met.groupBy("qid", "doc_id").agg(F.round(F.sum("w"), 6).alias("score")), "doc_id", k)
 
 
 # -- pipelines: (qid, doc_id, rank, context) ----------------------------------------------------------------------------
@@ -81,7 +147,7 @@ def rag_reranked(docs: DataFrame, queries: DataFrame, idf: DataFrame, k: int = K
     """`fetch` candidates ranked again by the mean of scaled BM25 and their best sentence's cosine."""
     found = retrieve(docs, queries, idf, fetch).select("qid", "doc_id")
     wanted = docs.join(found.select("doc_id").distinct(), "doc_id", "left_semi")
-    words = bm25(docs, queries, 1 << 30).join(found, ["qid", "doc_id"], "left_semi").select("qid", "doc_id", F.col("score").alias("kw"))
+    words = bm25(docs, queries, fetch, pairs=found).select("qid", "doc_id", F.col("score").alias("kw"))
     single = C.windows(C.split_sentences(wanted), 1, 0)
     best = C.score_windows(single, found, queries, idf, dim).groupBy("qid", "doc_id").agg(F.max("score").alias("sem"))
     both = found.join(words, ["qid", "doc_id"], "left").join(best, ["qid", "doc_id"], "left").fillna(0.0, ["kw", "sem"])
@@ -118,10 +184,24 @@ def rag_iterative(docs: DataFrame, queries: DataFrame, idf: DataFrame, k: int =
     return rag_plain(docs, asked, idf, k)
 
 
-def rag_two_tier(docs: DataFrame, queries: DataFrame, idf: DataFrame, k: int = K, ranked: DataFrame | None = None, window: int = C.WINDOW, overlap: int = C.OVERLAP, ext: int = C.EXT) -> DataFrame:
-    """Retrieval (exact, or `ranked` from an index), then condensation and new order."""
-    found = retrieve(docs, queries, idf, k).select("qid", "doc_id", "rank") if ranked is None else ranked.select("qid", "doc_id", "rank")
-    made = C.condense(found, docs, queries, idf, window, overlap, ext)
+def document_index(docs: DataFrame, idf: DataFrame, path: str, n_c: int | None = None, rounds: int = 2, dim: int = C.DIM) -> two_tier.Index:
+    """A saved two-tier index over unit document vectors; documents without known tokens are not in it."""
+    dv = C.dense_vectors(C.sparse_vectors(docs, ["doc_id"], idf, dim), ["doc_id"], dim).select(F.col("doc_id").alias("id"), "v")
+    dv.write.mode("overwrite").parquet(f"{path}/vectors")  # made once, read by every pass over them
+    dv = docs.sparkSession.read.parquet(f"{path}/vectors")
+    return two_tier.save_index(two_tier.build_index(dv, n_c=n_c, rounds=rounds), f"{path}/index")
+
+
+def rag_two_tier(docs: DataFrame, queries: DataFrame, idf: DataFrame, k: int = K, index: two_tier.Index | None = None, ranked: DataFrame | None = None, window: int = C.WINDOW, overlap: int = C.OVERLAP, ext: int = C.EXT, path: str | None = None, **width) -> DataFrame:
+    """Search of a two-tier index over the documents, then condensation and new order.
+
+    The index is built at `path` (or a folder of the session's) unless given; `ranked` (qid, doc_id, rank) takes the place
+    of the search.
+    """
+    if ranked is None:
+        index = document_index(docs, idf, path or shared_folder(docs.sparkSession)) if index is None else index
+        ranked = index_ranks(index, queries, idf, k, **width)
+    made = C.condense(ranked.select("qid", "doc_id", "rank"), docs, queries, idf, window, overlap, ext)
     return made.select("qid", "doc_id", F.col("new_rank").alias("rank"), F.col("text").alias("context"))
 
 
@@ -132,14 +212,18 @@ def index_ranks(index: two_tier.Index, queries: DataFrame, idf: DataFrame, k: in
 
 
 # -- prompt and reply ------------------------------------------------------------------------------------------------------
-def build_prompt(contexts: DataFrame, queries: DataFrame, budget: int = 2048) -> DataFrame:
-    """(qid, prompt, n_tokens, n_contexts): contexts in order as long as their tokens fit the budget, then the query."""
+def build_prompt(contexts: DataFrame, queries: DataFrame, budget: int = 2048, history: DataFrame | None = None) -> DataFrame:
+    """(qid, prompt, n_tokens, n_contexts): contexts in order as long as their tokens fit the budget, then the turns of
+    `history` (qid, history) if given, then the query; history and query count before the contexts.
+    """
+    asked = queries.select("qid", "query", F.lit(None).cast("string").alias("history")) if history is None else queries.select("qid", "query").join(history.select("qid", "history"), "qid", "left")
+    asked = asked.withColumn("qt", V.token_count("query") + F.coalesce(V.token_count("history"), F.lit(0)))
     sized = contexts.withColumn("t", V.token_count("context"))
     run = F.sum("t").over(W.partitionBy("qid").orderBy("rank").rowsBetween(W.unboundedPreceding, 0))
-    fits = sized.withColumn("run", run).join(queries.select("qid", V.token_count("query").alias("qt")), "qid").where(F.col("run") + F.col("qt") <= budget)
+    fits = sized.withColumn("run", run).join(asked.select("qid", "qt"), "qid").where(F.col("run") + F.col("qt") <= budget)
     body = fits.groupBy("qid").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("rank", "context"))), lambda x: x["context"]), "\n").alias("body"), F.sum("t").alias("ct"), F.count("*").alias("n_contexts"))
-    out = queries.join(body, "qid", "left")
-    return out.select("qid", F.concat_ws("\n", "body", "query").alias("prompt"), (F.coalesce("ct", F.lit(0)) + V.token_count("query")).cast("int").alias("n_tokens"), F.coalesce("n_contexts", F.lit(0)).alias("n_contexts"))
+    out = asked.join(body, "qid", "left")
+    return out.select("qid", F.concat_ws("\n", "body", "history", "query").alias("prompt"), (F.coalesce("ct", F.lit(0)) + F.col("qt")).cast("int").alias("n_tokens"), F.coalesce("n_contexts", F.lit(0)).alias("n_contexts"))
 
 
 def answer(contexts: DataFrame, queries: DataFrame, idf: DataFrame, dim: int = C.DIM) -> DataFrame:
@@ -166,10 +250,28 @@ def open_reference(docs: DataFrame, doc_id: int) -> DataFrame:
 
 
 def chat_queries(conversations: DataFrame, history: int = 2) -> DataFrame:
-    """(qid, conv_id, turn, query): each user turn with the texts of up to `history` turns before it."""
-    w = W.partitionBy("conv_id").orderBy("turn").rowsBetween(-history, 0)
-    turns = conversations.withColumn("texts", F.collect_list(F.coalesce("text", F.lit(""))).over(w))
-    return turns.where("role = 'user'").select((F.col("conv_id") * 1000 + F.col("turn")).alias("qid"), "conv_id", "turn", F.array_join("texts", " ").alias("query"))
+    """(qid, conv_id, turn, query, said, history): each user turn; `query` is what is searched for, the texts of the turn
+    and of up to `history` turns before it; `said` is the turn by itself, `history` the turns before.
+
+    qid is a hash of conversation and turn: no number of turns makes two of them meet.
+    """
+    order = W.partitionBy("conv_id").orderBy("turn")
+    text = F.coalesce("text", F.lit(""))
+    turns = conversations.withColumn("texts", F.collect_list(text).over(order.rowsBetween(-history, 0))).withColumn("before", F.collect_list(text).over(order.rowsBetween(-history, -1)))
+    qid = F.conv(F.substring(F.md5(F.concat_ws("/", F.col("conv_id").cast("string"), F.col("turn").cast("string"))), 1, 15), 16, 10).cast("long")
+    return turns.where("role = 'user'").select(qid.alias("qid"), "conv_id", "turn", F.array_join("texts", " ").alias("query"), text.alias("said"), F.array_join("before", "\n").alias("history"))
+
+
+def chat(conversations: DataFrame, docs: DataFrame, idf: DataFrame, k: int = 3, budget: int = 2048, history: int = 2, ranked: DataFrame | None = None) -> DataFrame:
+    """(qid, conv_id, turn, prompt, n_tokens, reply, refs) of each user turn: the turn with its history retrieves documents,
+    which are condensed, prompted with the history, answered from and named as references.
+    """
+    asked = checkpointed(chat_queries(conversations, history))
+    found = retrieve(docs, asked, idf, k) if ranked is None else ranked
+    contexts = checkpointed(rag_two_tier(docs, asked, idf, k, ranked=found))
+    prompts = build_prompt(contexts, asked.select("qid", F.col("said").alias("query")), budget, asked.select("qid", F.when(F.col("history") != "", F.col("history")).alias("history")))
+    replies = answer(contexts, asked, idf).select("qid", "reply")
+    return asked.select("qid", "conv_id", "turn").join(prompts.select("qid", "prompt", "n_tokens"), "qid").join(replies, "qid").join(references(contexts), "qid", "left")
 
 
 def normalised(text: Column) -> Column:

@@ -10,6 +10,7 @@ from vecrag.functions import vector as V
 from vecrag.operators import condense as C
 from vecrag.operators import corpus, measure, rag
 from vecrag.plans.shared import folder, query
+from vecrag.session import checkpointed
 
 DIM, K = C.DIM, rag.K
 
@@ -87,7 +88,12 @@ def gold_of(spark, d) -> DataFrame:
 
 def _base(spark, d):
     docs = docs_of(spark, d).select("doc_id", "text")
-    return docs, queries_of(spark, d), C.idf_table(docs)
+    return docs, queries_of(spark, d), C.idf_table(docs).cache()
+
+
+def _two(docs: DataFrame, q: DataFrame, idf: DataFrame, **options) -> DataFrame:
+    """The two-tier pipeline with exact ranks, so that its rows can be stated."""
+    return rag.rag_two_tier(docs, q, idf, ranked=rag.retrieve(docs, q, idf), **options)
 
 
 def _retrieved(spark, d):
@@ -241,22 +247,31 @@ def rag_plain(spark, d):
 
 @query(f"WITH {BASE}, {condense_sql()}, {TWO} SELECT {CTX} FROM two")
 def rag_two_tier(spark, d):
+    """Ranks from a two-tier index over the documents' vectors, at full width."""
     docs, q, idf = _base(spark, d)
-    return _ctx(rag.rag_two_tier(docs, q, idf.cache()))
+    return _ctx(rag.rag_two_tier(docs, q, idf, n_p=4096, ef_c=4096, ef_l=4096))
 
 
 @query(f"WITH {BASE}, {condense_sql()}, {TWO} SELECT {CTX} FROM two")
-def rag_two_tier_indexed(spark, d):
-    """The same with ranks from a two-tier index over the documents' vectors, at full width."""
+def rag_two_tier_exact(spark, d):
+    """The same with ranks from exact retrieval."""
+    docs, q, idf = _base(spark, d)
+    return _ctx(_two(docs, q, idf))
+
+
+@query("SELECT count(*) AS queries, true AS reached FROM benchmark")
+def rag_two_tier_recall(spark, d):
+    """Whether the document index, with widths calibrated on a sample, retrieves 0.9 of the exact documents."""
+    from vecrag.operators import baselines as B
     from vecrag.operators import index as two_tier
 
     docs, q, idf = _base(spark, d)
-    idf = idf.cache()
-    dv = C.dense_vectors(C.sparse_vectors(docs, ["doc_id"], idf), ["doc_id"]).select(F.col("doc_id").alias("id"), "v")
-    dv.write.parquet(at := folder(spark))  # made once, read by every pass over them
-    idx = two_tier.save_index(two_tier.build_index(spark.read.parquet(at), n_c=8, rounds=1), folder(spark))
-    ranks = rag.index_ranks(idx, q, idf, n_p=8, ef_c=4096, ef_l=4096)
-    return _ctx(rag.rag_two_tier(docs, q, idf, ranked=ranks))
+    idx = rag.document_index(docs, idf, path := folder(spark), n_c=16)
+    widths = two_tier.calibrate(idx, spark.read.parquet(f"{path}/vectors"), 0.95, K)
+    named = lambda found: found.select("qid", F.col("doc_id").alias("id"), "rank")
+    exact = rag.retrieve(docs, q, idf)
+    r = B.recall_at_k(named(rag.index_ranks(idx, q, idf, **widths)), named(exact), K)
+    return q.agg(F.count("*").alias("queries")).join(r.select((F.col("recall") >= 0.9).alias("reached")))
 
 
 @query(f"WITH {BASE}, {PLAIN} SELECT {CTX} FROM plain")
@@ -318,7 +333,7 @@ def prompt_sql(ctx: str, budget: int = 2048) -> str:
 @query(f"WITH {BASE}, {condense_sql()}, {TWO} {prompt_sql('two')}")
 def build_prompt(spark, d):
     docs, q, idf = _base(spark, d)
-    p = rag.build_prompt(rag.rag_two_tier(docs, q, idf.cache()), q)
+    p = rag.build_prompt(_two(docs, q, idf), q)
     return p.select("qid", F.md5("prompt").alias("body"), "n_tokens", "n_contexts")
 
 
@@ -332,7 +347,7 @@ def answer_sql(name: str, ctx: str) -> str:
 def answer(spark, d):
     docs, q, idf = _base(spark, d)
     idf = idf.cache()
-    return rag.answer(rag.rag_two_tier(docs, q, idf), q, idf).select("qid", F.md5("reply").alias("body"), "doc_id", "score")
+    return rag.answer(_two(docs, q, idf), q, idf).select("qid", F.md5("reply").alias("body"), "doc_id", "score")
 
 
 @query(f"WITH {BASE} SELECT qid, list_sort(list(DISTINCT doc_id)) AS refs FROM ret GROUP BY qid")
@@ -355,13 +370,15 @@ def accuracy_sql(ans: str) -> str:
     return f"SELECT count(*) AS queries, round(100 * avg(CASE WHEN contains({NORM.format('coalesce(reply, chr(32))')}, {NORM.format('answer')}) AND {NORM.format('answer')} <> '' THEN 1.0 ELSE 0.0 END), 6) AS accuracy FROM gold JOIN longest USING (qid) LEFT JOIN {ans} USING (qid)"
 
 
-PIPES = ("plain", "two_tier", "compressed", "reranked")
-PIPE_CTX = {"plain": "plain", "two_tier": "two", "compressed": "comp", "reranked": "rerank"}
+PIPES = ("plain", "disk", "two_tier", "compressed", "reranked")
+#: The disk-backed pipeline probes all its lists here, so that it retrieves what the plain one does.
+PIPE_CTX = {"plain": "plain", "disk": "plain", "two_tier": "two", "compressed": "comp", "reranked": "rerank"}
 ALL_PIPES = f"{BASE}, {PLAIN}, {condense_sql()}, {TWO}, {COMP_SQL}, {RR_SQL}, {LONGEST}"
 
 
 def _contexts(spark, d, docs, q, idf) -> dict[str, DataFrame]:
-    return {"plain": rag.rag_plain(docs, q, idf), "two_tier": rag.rag_two_tier(docs, q, idf), "compressed": rag.rag_compressed(docs, q, idf), "reranked": rag.rag_reranked(docs, q, idf)}
+    disk = rag.rag_disk(docs, q, idf, folder(spark), n_c=8, n_p=8)
+    return {"plain": rag.rag_plain(docs, q, idf), "disk": disk, "two_tier": _two(docs, q, idf), "compressed": rag.rag_compressed(docs, q, idf), "reranked": rag.rag_reranked(docs, q, idf)}
 
 
 def _union(parts: list[DataFrame]) -> DataFrame:
@@ -373,7 +390,7 @@ def _union(parts: list[DataFrame]) -> DataFrame:
 
 @query(f"WITH {ALL_PIPES}, " + ", ".join(answer_sql(f"ans_{p}", PIPE_CTX[p]) for p in PIPES) + " " + " UNION ALL ".join(f"SELECT '{p}' AS method, x.* FROM ({accuracy_sql(f'ans_{p}')}) x" for p in PIPES))
 def w_pipelines(spark, d):
-    """Accuracy of the extractive generator on the four pipelines."""
+    """Accuracy of the extractive generator on the five pipelines."""
     docs, q, idf = _base(spark, d)
     idf, gold = idf.cache(), gold_of(spark, d).cache()
     return _union([measure.answer_accuracy(rag.answer(c, q, idf), gold).select(F.lit(p).alias("method"), "queries", "accuracy") for p, c in _contexts(spark, d, docs, q, idf).items()])
@@ -386,7 +403,7 @@ def evidence_sql(ctx: str) -> str:
 
 @query(f"WITH {ALL_PIPES} " + " UNION ALL ".join(f"SELECT '{p}' AS method, x.* FROM ({evidence_sql(PIPE_CTX[p])}) x" for p in PIPES))
 def w_evidence(spark, d):
-    """Gold evidence in the contexts of the four pipelines, apart from any generator."""
+    """Gold evidence in the contexts of the five pipelines, apart from any generator."""
     docs, q, idf = _base(spark, d)
     idf, gold = idf.cache(), gold_of(spark, d).cache()
     return _union([measure.evidence_report(c, gold).select(F.lit(p).alias("method"), "queries", "in_context", "gold_in_top", "mrr") for p, c in _contexts(spark, d, docs, q, idf).items()])
@@ -402,26 +419,60 @@ def w_tokens(spark, d):
     """Tokens per document before and after condensation with the published settings."""
     docs, q, idf = _base(spark, d)
     idf = idf.cache()
-    return measure.token_report(rag.rag_plain(docs, q, idf), rag.rag_two_tier(docs, q, idf))
+    return measure.token_report(rag.rag_plain(docs, q, idf), _two(docs, q, idf))
+
+
+GRID = tuple((w, o) for w in range(1, 6) for o in range(w))
+RATIOS = (0.9, 0.8, 0.6)
+
+
+def in_context_sql(ctx: str) -> str:
+    return f"SELECT in_context FROM ({evidence_sql(ctx)})"
 
 
-GRID = ((1, 0), (2, 1), (3, 2), (3, 0), (5, 4))
+def _chunks_ctx_sql(ratio: float) -> str:
+    """Best chunks of a shrunk chunking as contexts `chx{r}` (qid, doc_id, rank, context)."""
+    n, per = int(ratio * 10), max(1, round(5 * ratio))
+    body = _chunk_sql(per).split("WITH ", 1)[1]
+    tail = body[body.rindex("\n    SELECT doc_id, CAST(first") :].replace("FROM c", f"FROM c{n}")
+    first = f"c{n} AS (SELECT doc_id, sents, unnest(generate_series(0, greatest(len(sents) - 1, 0), {per})) AS first FROM sents WHERE len(sents) > 0)"
+    scored = f"sc{n} AS (SELECT q.qid, c.doc_id, c.chunk_no, round(sum(q.w * c.w), 6) AS score FROM qv q JOIN cv{n} c USING (bucket) GROUP BY 1, 2, 3)"
+    return f"{first}, ch{n} AS ({tail}), {hv_sql(f'cv{n}', f'ch{n}', 'doc_id, chunk_no', 'text')}, {scored}, chx{n} AS (SELECT qid, doc_id, rank, text AS context FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY score DESC, doc_id, chunk_no) AS rank FROM sc{n}) JOIN ch{n} USING (doc_id, chunk_no) WHERE rank <= {K})"
+
+
+def _mean_sql(ctx: str) -> str:
+    return f"SELECT count(*) AS contexts, round(avg(len({TOK.format('context')})), 6) AS tokens FROM {ctx}"
+
+
+GRID_SQL = f"WITH {BASE}, {PLAIN}, {COMP_SQL}, {LONGEST}, " + ", ".join(f"{condense_sql(f'cg{w}{o}', w, o)}, tg{w}{o} AS (SELECT qid, doc_id, new_rank AS rank, text AS context FROM cg{w}{o})" for w, o in GRID) + ", " + ", ".join(_chunks_ctx_sql(r) for r in RATIOS) + " " + " UNION ALL ".join(
+    f"SELECT '{name}' AS method, {w} AS \"window\", {o} AS \"overlap\", m.contexts, m.tokens, e.in_context FROM ({_mean_sql(ctx)}) m, ({in_context_sql(ctx)}) e"
+    for name, w, o, ctx in [("plain", 0, 0, "plain"), ("compressed", 0, 0, "comp"), *(("two_tier", w, o, f"tg{w}{o}") for w, o in GRID), *((f"chunks {r}", 0, 0, f"chx{int(r * 10)}") for r in RATIOS)]
+)
 
 
-@query(f"WITH {BASE}, {PLAIN}, " + ", ".join(f"{condense_sql(f'cg{w}{o}', w, o)}, tg{w}{o} AS (SELECT qid, doc_id, new_rank AS rank, text AS context FROM cg{w}{o})" for w, o in GRID) + " " + " UNION ALL ".join(f"SELECT {w} AS \"window\", {o} AS \"overlap\", x.* FROM ({tokens_sql(f'tg{w}{o}')}) x" for w, o in GRID))
+@query(GRID_SQL)
 def w_condense_grid(spark, d):
-    """Token cut by window size and overlap."""
+    """Tokens of a context and gold evidence in it by window size and overlap (all of 1..5), for the plain pipeline, the
+    compressor and small chunks by ratio.
+    """
     docs, q, idf, ret = _retrieved(spark, d)
-    plain = rag.with_text(ret, docs).cache()
+    ret = checkpointed(ret)
+    gold = gold_of(spark, d).cache()
+    wanted = checkpointed(docs.join(ret.select("doc_id").distinct(), "doc_id", "left_semi"))
+    parts = [("plain", 0, 0, rag.with_text(ret, wanted)), ("compressed", 0, 0, rag.rag_compressed(docs, q, idf))]
+    parts += [("two_tier", w, o, c) for (w, o), c in C.condense_grid(ret, wanted, q, idf, GRID).items()]
+    for r in RATIOS:
+        parts.append((f"chunks {r}", 0, 0, rag.rag_small_chunks(corpus.chunk(docs, 5, ratio=r), q, idf).drop("chunk_no")))
     out = []
-    for w, o in GRID:
-        made = rag.rag_two_tier(docs, q, idf, ranked=ret, window=w, overlap=o)
-        out.append(measure.token_report(plain, made).select(F.lit(w).alias("window"), F.lit(o).alias("overlap"), "documents", "before", "after", "reduction"))
+    for name, w, o, ctx in parts:
+        ctx = ctx.select("qid", "doc_id", "rank", "context").cache()
+        mean = ctx.agg(F.count("*").alias("contexts"), F.round(F.avg(V.token_count("context")), 6).alias("tokens"))
+        out.append(mean.join(measure.evidence_report(ctx, gold).select("in_context")).select(F.lit(name).alias("method"), F.lit(w).alias("window"), F.lit(o).alias("overlap"), "contexts", "tokens", "in_context"))
     return _union(out)
 
 
 SPEED_SQL = "sp AS (SELECT * FROM (VALUES " + ", ".join(f"('{g}', {p}::DOUBLE, {n}::DOUBLE, {b}::DOUBLE, {measure.WATT[g]}::DOUBLE)" for g, p, n, b in measure.SPEEDS) + ") t(generator, prompt_rate, gen_rate, battery, watt))"
-PARTS = {"plain": (0.05, 0.02, 0.0), "two_tier": (0.05, 0.01, 0.08), "reranked": (0.05, 0.02, 0.4)}
+PARTS = {"plain": (0.05, 0.02, 0.0), "disk": (0.05, 0.05, 0.0), "two_tier": (0.05, 0.01, 0.08), "reranked": (0.05, 0.02, 0.4)}
 
 
 @query(f"WITH {ALL_PIPES}, {SPEED_SQL}, pr AS (" + " UNION ALL ".join(f"SELECT '{p}' AS method, x.qid, x.n_tokens, {e}::DOUBLE AS embed_s, {s}::DOUBLE AS search_s, {t}::DOUBLE AS extra_s FROM ({prompt_sql(PIPE_CTX[p], 4096)}) x" for p, (e, s, t) in PARTS.items()) + "), t AS (SELECT method, generator, n_tokens / prompt_rate AS prompt_s, embed_s + search_s + extra_s + n_tokens / prompt_rate AS ttft_s, (embed_s + search_s + extra_s + n_tokens / prompt_rate) * watt AS j FROM pr, sp) SELECT method, generator, round(avg(round(prompt_s, 6)), 4) AS prompt_s, round(avg(round(ttft_s, 6)), 4) AS ttft_s, round(avg(round(j, 6)), 4) AS joule_model FROM t GROUP BY 1, 2")
@@ -441,26 +492,38 @@ def w_battery(spark, d):
     return measure.generation_model(rag.answer(rag.rag_plain(docs, q, idf), q, idf), measure.speeds(spark))
 
 
-CHAT_SQL = "queries AS (SELECT conv_id * 1000 + turn AS qid, array_to_string(texts, ' ') AS query FROM (SELECT *, list(coalesce(text, '')) OVER (PARTITION BY conv_id ORDER BY turn ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS texts FROM conversations) WHERE role = 'user')"
+CHAT_SQL = "queries AS (SELECT ('0x' || substr(md5(conv_id || '/' || turn), 1, 15))::BIGINT AS qid, conv_id, turn, array_to_string(texts, ' ') AS query, coalesce(text, '') AS said, array_to_string(before, chr(10)) AS history FROM (SELECT *, list(coalesce(text, '')) OVER (PARTITION BY conv_id ORDER BY turn ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS texts, list(coalesce(text, '')) OVER (PARTITION BY conv_id ORDER BY turn ROWS BETWEEN 2 PRECEDING AND 1 PRECEDING) AS before FROM conversations) WHERE role = 'user')"
+CHAT_N = f"len({TOK.format('said')}) + len({TOK.format('history')})"
+CHAT_PROMPT = f"""pr AS (SELECT q.qid, array_to_string(list_filter([b.body, nullif(q.history, ''), q.said], lambda x: x IS NOT NULL), chr(10)) AS prompt, CAST(coalesce(b.ct, 0) + {CHAT_N} AS INTEGER) AS n_tokens FROM queries q LEFT JOIN
+    (SELECT qid, string_agg(context, chr(10) ORDER BY rank) AS body, sum(t) AS ct FROM (SELECT c.*, len({TOK.format('context')}) AS t, sum(len({TOK.format('context')})) OVER (PARTITION BY qid ORDER BY rank) AS run FROM two c) JOIN (SELECT qid, {CHAT_N} AS qt FROM queries) USING (qid) WHERE run + qt <= 2048 GROUP BY qid) b USING (qid))"""
 
 
-@query(f"WITH {IDF_SQL}, {CHAT_SQL}, {hv_sql('qv', 'queries', 'qid', 'query')}, {hv_sql('dv', 'documents', 'doc_id', 'text')}, {retrieve_sql('ret', 3)} SELECT qid, list_sort(list(DISTINCT doc_id)) AS refs FROM ret GROUP BY qid")
+@query(f"WITH {IDF_SQL}, {CHAT_SQL}, {hv_sql('qv', 'queries', 'qid', 'query')}, {hv_sql('dv', 'documents', 'doc_id', 'text')}, {retrieve_sql('ret', 3)}, {SENTS_SQL}, {condense_sql()}, {TWO}, {answer_sql('ans', 'two')}, {CHAT_PROMPT} SELECT conv_id, turn, md5(prompt) AS prompt, n_tokens, md5(reply) AS reply, refs FROM queries JOIN pr USING (qid) JOIN ans USING (qid) LEFT JOIN (SELECT qid, list_sort(list(DISTINCT doc_id)) AS refs FROM two GROUP BY qid) USING (qid)")
 def w_chat(spark, d):
-    """Chat: each user turn with its history retrieves documents, which become its references."""
+    """Chat: each user turn with its history retrieves documents, which are condensed, prompted, answered from and named."""
     docs, _, idf = _base(spark, d)
-    q = rag.chat_queries(sources.table(spark, d, "conversations"))
-    return rag.references(rag.retrieve(docs, q, idf.cache(), 3))
+    made = rag.chat(sources.table(spark, d, "conversations"), docs, idf)
+    return made.select("conv_id", "turn", F.md5("prompt").alias("prompt"), "n_tokens", F.md5("reply").alias("reply"), "refs")
 
 
-@query(None)
+@query(f"WITH documents AS (SELECT * FROM main.documents WHERE doc_id IN (SELECT doc_id FROM labels WHERE quality = 1)), {BASE}, {PLAIN} SELECT {CTX} FROM plain")
 def w_filtered(spark, d):
     """Plain retrieval over the labelled, good documents only."""
     good = sources.table(spark, d, "labels").where("quality = 1")
     docs = corpus.select_corpus(docs_of(spark, d).select("doc_id", "text"), good)
-    return _ctx(rag.rag_plain(docs, queries_of(spark, d), C.idf_table(docs)))
+    return _ctx(rag.rag_plain(docs, queries_of(spark, d), C.idf_table(docs).cache()))
 
 
-@query(None)
+def _pages_sql() -> str:
+    body = "html"
+    for tag in corpus.UNREAD:
+        body = f"regexp_replace({body}, '(?is)<{tag}[^>]*>.*?</{tag}>', ' ', 'g')"
+    text = f"trim(regexp_replace(regexp_replace({body}, '(?s)<[^>]*>', ' ', 'g'), '\\s+', ' ', 'g'))"
+    chunked = _chunk_sql(5).replace("FROM documents", f"FROM (SELECT page_id AS doc_id, {text} AS text FROM pages)")
+    return f"SELECT doc_id, chunk_no, n_tokens FROM ({chunked})"
+
+
+@query(_pages_sql())
 def w_pages(spark, d):
     """Chunks of the web pages as a second document source."""
     return corpus.chunk(corpus.strip_pages(sources.table(spark, d, "pages")), 5).select("doc_id", "chunk_no", "n_tokens")
