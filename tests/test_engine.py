@@ -243,3 +243,100 @@ def test_expanded_vectors_have_clusters(spark):
     assert x.count() == 3 * sources.vectors(spark, SF).count()
     lengths = np.array([r[0] for r in x.select(V.norm("v")).collect()])
     assert np.allclose(lengths, 1)
+
+
+def places(folder):
+    return sorted(str(p.relative_to(folder)) for p in folder.rglob("bucket=*") if p.is_dir())
+
+
+def test_saved_updates_write_touched_buckets_only(spark, tmp_path):
+    e, q = sources.vectors(spark, SF), sources.ann_queries(spark, SF)
+    idx = two_tier.save_index(two_tier.build_index(e, n_c=16, rounds=1), f"file://{tmp_path}/i")
+    log = spark.createDataFrame([(1, "delete", 7, None), (2, "insert", 5000, [0.1] * 64)], "seq long, op string, id long, v array<double>")
+    touched = {r["cluster_id"] for r in two_tier.route(idx, log).collect()}
+    new = two_tier.update_saved(idx, log)
+    assert places(tmp_path / "i" / "lists" / "v=1") == sorted(f"bucket={c % idx.buckets}" for c in touched)
+    assert len(places(tmp_path / "i" / "homes" / "v=1")) <= 2
+    assert {b: v for b, v in new.at["lists"].items() if v == 1}.keys() == {c % idx.buckets for c in touched}
+    ids = sorted(r["id"] for r in two_tier.members(new).collect())
+    assert ids == sorted(set(range(e.count())) - {7} | {5000}) == sorted(r["id"] for r in new.homes.select("id").collect())
+    assert sorted(r["id"] for r in two_tier.members(two_tier.load_index(spark, idx.path, 0)).collect()) == list(range(e.count()))  # readers keep their version
+    want = sorted(two_tier.search(two_tier.apply_updates(idx, log), q, 5, 16, 4096, 4096).collect())
+    assert sorted(two_tier.search(new, q, 5, 16, 4096, 4096).collect()) == want
+    nothing = two_tier.update_saved(new, log.limit(0))
+    assert not (tmp_path / "i" / "lists" / "v=2").exists() and nothing.version == 2
+
+
+def test_a_search_reads_probed_buckets_only(spark, tmp_path):
+    idx = two_tier.save_index(two_tier.build_index(sources.vectors(spark, SF), n_c=16, rounds=1), f"file://{tmp_path}/i")
+    blocks = two_tier.block_queries(two_tier.probe(idx, sources.ann_queries(spark, SF).limit(1), 2))
+    plan = two_tier.load_graphs(idx, blocks)._jdf.queryExecution().executedPlan().toString()
+    assert "PartitionFilters" in plan and "PushedFilters: [In(cluster_id" in plan or "cluster_id" in plan.split("PushedFilters")[1][:200]
+
+
+def test_bucket_count_follows_the_lists():
+    assert two_tier.choose_buckets(16) == 16 and two_tier.choose_buckets(1_000_000) == 400
+
+
+def test_store_updates_write_touched_buckets_only(spark, tmp_path):
+    path = f"file://{tmp_path}/s"
+    emb = spark.createDataFrame([(i, i, [0.5]) for i in range(40)], schema.EMBEDDING)
+    doc = spark.createDataFrame([(i, f"/f{i}") for i in range(40)], schema.DOCUMENT)
+    chunk = spark.createDataFrame([(i, i, 0) for i in range(40)], schema.CHUNK)
+    store.write_tables(spark, path, emb, doc, chunk)
+    none = {"emb": emb.limit(0), "doc": doc.limit(0), "chunk": chunk.limit(0)}
+    store.update_store(spark, path, none, spark.createDataFrame([(9,)], "doc_id long"))
+    assert places(tmp_path / "s" / "doc" / "v=1") == ["bucket=1"]
+    assert sorted(r["doc_id"] for r in store.read_table(spark, path, "doc").collect()) == [i for i in range(40) if i != 9]
+    assert store.read_table(spark, path, "doc", 0).count() == 40
+
+
+def test_lists_send_k_rows_a_query(spark, monkeypatch):
+    e, q = sources.vectors(spark, SF), sources.ann_queries(spark, SF)
+    cents = partition.fit_partitions(e, 8, 1)
+    lists, seen = partition.assign(e, cents), []
+    monkeypatch.setattr(B, "merge_topk", lambda partials, k: seen.append(partials.count()) or knn.merge_topk(partials, k))
+    B.ivf_search(lists, cents, q, 5, 3).collect()
+    assert 0 < seen[0] <= q.count() * 3 * 5
+    with pytest.raises(ValueError):
+        monkeypatch.setattr(B, "GRAPH_BYTES", 10)
+        B.graph_index(e)
+
+
+def test_query_blocks_equal_broadcasts(spark, monkeypatch):
+    docs = sources.table(spark, SF, "documents").select("doc_id", "text")
+    q = spark.createDataFrame([(k, r["text"][:80]) for k, r in enumerate(docs.limit(6).collect())], "qid long, query string")
+    idf = C.idf_table(docs).cache()
+    want = sorted(rag.retrieve(docs, q, idf).collect())
+    monkeypatch.setattr(rag, "QUERY_BYTES", 2 * 8 * C.DIM)
+    monkeypatch.setattr(rag, "SHARD", 90)
+    assert sorted(rag.retrieve(docs, q, idf).collect()) == want
+    e, asks = sources.vectors(spark, SF), sources.ann_queries(spark, SF)
+    near = sorted(knn.range_search(e, asks, 1.2).collect())
+    monkeypatch.setattr(knn, "BROADCAST_BYTES", 0)
+    monkeypatch.setattr(knn, "BLOCK", 3)
+    assert sorted(knn.range_search(e, asks, 1.2).collect()) == near
+
+
+def test_retrieval_plan_has_no_join_of_buckets(spark):
+    docs = sources.table(spark, SF, "documents").select("doc_id", "text")
+    q = spark.createDataFrame([(1, "the")], "qid long, query string")
+    plan = rag.retrieve(docs, q, C.idf_table(docs).cache())._jdf.queryExecution().toString()
+    assert "bucket#" not in "".join(x for x in plan.splitlines() if "Join" in x)
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    from vecrag.streaming import streams
+
+    for n, rows in enumerate(([("2024-01-01 10:00:00",), ("2024-01-01 12:00:00",)], [("2024-01-01 10:30:00",), ("2024-01-01 11:30:00",)])):
+        spark.createDataFrame(rows, "t string").select(F.to_timestamp("t").alias("ts")).coalesce(1).write.parquet(f"file://{tmp_path}/in/part{n}")
+    stream = spark.readStream.schema("ts timestamp").option("recursiveFileLookup", "true").option("maxFilesPerTrigger", 1).parquet(f"file://{tmp_path}/in")
+    got = {r["batch"]: (r["late"], r["on_time"]) for r in streams.tumbling_with_late(stream, "late_test", f"file://{tmp_path}/out", f"file://{tmp_path}/ck").collect()}
+    assert got == {0: (0, 2), 1: (1, 1)}
+
+
+def test_prompt_with_history(spark):
+    ctx = spark.createDataFrame([(1, 1, 1, "a b c")], "qid long, doc_id long, rank int, context string")
+    q, h = spark.createDataFrame([(1, "x y"), (2, "z")], "qid long, query string"), spark.createDataFrame([(1, "before it")], "qid long, history string")
+    out = {r["qid"]: (r["prompt"], r["n_tokens"]) for r in rag.build_prompt(ctx, q, 50, h).collect()}
+    assert out == {1: ("a b c\nbefore it\nx y", 7), 2: ("z", 1)}

@@ -9,7 +9,7 @@ from vecrag.queries import QUERIES, SQL
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: Slow ones run in the driver's gate at sf0.01.
-SLOW = {"w_pipelines", "w_evidence", "w_condense_grid", "w_ttft", "rag_two_tier_indexed"}
+SLOW = {"w_pipelines", "w_evidence", "w_condense_grid", "w_ttft", "rag_two_tier_recall", "w_recall_reached", "two_tier_recall", "rebalanced_search", "stream_updated_search"}
 
 
 @pytest.fixture(scope="module")
