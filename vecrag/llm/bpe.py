@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecrag.llm.common import release, slices
+from vecrag.llm.common import release, slices, small_batches
 
 #: Bytes of a short piece, and pieces and bytes in one recursive query: they bound DuckDB's memory.
 SHORT, PIECES, BYTES = 64, 10_000, 160_000
@@ -219,12 +219,13 @@ class WordCoder:
         self.db.execute("CREATE TABLE vocab AS SELECT * FROM vocab_given")
         self.bytes_of = np.array([ranks[bytes([b])] for b in range(256)], np.int64)
         #: Two-byte tokens, and three-byte runs that some token holds.
-        self.two, self.three = np.zeros(1 << 16, bool), np.zeros(1 << 24, bool)
+        self.two, three = np.zeros(1 << 16, bool), np.zeros(1 << 24, bool)
         for token in ranks:
             if len(token) == 2:
                 self.two[token[0] << 8 | token[1]] = True
             for k in range(len(token) - 2):
-                self.three[token[k] << 16 | token[k + 1] << 8 | token[k + 2]] = True
+                three[token[k] << 16 | token[k + 1] << 8 | token[k + 2]] = True
+        self.three = np.packbits(three, bitorder="little")
         self.forget_pieces()
         self.forget_words()
 
@@ -286,7 +287,8 @@ class WordCoder:
         inside[first] = False
         pair = np.append(0, buf[:-1] << 8 | buf[1:])
         crossed[1:] = self.two[pair[1:]]
-        held = self.three[pair[1:-1] << 8 | buf[2:]] & inside[1:-1] & inside[2:]
+        three = pair[1:-1] << 8 | buf[2:]
+        held = (self.three[three >> 3] >> (three & 7) & 1).astype(bool) & inside[1:-1] & inside[2:]
         crossed[1:-1] |= held
         crossed[2:] |= held
         heads = np.flatnonzero(~(crossed & inside))
@@ -457,6 +459,7 @@ def encode(df: DataFrame, ranks_path: str, pattern: str, doc_id: str = "doc_id",
     kind = df.schema[doc_id].dataType.simpleString()
     given = df.select(F.col(doc_id).alias("key"), F.col(text).cast("string").alias("text"), *(F.col(c).alias(f"k{i}") for i, c in enumerate(keep)))
     more = "".join(f"k{i} {df.schema[c].dataType.simpleString()}, " for i, c in enumerate(keep))
+    small_batches(df.sparkSession)
     out = given.mapInArrow(run, f"key {kind}, {more}{tail}")
     return out.select(F.col("key").alias(doc_id), *(F.col(f"k{i}").alias(c) for i, c in enumerate(keep)), *names)
 

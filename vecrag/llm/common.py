@@ -17,6 +17,8 @@ from pyspark.sql import functions as F
 
 #: Bytes of text that a Python operator holds decoded at once (a longer single text is its own slice).
 SLICE_BYTES = 1 << 20
+#: Bytes and rows of an Arrow batch.
+BATCH_BYTES, BATCH_ROWS = 8 << 20, 2000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -70,6 +72,16 @@ def slices(batch: pa.RecordBatch, column: str, most: int = SLICE_BYTES) -> Itera
             yield batch.slice(a, b - a)
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Hold Arrow batches to BATCH_BYTES and BATCH_ROWS from now on: texts are long, and both the JVM and the worker hold a
+    whole batch. Settings of the session that are lower stay.
+    """
+    for key, most in (("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS), ("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)):
+        now = int(str(spark.conf.get(key, "0")).rstrip("bB") or 0)
+        if now <= 0 or now > most:
+            spark.conf.set(key, most)
+
+
 def map_slices(df: DataFrame, column: str, work: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str) -> DataFrame:
     """mapInArrow over bounded slices of each batch."""
 
@@ -79,6 +91,7 @@ def map_slices(df: DataFrame, column: str, work: Callable[[pa.RecordBatch], pa.R
                 yield work(piece)
         release()
 
+    small_batches(df.sparkSession)
     return df.mapInArrow(run, schema)
 
 
