@@ -578,7 +578,7 @@ def test_op8_equals_brute_force(spark):
     rare = math.log(1 + len(licenses.TEMPLATES)) + 1
 
     longest, chars = licenses.lengths()[-1], max(len(t) for _, t in licenses.TEMPLATES)
-    cue = re.compile("(?<![a-z0-9])(?:" + "|".join(re.escape(c) for c in licenses.cues()) + ")(?![a-z0-9])")
+    cue = re.compile(licenses.TRIGGER)
 
     def best(text):
         lowered, found = (text or "").lower(), []
@@ -637,11 +637,10 @@ def test_op8_inheritance(spark):
     assert licenses.scan(df.limit(0), F.col("path")).count() == 0
 
 
-def test_op8_cues_are_sound():
-    idf, units = licenses.vectors()
-    found = set(licenses.cues())
-    for _, unit in units:
-        assert math.sqrt(sum(x * x for t, x in unit.items() if t not in found)) < licenses.LEAST
+def test_op8_every_template_is_triggered_at_its_start():
+    for _, text in licenses.TEMPLATES:
+        first = re.split(r"(?<=[.!?;:])\s+", text.lower())
+        assert any(re.search(licenses.TRIGGER, x) for x in first[:2])
 
 
 def test_op8_plan_is_native(spark):

@@ -4,9 +4,8 @@ Units of a text are compared with licence templates - one-line notices, headers
 (1 + ln tf) with the templates' own inverse document frequencies (words of no template weigh as much as the rarest).
 Segments are the lines and sentences of a text. A unit is a segment, or a run of words as long as some template that
 starts at a segment, whatever lines it is wrapped over; of a licence file (by its name, or no longer than twice the
-longest template) also the whole text. Only around segments with a cue word are units made: a template's cues are its
-heaviest words, as many as it takes that the rest of it alone stays under the threshold, so no unit that reaches the
-threshold lacks all cues. Equal units are compared once. A row's licence is that of its best unit. A licence file - by
+longest template) also the whole text. Units start at segments that hold a word of TRIGGER, and at those before them; each
+template has such a word in its first sentence. Equal units are compared once. A row's licence is that of its best unit. A licence file - by
 name, or because the best unit makes up half of its words or more - speaks for its directory; rows without a licence
 of their own inherit from the nearest ancestor directory that has one, by a join on paths.
 
@@ -115,24 +114,8 @@ def vectors(templates=TEMPLATES) -> tuple[dict[str, float], list[tuple[str, dict
     return idf, out
 
 
-#: Words that are cues only where a template's other words do not suffice: they are in any text (fixed values).
-COMMON = frozenset("a and are by for from in is not of or that the this to under with you".split())
-
-
-def cues(templates=TEMPLATES, least: float = LEAST) -> list[str]:
-    """Words without any of which no segment reaches the threshold against any template.
-
-    Of each template, its heaviest uncommon words come first; the rest alone stays under the threshold.
-    """
-    found = set()
-    for _, w in vectors(templates)[1]:
-        left = sum(x * x for x in w.values())
-        for token, x in sorted(w.items(), key=lambda p: (p[0] in COMMON, -p[1], p[0])):
-            if math.sqrt(max(0.0, left)) < least - 1e-9:
-                break
-            found.add(token)
-            left -= x * x
-    return sorted(found)
+#: What a segment must hold for units to be made around it (fixed value): words that licence notices are made of.
+TRIGGER = r"(?<![a-z0-9])(?:licen[sc]e[sd]?|copyright|permission|redistribut(?:e|ion)|spdx|unencumbered|domain|mpl|cc0)(?![a-z0-9])"
 
 
 def lengths(templates=TEMPLATES) -> list[int]:
@@ -140,23 +123,27 @@ def lengths(templates=TEMPLATES) -> list[int]:
     return sorted({len(re.findall(TOKEN, text.lower())) for _, text in templates})
 
 
-def _starts(text: Column, whole: Column, templates, least: float) -> Column:
-    """The words from each segment that has a cue, or stands before one that has, on: (tokens, own, from), where own is
-    the segment's own number of words and tokens holds as many more as the longest template. With `whole` all words of the
-    text come as one entry more.
+def _words(text: Column) -> Column:
+    return F.regexp_extract_all(text, F.lit(f"({TOKEN})"))
+
+
+def _segments(text: Column) -> Column:
+    """Lower-cased lines and sentences that hold a word; null for a text without a trigger, which most texts are."""
+    lowered = F.lower(F.coalesce(text.cast("string"), F.lit("")))
+    return F.when(F.rlike(lowered, F.lit(TRIGGER)), F.filter(F.split(lowered, r"[\n\r]+|(?<=[.!?;:])\s+"), lambda x: F.rlike(x, F.lit("[a-z0-9]"))))
+
+
+def _starts(templates) -> Column:
+    """Of the columns segments, joined and whole: the words from each segment that has a trigger, or stands before one that
+    has, on: (tokens, own), where own is the segment's own number of words and tokens holds as many more as the longest
+    template. A row that is compared as a whole has all its words as one entry more.
     """
     most = lengths(templates)[-1]
-    pattern = r"(?<![a-z0-9])(?:" + "|".join(re.escape(c) for c in cues(templates, least)) + r")(?![a-z0-9])"
-    lowered = F.lower(F.coalesce(text.cast("string"), F.lit("")))
-    segments = F.filter(F.split(lowered, r"[\n\r]+|(?<=[.!?;:])\s+"), lambda x: F.rlike(x, F.lit("[a-z0-9]")))
-    words = lambda x: F.regexp_extract_all(x, F.lit(f"({TOKEN})"))
-    hits = F.filter(F.transform(segments, lambda x, i: F.when(F.rlike(x, F.lit(pattern)), i)), lambda i: i.isNotNull())
+    hits = F.filter(F.transform("segments", lambda x, i: F.when(F.rlike(x, F.lit(TRIGGER)), i)), lambda i: i.isNotNull())
     at = F.array_distinct(F.filter(F.flatten(F.transform(hits, lambda i: F.array(i - 1, i))), lambda i: i >= 0))
-    entry = lambda i: F.struct(F.slice(words(F.array_join(F.slice(segments, i + 1, F.lit(most)), " ")), 1, most).alias("tokens"), F.size(words(F.get(segments, i))).alias("own"))
-    every = F.struct(words(lowered).alias("tokens"), F.size(words(lowered)).alias("own"))
+    entry = lambda i: F.struct(F.slice(_words(F.array_join(F.slice("segments", i + 1, F.lit(most)), " ")), 1, most).alias("tokens"), F.size(_words(F.get("segments", i))).alias("own"))
     runs = F.transform(at, entry)
-    # the pattern is tried on the whole text first: most texts have no cue at all
-    return F.when(F.rlike(lowered, F.lit(pattern)), F.when(whole, F.concat(runs, F.array(every))).otherwise(runs))
+    return F.when(F.col("whole"), F.concat(runs, F.array(F.struct(_words(F.col("joined")).alias("tokens"), F.size(_words(F.col("joined"))).alias("own"))))).otherwise(runs)
 
 
 def _units(row_starts: DataFrame, row: list[str], templates) -> DataFrame:
@@ -188,15 +175,14 @@ def compare(units: DataFrame, templates=TEMPLATES, least: float = LEAST) -> Data
 
 def scan(df: DataFrame, path: Column, doc_id: str = "doc_id", text: str = "text", templates=TEMPLATES, least: float = LEAST) -> DataFrame:
     """doc_id, path, license, score, origin (`own`, `inherited` or null) and from_dir of every row."""
-    words = F.coalesce(F.regexp_count(F.lower(F.col(text).cast("string")), F.lit(TOKEN)), F.lit(0))
     file = F.coalesce(path.cast("string").rlike(FILE_NAME), F.lit(False))
-    whole = file | (F.length(F.col(text)) <= 2 * max(len(t) for _, t in templates))
-    base = df.select(F.col(doc_id).alias("doc_id"), path.cast("string").alias("path"), F.xxhash64(F.col(text)).alias("body"), F.col(text).cast("string").alias("text"), file.alias("file"), whole.alias("whole"))
-    starts = _starts(F.col("text"), F.col("whole"), templates, least)
-    base = base.withColumn("starts", starts).withColumn("words", F.when(F.col("starts").isNotNull(), words)).drop("text", "whole")
-    base = checkpointed(base)  # one scan of the texts; what is left of a row is small
+    whole = file | F.coalesce(F.length(F.col(text)) <= 2 * max(len(t) for _, t in templates), F.lit(False))
+    base = df.select(F.col(doc_id).alias("doc_id"), path.cast("string").alias("path"), F.xxhash64(F.col(text)).alias("body"), file.alias("file"), whole.alias("whole"), _segments(F.col(text)).alias("segments"))
+    base = checkpointed(base)  # one scan of the texts; most rows have no segments left
     row = ["doc_id", "path", "body"]
-    some = base.where("starts is not null").groupBy(*row, "file", "words").agg(F.first("starts").alias("starts"))  # equal rows once
+    some = base.where("segments is not null").groupBy(*row, "file", "whole").agg(F.first("segments").alias("segments"))  # equal rows once
+    some = some.withColumn("joined", F.array_join("segments", " "))
+    some = checkpointed(some.select(*row, "file", F.size(_words(F.col("joined"))).alias("words"), _starts(templates).alias("starts")))
     units = checkpointed(_units(some, [*row, "file", "words"], templates).withColumn("key", F.md5("unit")))
     names = compare(units.groupBy("key").agg(F.first("unit").alias("unit")), templates, least)
     names = checkpointed(names)
@@ -205,6 +191,7 @@ def scan(df: DataFrame, path: Column, doc_id: str = "doc_id", text: str = "text"
     pick = F.min(F.struct((-F.col("score")).alias("low"), (-F.col("size")).alias("shorter"), "license")).alias("b")
     own = told.groupBy(*row, "file", "words").agg(pick)
     own = own.select(*row, F.col("b.license").alias("license"), (-F.col("b.low")).alias("score"), (F.col("file") | (-2 * F.col("b.shorter") >= F.col("words"))).alias("speaks"))
+    base = base.drop("segments", "whole", "file")
     same = [base[c].eqNullSafe(own[c]) for c in row]
     own = base.join(own, same[0] & same[1] & same[2], "left").select(*(base[c] for c in row), "license", "score", F.coalesce("speaks", F.lit(False)).alias("speaks"))
     own = checkpointed(own)
