@@ -5,6 +5,7 @@ from __future__ import annotations
 import contextlib
 import ctypes
 import gc
+import re
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -76,10 +77,12 @@ def small_batches(spark: SparkSession) -> None:
     """Hold Arrow batches to BATCH_BYTES and BATCH_ROWS from now on: texts are long, and both the JVM and the worker hold a
     whole batch. Settings of the session that are lower stay.
     """
-    for key, most in (("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS), ("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)):
-        now = int(str(spark.conf.get(key, "0")).rstrip("bB") or 0)
-        if now <= 0 or now > most:
-            spark.conf.set(key, most)
+    rows, size = "spark.sql.execution.arrow.maxRecordsPerBatch", "spark.sql.execution.arrow.maxBytesPerBatch"
+    if not 0 < int(spark.conf.get(rows)) <= BATCH_ROWS:
+        spark.conf.set(rows, BATCH_ROWS)
+    number, unit = re.fullmatch(r"(\d+)\s*([a-z]*)", str(spark.conf.get(size)).lower()).groups()
+    if int(number) << {"": 0, "b": 0, "k": 10, "kb": 10, "m": 20, "mb": 20, "g": 30, "gb": 30}[unit] > BATCH_BYTES:
+        spark.conf.set(size, BATCH_BYTES)
 
 
 def map_slices(df: DataFrame, column: str, work: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str) -> DataFrame:
