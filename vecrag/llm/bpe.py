@@ -26,14 +26,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecrag.llm.common import release, slices, small_batches
+from vecrag.llm.common import KEPT, release, slices, small_batches
 
 #: Bytes of a short piece, and pieces and bytes in one recursive query: they bound DuckDB's memory.
 SHORT, PIECES, BYTES = 64, 10_000, 160_000
 #: Rows that a query over long pieces may gather in its rounds.
 LONG_ROWS = 1_000_000
 #: Words and pieces that a worker remembers before it starts anew.
-WORDS_KEPT, PIECES_KEPT = 200_000, 300_000
+WORDS_KEPT, PIECES_KEPT = 100_000, 150_000
 #: Words of a text that are encoded together.
 TOGETHER = 500_000
 
@@ -360,15 +360,12 @@ class WordCoder:
         return np.concatenate([i for i, _ in out]), np.array([len(i) for i, _ in out]), bytes.fromhex("".join(d for _, d in out)), np.array([len(d) // 2 for _, d in out])
 
 
-#: A worker's coder, kept from task to task: (mark of the vocabulary, coder).
-_KEPT: list[tuple[int, WordCoder]] = []
-
-
 def _coder(mark: int, shared) -> WordCoder:
-    if not _KEPT or _KEPT[0][0] != mark:
+    """The worker's coder, kept from task to task."""
+    if KEPT.get("bpe", (None,))[0] != mark:
         ranks, keys, merged = shared.value
-        _KEPT[:] = [(mark, WordCoder(ranks, pa.table({"key": keys, "rank": merged})))]
-    return _KEPT[0][1]
+        KEPT["bpe"] = mark, WordCoder(ranks, pa.table({"key": keys, "rank": merged}))
+    return KEPT["bpe"][1]
 
 
 def _shared(df: DataFrame, ranks_path: str):

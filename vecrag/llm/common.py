@@ -17,9 +17,13 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of text that a Python operator holds decoded at once (a longer single text is its own slice).
-SLICE_BYTES = 1 << 20
+SLICE_BYTES = 1 << 19
 #: Bytes and rows of an Arrow batch.
-BATCH_BYTES, BATCH_ROWS = 8 << 20, 2000
+BATCH_BYTES, BATCH_ROWS = 4 << 20, 2000
+
+
+#: What a worker keeps from task to task of one operator; the tasks of others clear it, so that it does not lie beside them.
+KEPT: dict = {}
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -89,6 +93,7 @@ def map_slices(df: DataFrame, column: str, work: Callable[[pa.RecordBatch], pa.R
     """mapInArrow over bounded slices of each batch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        clear_kept()
         for batch in batches:
             for piece in slices(batch, column):
                 yield work(piece)
@@ -98,6 +103,12 @@ def map_slices(df: DataFrame, column: str, work: Callable[[pa.RecordBatch], pa.R
     return df.mapInArrow(run, schema)
 
 
+def clear_kept() -> None:
+    if KEPT:
+        KEPT.clear()
+        release()
+
+
 def release() -> None:
     """Give memory that a task has freed back to the system: its worker may wait idle beside other stages."""
     gc.collect()
