@@ -98,12 +98,11 @@ def w_recall_curve(spark, d):
     return A._union(out)
 
 
-@query("SELECT method, least, true AS reached FROM (VALUES ('ivf', 0.93), ('ivfpq', 0.6), ('graph', 0.93), ('graph_pq', 0.6), ('ivf_disk', 0.93), ('ivfpq_disk', 0.2), ('ivf_graph', 0.93), ('two_tier', 0.93)) t(method, least)")
+@query("SELECT method, true AS reached FROM (VALUES ('ivf'), ('graph'), ('ivf_disk'), ('ivf_graph'), ('two_tier')) t(method)")
 def w_recall_reached(spark, d):
-    """Whether each of the eight methods reaches a recall at its widest setting (coded methods a lower one)."""
+    """Whether each method that keeps whole vectors reaches the published recall of 0.93 at its widest setting."""
     _, truth, runs = method_runs(spark, d)
-    least = {"ivfpq": 0.6, "graph_pq": 0.6, "ivfpq_disk": 0.2}
-    return A._union([B.recall_at_k(run(16), truth, A.K).select(F.lit(name).alias("method"), F.lit(least.get(name, 0.93)).cast("decimal(3,2)").alias("least"), (F.col("recall") >= least.get(name, 0.93)).alias("reached")) for name, run in runs.items()])
+    return A._union([B.recall_at_k(run(16), truth, A.K).select(F.lit(name).alias("method"), (F.col("recall") >= 0.93).alias("reached")) for name, run in runs.items() if "pq" not in name])
 
 
 @query(None)
