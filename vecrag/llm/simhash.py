@@ -416,9 +416,8 @@ def _round(met: DataFrame, found: DataFrame | None, heads: DataFrame | None, k:
     """Candidate pairs (a, b) of one round over the members (key, parts, part, node, n, fp) of all shards."""
     rows = met.withColumn("comp", F.col("node"))
     if found is not None:
-        few = found.count() <= SMALL
         labels = found.withColumnRenamed("component", "label")
-        rows = met.join(F.broadcast(labels) if few else labels, "node", "left").withColumn("comp", F.coalesce("label", "node")).drop("label")
+        rows = met.join(F.broadcast(labels) if found.count() <= SMALL else labels, "node", "left").withColumn("comp", F.coalesce("label", "node")).drop("label")
     cols = ["key", "part", "node", "n", "comp", "fp", (F.col("parts") > 1).alias("large")]
     all_rows = rows.select(*cols, F.lit(False).alias("guest"))
     if heads is not None:
