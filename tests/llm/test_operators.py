@@ -850,3 +850,13 @@ def test_op4_similar_large_group_is_whole(spark, monkeypatch, part):
 def test_op4_similar_leaves_pairs_under_the_threshold(spark):
     got = {r["doc_id"]: r["component_id"] for r in simhash.similar(pairs_at(spark, 0.76, 0.795)).collect()}
     assert all(i == c for i, c in got.items())
+
+
+@pytest.mark.parametrize("k", simhash.NEAREST)
+def test_op4_similar_short_sets_meet_without_a_radius_in_all_rounds(spark, k):
+    prints = [bytes(32), bytes(32), b"\xff" * 32]  # 256 differing bits: far outside the radius
+    for n, want in ((10, {(0, 2), (1, 2)}), (1000, set())):
+        met = spark.createDataFrame([(1, 1, 0, node, n, fp) for node, fp in enumerate(prints)], "key long, parts int, part int, node long, n int, fp binary")
+        found = spark.createDataFrame([(0, 0), (1, 0)], "node long, component long")
+        pairs = {tuple(r) for r in simhash._round(met, found, None, k, simhash.SIMILARITY, simhash.FEW).collect()}
+        assert (pairs == want) if k != 1 else (pairs == ({(0, 2)} if want else set()))
