@@ -314,6 +314,7 @@ class WordCoder:
         for store, flats, sizes in ((self.piece_ids, [f[0] for f in found], [f[1] for f in found]), (self.piece_raw, [np.frombuffer(f[2], np.uint8) for f in found], [f[3] for f in found])):
             size = np.concatenate(sizes)
             store.append(_ragged(np.concatenate(flats), (np.cumsum(size) - size)[back], size[back]), size[back])
+        release()
 
     def _rows(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         sizes = np.array([len(p) for p in pieces])
