@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from vecrag import schema
 from vecrag.operators import index as two_tier
 from vecrag.operators import partition
-from vecrag.operators.kernel import Graph
+from vecrag.operators.kernel import Graph, unpacked
 from vecrag.operators.knn import matrix, merge_topk
 from vecrag.session import checkpointed
 
@@ -65,7 +65,7 @@ def build_three_tier(emb: DataFrame, n_coarse: int, n_fine: int, rounds: int = 4
 
     def place(rows: pa.Table, books: pa.Table) -> pa.Table:
         ids = np.array(books["ids"][0].as_py(), np.int64)
-        c = np.frombuffer(books["vecs"][0].as_py(), "<f4").reshape(len(ids), -1).astype(float)
+        c = unpacked(books["vecs"][0].as_py(), len(ids), books["dim"][0].as_py())
         near, d = partition.nearest_centroid(matrix(rows["v"]), ids, c)
         return pa.table({"id": rows["id"], "v": rows["v"], "cluster_id": pa.array(near.astype(np.int32)), "dist": pa.array(d)})
 
@@ -94,7 +94,7 @@ def stored_vectors(index: two_tier.Index) -> DataFrame:
         for batch in batches:
             for r in batch.to_pylist():
                 keep = ~np.array(r["deleted"], bool)
-                x = np.frombuffer(r["vecs"], "<f4").reshape(r["n"], r["dim"]).astype(float)[keep]
+                x = unpacked(r["vecs"], r["n"], r["dim"])[keep]
                 ids = np.array(r["ids"], np.int64)[keep]
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), r["cluster_id"], np.int32)), pa.array(ids), pa.array(list(x), pa.list_(pa.float64()))], ["cluster_id", "id", "v"])
 
