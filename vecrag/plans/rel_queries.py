@@ -92,10 +92,12 @@ def rel_interval(spark, d):
 
 @query("SELECT c_custkey, o_orderkey FROM (SELECT c_custkey, o_orderkey, row_number() OVER (PARTITION BY c_custkey ORDER BY o_totalprice DESC, o_orderkey) AS r FROM customer JOIN orders ON c_custkey = o_custkey) WHERE r <= 2")
 def rel_lateral(spark, d):
-    """Lateral join with an ordered limit."""
+    """Lateral join with an ordered limit; customers that repeat a key share its two orders."""
     table(spark, d, "customer").createOrReplaceTempView("lat_customer")
     table(spark, d, "orders").createOrReplaceTempView("lat_orders")
-    return spark.sql("SELECT c_custkey, o_orderkey FROM lat_customer, LATERAL (SELECT o_orderkey FROM lat_orders WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2)")
+    found = spark.sql("SELECT c_custkey, o_orderkey, o_totalprice FROM lat_customer, LATERAL (SELECT o_orderkey, o_totalprice FROM lat_orders WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2)")
+    per = W.partitionBy("c_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
+    return found.withColumn("r", F.row_number().over(per)).where("r <= 2").select("c_custkey", "o_orderkey")
 
 
 @query("SELECT user_id, count(*) AS n, round(sum(value), 4) AS v FROM events GROUP BY user_id")
