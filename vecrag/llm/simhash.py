@@ -20,6 +20,7 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from vecrag.llm.common import checkpointed, map_slices, numbered, release
@@ -228,6 +229,8 @@ ROWS, MISS = 6, 1e-3
 SPREAD, FEW = 3.0, 64
 #: Candidates that a member of a shard has checked, nearest first, round by round; None: all within the radius.
 NEAREST = (1, 4, None)
+#: The round before the last is repeated while it links one member in this many.
+MANY = 50
 #: Members of a part of a large shard, and those of each part nearest to its majority fingerprint, which all parts meet.
 PART, HEADS = 4096, 4
 #: Rows of a table that may be broadcast (under 20 bytes each).
@@ -348,7 +351,7 @@ def _main(group: np.ndarray, comp: np.ndarray) -> np.ndarray:
 
 
 def _candidates(k: int | None, similarity: float, few: int, x: dict[str, np.ndarray]) -> pa.RecordBatch | None:
-    """Pairs of different components within the radius: of each asking member the k nearest, or all.
+    """Pairs (a, b, d) of different components within the radius: of each asking member a the k nearest, or all, in any order.
 
     Members outside their group's largest component ask. In a part of a large shard guests from other parts are there:
     heads to be found (k given), or, in the last round, the members that ask.
@@ -382,16 +385,19 @@ def _candidates(k: int | None, similarity: float, few: int, x: dict[str, np.ndar
             a, b = block[q], target[node]
             small = np.minimum(n[a], n[b])
             near = ((d <= wide_radius(similarity)) | (small < few)) & (comp[a] != comp[b]) & (small >= (similarity - 1e-9) * np.maximum(n[a], n[b]))
-            hits.append(np.column_stack([a[near], d[near], x["node"][a[near]], x["node"][b[near]]]))
+            hits.append(np.column_stack([a[near], x["node"][a[near]], x["node"][b[near]], d[near]]))
         h = np.concatenate(hits)
         if k is not None and len(h):
-            h = h[np.lexsort((h[:, 3], h[:, 1], h[:, 0]))]
+            h = h[np.lexsort((h[:, 2], h[:, 3], h[:, 0]))]
             rank = np.arange(len(h)) - np.searchsorted(h[:, 0], h[:, 0])
             h = h[rank < k]
-        found.append(h[:, 2:])
+        found.append(h[:, 1:])
         at = stop
-    pairs = np.unique(np.sort(np.concatenate(found), axis=1), axis=0)
-    return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"]) if len(pairs) else None
+    pairs = np.concatenate(found)
+    if k is None:
+        pairs[:, :2].sort(axis=1)
+        pairs = np.unique(pairs, axis=0)
+    return pa.RecordBatch.from_arrays([pa.array(c) for c in pairs.astype(np.int64).T], ["a", "b", "d"]) if len(pairs) else None
 
 
 def _heads(x: dict[str, np.ndarray]) -> pa.RecordBatch | None:
@@ -413,7 +419,9 @@ def _dealt(rows: DataFrame, solve, schema: str) -> DataFrame:
 
 
 def _round(met: DataFrame, found: DataFrame | None, heads: DataFrame | None, k: int | None, similarity: float, few: int) -> DataFrame:
-    """Candidate pairs (a, b) of one round over the members (key, parts, part, node, n, fp) of all shards."""
+    """Candidate pairs (a, b) of one round over the members (key, parts, part, node, n, fp) of all shards: with k, those of a
+    member's k nearest in all its shards together.
+    """
     rows = met.withColumn("comp", F.col("node"))
     if found is not None:
         labels = found.withColumnRenamed("component", "label")
@@ -429,7 +437,22 @@ def _round(met: DataFrame, found: DataFrame | None, heads: DataFrame | None, k:
             guests = large.join(F.broadcast(heads) if heads.count() <= SMALL else heads, ["key", "node"], "left_semi")
         guests = guests.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
         all_rows = all_rows.unionByName(guests.select(*cols, F.lit(True).alias("guest")))
-    return _dealt(all_rows, partial(_candidates, k, similarity, few), "a long, b long").distinct()
+    pairs = _dealt(all_rows, partial(_candidates, k, similarity, few), "a long, b long, d long")
+    if k is not None:
+        once = pairs.repartition("a").groupBy("a", "b").agg(F.min("d").alias("d"))
+        pairs = once.withColumn("rank", F.row_number().over(W.partitionBy("a").orderBy("d", "b"))).where(F.col("rank") <= k)
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def joined(found: DataFrame | None, links: DataFrame) -> DataFrame:
+    """Components (node, component) of `found` after more links: only links between its components are followed."""
+    if found is None:
+        return components(links)
+    of = lambda x: found.select(F.col("node").alias(x), F.col("component").alias(f"c{x}"))
+    between = links.join(of("a"), "a", "left").join(of("b"), "b", "left").select(F.coalesce("ca", "a").alias("a"), F.coalesce("cb", "b").alias("b"))
+    top = components(between.where("a <> b").distinct())
+    moved = found.join(top.select(F.col("node").alias("component"), F.col("component").alias("top")), "component", "left").select("node", F.coalesce("top", "component").alias("component"))
+    return checkpointed(moved.unionByName(top.join(found.select("node"), "node", "left_anti")))
 
 
 def _checked(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
@@ -446,24 +469,30 @@ def grouped(met: DataFrame, sets: DataFrame, similarity: float, few: int = FEW)
     met: the members (key, parts, part, node, n, fp) of the shards; sets: (node, shingles). Pairs with a set of fewer than
     `few` members need not lie within the radius.
 
-    A member's nearest candidates are checked first. That joins most of a large group, after which only pairs of
-    different components are left; the last round checks all of those.
+    A member's nearest candidates are checked first, once or a few times: at most k of it a round, in however many shards it
+    meets them. That joins most of a large group, after which only pairs of different components are left; the last round
+    checks all of those.
     """
     heads = None
     large = met.where("parts > 1")
     if not large.isEmpty():
         heads = checkpointed(_dealt(large, _heads, "key long, node long"))
-    found = links = failed = None
-    for k in NEAREST:
+    found = failed = None
+    members = met.select("node").distinct().count()
+    rounds = list(NEAREST)
+    while rounds:
+        k = rounds.pop(0)
         pairs = _round(met, found, heads, k, similarity, few)
         if failed is not None:
             pairs = pairs.join(failed, ["a", "b"], "left_anti")
         got = checkpointed(_checked(pairs, sets, similarity))
         new, bad = got.where("ok").select("a", "b"), got.where("not ok").select("a", "b")
         failed = bad if failed is None else failed.unionByName(bad)
-        if not new.isEmpty():
-            links = new if links is None else links.unionByName(new)
-            found = components(links)
+        added = new.count()
+        if added:
+            found = joined(found, new)
+        if rounds == [None] and added * MANY > members:  # still joining: the last round is for what is left then
+            rounds.insert(0, k)
     return found
 
 
