@@ -43,3 +43,23 @@ def test_overlap_ranks_by_rounded_score_among_sharing_rows():
 def test_best_of_counts_an_id_once():
     got = best_of(np.array([1, 1, 1, 2]), np.array([4, 4, 3, 4]), np.array([0.5, 0.2, 0.2, 0.1]), 2)
     assert [x.tolist() for x in got] == [[1, 1, 2], [3, 4, 4], [0.2, 0.2, 0.1]]
+
+
+def test_copies_put_a_vector_in_several_lists(spark):
+    """Neighbours that a border parts meet in one list, and an id is found once."""
+    from pyspark.sql import functions as F
+
+    from vecrag import sources
+    from vecrag.operators import index, knn, partition
+    from vecrag.operators.baselines import recall_at_k
+
+    e = sources.expanded_embeddings(spark, "/root/testdata/sf0.001", 4).select("id", "v").cache()
+    q = e.where("id % 8 = 0").select(F.col("id").alias("qid"), F.col("v").alias("qv"))
+    cents = partition.fit_partitions(e, 40, rounds=2)
+    assert {r["count"] for r in partition.assign(e, cents, 3).groupBy("id").count().collect()} == {3}
+    truth, recall = knn.knn_exact(e, q, 3).cache(), []
+    for copies in (1, 3):
+        found = index.search(index.build_index(e, centroids=cents, copies=copies), q, 3, n_p=1, ef_l=64).cache()
+        assert found.count() == found.select("qid", "id").distinct().count()
+        recall.append(recall_at_k(found, truth, 3).first()["recall"])
+    assert recall[1] > recall[0] + 0.03
