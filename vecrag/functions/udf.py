@@ -6,11 +6,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Row, SparkSession
+from pyspark.sql import DataFrame, Row, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql.functions import arrow_udf, udtf
 
 from vecrag.operators.kernel import Graph
 
+#: Places up to which a distance is written out term by term.
+WIDEST = 128
 SQL_FUNCTIONS = {
     "l2sq(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE": "aggregate(zip_with(a, b, (x, y) -> (x - y) * (x - y)), 0D, (s, x) -> s + x)",
     "vdot(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE": "aggregate(zip_with(a, b, (x, y) -> x * y), 0D, (s, x) -> s + x)",
@@ -20,9 +23,26 @@ SQL_FUNCTIONS = {
 }
 
 
-def register(spark: SparkSession) -> None:
-    """Make l2sq, vdot, vcosine, text_tokens, token_count, windows_of and neighbours known to SQL."""
+def unrolled_l2sq(dim: int) -> str:
+    """Body of l2sq for vectors of up to `dim` places, term by term in the same order: compiled code instead of lambdas."""
+    each = (f"(get(a, {i}) - get(b, {i}))" for i in range(dim))
+    return "0D + " + " + ".join(f"{x} * {x}" for x in each)
+
+
+def only_size(vectors: DataFrame, v: str = "v") -> int | None:
+    """The size of all vectors if they have the same one of up to WIDEST places and no null in them, else None."""
+    low, high, gaps = vectors.agg(F.min(F.size(v)), F.max(F.size(v)), F.bool_or(F.exists(v, lambda x: x.isNull()))).first()
+    return high if low == high and high and 0 < high <= WIDEST and not gaps else None
+
+
+def register(spark: SparkSession, dim: int | None = None) -> None:
+    """Make l2sq, vdot, vcosine, text_tokens, token_count, windows_of and neighbours known to SQL.
+
+    With `dim`, the size of all vectors, l2sq is compiled for it: it is what scans of all pairs spend their time on.
+    """
     for signature, body in SQL_FUNCTIONS.items():
+        if dim and signature.startswith("l2sq("):
+            body = unrolled_l2sq(dim)
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {signature} RETURN {body}")
     spark.udtf.register("windows_of", windows_of)
     spark.udtf.register("neighbours", neighbours)
@@ -77,7 +97,6 @@ def graph_search_udf(k: int, ef: int):
 
 def vec_mean(df, group: str, vec: str = "v"):
     """(group, n, mean): two-phase mean of vectors: sums of each batch, then of the groups."""
-    from pyspark.sql import functions as F
 
     def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from vecrag.operators.knn import matrix
