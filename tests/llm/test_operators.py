@@ -860,3 +860,45 @@ def test_op4_similar_short_sets_meet_without_a_radius_in_all_rounds(spark, k):
         found = spark.createDataFrame([(0, 0), (1, 0)], "node long, component long")
         pairs = {tuple(r) for r in simhash._round(met, found, None, k, simhash.SIMILARITY, simhash.FEW).collect()}
         assert (pairs == want) if k != 1 else (pairs == ({(0, 2)} if want else set()))
+
+
+def near_misses(n, words=200):
+    """Texts made of one by edits at places of their own: most pairs lie within the radius, few have the similarity."""
+    rng = np.random.default_rng(10)
+    base = [f"g{k}" for k in range(words)]
+    texts = []
+    for _ in range(n):
+        near = list(base)
+        for at in rng.choice(words, int(rng.integers(3, 7)), replace=False):
+            near[at] = f"e{rng.integers(1 << 40)}"
+        texts.append(" ".join(near))
+    return texts
+
+
+@pytest.mark.parametrize("most", [simhash.MOST, 1 << 14])
+def test_op4_similar_looks_at_near_misses_without_a_row_for_each(spark, monkeypatch, most):
+    monkeypatch.setattr(simhash, "MOST", most)
+    texts, rows = near_misses(160), []
+    checked = simhash._checked
+    monkeypatch.setattr(simhash, "_checked", lambda pairs, *a: rows.append(pairs.count()) or checked(pairs, *a))
+    sets = [simhash.shingle_set(t) for t in texts]
+    label = list(range(len(texts)))
+    for i, a in enumerate(sets):
+        for j, b in enumerate(sets[:i]):
+            same = simhash.common(a, b)
+            if same >= 0.8 * (len(a) + len(b) - same) and label[i] != label[j]:
+                low, high = sorted((label[i], label[j]))
+                label = [low if x == high else x for x in label]
+    got = {r["doc_id"]: r["component_id"] for r in simhash.similar(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert [got[i] for i in range(len(texts))] == label
+    assert 1 < len(set(label)) < len(texts)
+    assert len(rows) == len(simhash.NEAREST) and None not in simhash.NEAREST  # each sends some of a member; the rest meets in tasks
+
+
+def test_op4_similar_short_sets_meet_without_a_radius_in_the_last_round(spark):
+    prints = [bytes(32), bytes(32), b"\xff" * 32]
+    sets = spark.createDataFrame([(k, list(range(10))) for k in range(3)], "node long, shingles array<long>")
+    for n, want in ((10, 1), (1000, 0)):
+        met = spark.createDataFrame([(1, 1, 0, node, n, fp) for node, fp in enumerate(prints)], "key long, parts int, part int, node long, n int, fp binary")
+        found = spark.createDataFrame([(0, 0), (1, 0)], "node long, component long")
+        assert simhash._rest(met, found, sets, simhash.SIMILARITY, simhash.FEW).count() == want

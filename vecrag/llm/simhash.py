@@ -226,10 +226,12 @@ ROWS, MISS = 6, 1e-3
 #: Standard deviations of the distance at the similarity that the radius allows for, and the number of shingles under which
 #: no radius holds (the bits of few shingles differ by chance).
 SPREAD, FEW = 3.0, 64
-#: Candidates that a member of a shard has checked, nearest first, round by round; None: all within the radius.
-NEAREST = (1, 4, None)
+#: Candidates that a member of a shard has checked, nearest first, round by round; a last round checks all that are left.
+NEAREST = (1, 4)
 #: Members of a part of a large shard, and those of each part nearest to its majority fingerprint, which all parts meet.
 PART, HEADS = 4096, 4
+#: Shingles that members of a shard bring to a part of it in the last round, and what a member counts for at least.
+MOST, LEAST = 1 << 21, 512
 #: Rows of a table that may be broadcast (under 20 bytes each).
 SMALL = 1_000_000
 _ODD = np.random.default_rng(42).integers(0, 1 << 63, 4096, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -305,6 +307,8 @@ def _by_part(solve: Callable[[dict[str, np.ndarray]], pa.RecordBatch | None]):
 
     def arrays(table: pa.Table) -> dict[str, np.ndarray]:
         out = {c: table[c].to_numpy() for c in table.schema.names if c != "fp"}
+        if "shingles" in out:
+            out["shingles"] = np.fromiter((v.view(np.uint64) for v in out["shingles"]), object, len(out["shingles"]))  # sorted as such
         out["fp"] = np.frombuffer(b"".join(table["fp"].to_pylist()), "<u8").reshape(-1, WIDE)
         out["group"] = np.cumsum(np.append(0, (np.diff(out["key"]) != 0) | (np.diff(out["part"]) != 0)))
         return out
@@ -347,31 +351,22 @@ def _main(group: np.ndarray, comp: np.ndarray) -> np.ndarray:
     return out
 
 
-def _candidates(k: int | None, similarity: float, few: int, x: dict[str, np.ndarray]) -> pa.RecordBatch | None:
-    """Pairs of different components within the radius: of each asking member the k nearest, or all.
-
-    Members outside their group's largest component ask. In a part of a large shard guests from other parts are there:
-    heads to be found (k given), or, in the last round, the members that ask.
-    """
-    guest, group, comp, n = x["guest"], x["group"], x["comp"], x["n"]
-    last = x["large"] & (k is None)
-    asks = np.where(last, guest, ~guest & ~_main(group, comp))
-    there = ~last | ~guest
-    mixed = np.zeros(int(group[-1]) + 1, bool)  # groups of more than one component
-    low, high = np.full(len(mixed), np.iinfo(np.int64).max), np.full(len(mixed), np.iinfo(np.int64).min)
+def _within(x: dict[str, np.ndarray], asks: np.ndarray, there: np.ndarray, similarity: float, few: int) -> Iterator[np.ndarray]:
+    """(asking row, row that is there, differing bits) of the pairs of different components within the radius, by blocks of asking rows."""
+    group, comp, n = x["group"], x["comp"], x["n"]
+    low, high = np.full(int(group[-1]) + 1, np.iinfo(np.int64).max), np.full(int(group[-1]) + 1, np.iinfo(np.int64).min)
     np.minimum.at(low, group, comp)
     np.maximum.at(high, group, comp)
-    mixed = low < high
+    mixed = low < high  # groups of more than one component
     query, target = np.flatnonzero(asks & mixed[group]), np.flatnonzero(there & mixed[group])
     if not len(query) or not len(target):
-        return None
+        return
     forest = Forest(x["fp"][target], group[target])
     first = np.full(len(mixed), -1)
     first[group[target]] = forest.root
     query = query[first[group[query]] >= 0]
     size = np.bincount(group[target], minlength=len(mixed))[group[query]]
     radius = np.where(n[query] * similarity < few, WIDE * 64, wide_radius(similarity))
-    found: list[np.ndarray] = []
     at = 0
     ends = np.cumsum(size)
     while at < len(query):  # queries whose groups have about STEP targets together
@@ -382,18 +377,76 @@ def _candidates(k: int | None, similarity: float, few: int, x: dict[str, np.ndar
             a, b = block[q], target[node]
             small = np.minimum(n[a], n[b])
             near = ((d <= wide_radius(similarity)) | (small < few)) & (comp[a] != comp[b]) & (small >= (similarity - 1e-9) * np.maximum(n[a], n[b]))
-            hits.append(np.column_stack([a[near], d[near], x["node"][a[near]], x["node"][b[near]]]))
-        h = np.concatenate(hits)
-        if k is not None and len(h):
-            h = h[np.lexsort((h[:, 3], h[:, 1], h[:, 0]))]
-            rank = np.arange(len(h)) - np.searchsorted(h[:, 0], h[:, 0])
-            h = h[rank < k]
-        found.append(h[:, 2:])
+            hits.append(np.column_stack([a[near], b[near], d[near]]))
+        yield np.concatenate(hits)
         at = stop
+
+
+def _candidates(k: int, similarity: float, few: int, x: dict[str, np.ndarray]) -> pa.RecordBatch | None:
+    """Pairs of different components within the radius: of each asking member the k nearest.
+
+    Members outside their group's largest component ask. In a part of a large shard the heads of other parts are there as guests.
+    """
+    guest, node = x["guest"], x["node"]
+    found: list[np.ndarray] = []
+    for h in _within(x, ~guest & ~_main(x["group"], x["comp"]), np.ones(len(guest), bool), similarity, few):
+        h = h[np.lexsort((node[h[:, 1]], h[:, 2], h[:, 0]))]
+        rank = np.arange(len(h)) - np.searchsorted(h[:, 0], h[:, 0])
+        found.append(node[h[rank < k, :2]])
+    if not found:
+        return None
     pairs = np.unique(np.sort(np.concatenate(found), axis=1), axis=0)
     return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"]) if len(pairs) else None
 
 
+def _met_by_others(sets: np.ndarray, group: np.ndarray) -> np.ndarray:
+    """How many values of each row's set other rows of its group have too."""
+    out = np.zeros(len(sets), np.int64)
+    starts = np.flatnonzero(np.append(True, np.diff(group) != 0))
+    for a, b in zip(starts, np.append(starts[1:], len(sets)), strict=True):
+        _, of, count = np.unique(np.concatenate(list(sets[a:b])), return_inverse=True, return_counts=True)
+        row = np.repeat(np.arange(a, b), [len(s) for s in sets[a:b]])
+        out[a:b] = np.bincount(row[count[of] > 1] - a, minlength=b - a)
+    return out
+
+
+def _joining(similarity: float, few: int, x: dict[str, np.ndarray]) -> pa.RecordBatch | None:
+    """Links (a, b) that join the components whose asking members lie within the radius and have the similarity.
+
+    A pair is looked at only while its components are apart, and only if the values that either set shares with any other
+    of the group could be enough: what a member has alone is in no common part.
+    """
+    n, node, sets = x["n"].astype(np.int64), x["node"], x["shingles"]
+    top, of = np.unique(x["comp"], return_inverse=True)
+    top = list(range(len(top)))
+
+    def head(c: int) -> int:
+        while top[c] != c:
+            top[c] = c = top[top[c]]
+        return c
+
+    alike = lambda same, both: same >= (similarity - 1e-9) * (both - same)
+    shared, links = None, []
+    for h in _within(x, x["asks"], x["there"], similarity, few):
+        if shared is None:
+            shared = _met_by_others(sets, x["group"])
+        h = h[alike(np.minimum(shared[h[:, 0]], shared[h[:, 1]]), n[h[:, 0]] + n[h[:, 1]])]
+        for a, b in h[np.argsort(h[:, 2], kind="stable"), :2].tolist():
+            low, high = sorted((head(of[a]), head(of[b])))
+            if low != high and alike(common(sets[a], sets[b]), n[a] + n[b]):
+                top[high] = low
+                links.append((node[a], node[b]))
+    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*links, strict=True)], ["a", "b"]) if links else None
+
+
+def common(a: np.ndarray, b: np.ndarray) -> int:
+    """How many values two sorted sets have in common."""
+    if len(a) > len(b):
+        a, b = b, a
+    at = np.minimum(np.searchsorted(b, a), len(b) - 1)
+    return int((b[at] == a).sum())
+
+
 def _heads(x: dict[str, np.ndarray]) -> pa.RecordBatch | None:
     """The members of each part that lie nearest to the majority of its fingerprints: the middle of a star of copies is one."""
     out = []
@@ -412,26 +465,47 @@ def _dealt(rows: DataFrame, solve, schema: str) -> DataFrame:
     return rows.repartition("key", "part").sortWithinPartitions("key", "part", "node").mapInArrow(_by_part(solve), schema)
 
 
-def _round(met: DataFrame, found: DataFrame | None, heads: DataFrame | None, k: int | None, similarity: float, few: int) -> DataFrame:
+def _labelled(met: DataFrame, found: DataFrame | None) -> DataFrame:
+    """The members with their component so far: themselves, where no link has met them."""
+    if found is None:
+        return met.withColumn("comp", F.col("node"))
+    labels = found.withColumnRenamed("component", "label")
+    return met.join(F.broadcast(labels) if found.count() <= SMALL else labels, "node", "left").withColumn("comp", F.coalesce("label", "node")).drop("label")
+
+
+def _round(met: DataFrame, found: DataFrame | None, heads: DataFrame | None, k: int, similarity: float, few: int) -> DataFrame:
     """Candidate pairs (a, b) of one round over the members (key, parts, part, node, n, fp) of all shards."""
-    rows = met.withColumn("comp", F.col("node"))
-    if found is not None:
-        labels = found.withColumnRenamed("component", "label")
-        rows = met.join(F.broadcast(labels) if found.count() <= SMALL else labels, "node", "left").withColumn("comp", F.coalesce("label", "node")).drop("label")
-    cols = ["key", "part", "node", "n", "comp", "fp", (F.col("parts") > 1).alias("large")]
+    rows = _labelled(met, found)
+    cols = ["key", "part", "node", "n", "comp", "fp"]
     all_rows = rows.select(*cols, F.lit(False).alias("guest"))
     if heads is not None:
-        large = rows.where("parts > 1")
-        if k is None:
-            main = large.groupBy("key", "comp").agg(F.count("*").alias("size")).groupBy("key").agg(F.max(F.struct("size", F.col("comp").alias("main"))).alias("m"))
-            guests = large.join(main.select("key", F.col("m.main").alias("main")), "key").where("comp <> main")
-        else:
-            guests = large.join(F.broadcast(heads) if heads.count() <= SMALL else heads, ["key", "node"], "left_semi")
+        guests = rows.where("parts > 1").join(F.broadcast(heads) if heads.count() <= SMALL else heads, ["key", "node"], "left_semi")
         guests = guests.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
         all_rows = all_rows.unionByName(guests.select(*cols, F.lit(True).alias("guest")))
     return _dealt(all_rows, partial(_candidates, k, similarity, few), "a long, b long").distinct()
 
 
+def _rest(met: DataFrame, found: DataFrame | None, sets: DataFrame, similarity: float, few: int) -> DataFrame:
+    """Links (a, b) of the last round: in shards of several components all pairs of these are looked at where their sets meet.
+
+    Members outside a shard's largest component ask all its members. Where these have over MOST shingles, parts of the members
+    meet blocks of those that ask, each pair of a part and a block in a place of its own. Only links leave a task, fewer
+    than its components; pairs do not.
+    """
+    rows = _labelled(met, found).withColumn("w", F.greatest("n", F.lit(LEAST)).cast("long"))
+    sizes = rows.groupBy("key", "comp").agg(F.sum("w").alias("w")).groupBy("key").agg(F.count("*").alias("comps"), F.sum("w").alias("all"), F.max(F.struct("w", "comp")).alias("main")).where("comps > 1")
+    share = lambda w: F.ceil(w / MOST).cast("int")
+    sizes = sizes.select("key", F.col("main.comp").alias("main"), share(F.col("all")).alias("most"), share(F.col("all") - F.col("main.w")).alias("blocks"))
+    rows = rows.join(sizes, "key").withColumn("asks", F.col("comp") != F.col("main"))
+    own = lambda n: F.pmod(F.xxhash64("node"), F.col(n)).cast("int")
+    place = lambda part, asks, there: F.struct(part.alias("at"), asks.alias("ask"), F.lit(there).alias("there"))
+    members = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda b: place(own("most") * F.col("blocks") + b, F.lit(False), True))
+    asking = F.transform(F.sequence(F.lit(0), F.col("most") - 1), lambda p: place(p * F.col("blocks") + own("blocks"), F.lit(True), False))
+    places = F.when(F.col("most") * F.col("blocks") == 1, F.array(place(F.lit(0), F.col("asks"), True))).when(F.col("asks"), F.concat(members, asking)).otherwise(members)
+    dealt = rows.select("key", "node", "n", "comp", "fp", F.explode(places).alias("p")).select("key", F.col("p.at").alias("part"), "node", "n", "comp", "fp", F.col("p.ask").alias("asks"), F.col("p.there").alias("there"))
+    return _dealt(dealt.join(sets, "node"), partial(_joining, similarity, few), "a long, b long")
+
+
 def _checked(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     """(a, b, ok): whether the Jaccard index of a pair's shingle sets is the similarity or more."""
     both = F.size(F.array_intersect("sa", "sb"))
@@ -447,7 +521,7 @@ def grouped(met: DataFrame, sets: DataFrame, similarity: float, few: int = FEW)
     `few` members need not lie within the radius.
 
     A member's nearest candidates are checked first. That joins most of a large group, after which only pairs of
-    different components are left; the last round checks all of those.
+    different components are left; the last round looks at all of those.
     """
     heads = None
     large = met.where("parts > 1")
@@ -459,12 +533,14 @@ def grouped(met: DataFrame, sets: DataFrame, similarity: float, few: int = FEW)
         if failed is not None:
             pairs = pairs.join(failed, ["a", "b"], "left_anti")
         got = checkpointed(_checked(pairs, sets, similarity))
-        new, bad = got.where("ok").select("a", "b"), got.where("not ok").select("a", "b")
-        failed = bad if failed is None else failed.unionByName(bad)
+        new, failed = got.where("ok").select("a", "b"), got.where("not ok").select("a", "b")
         if not new.isEmpty():
             links = new if links is None else links.unionByName(new)
             found = components(links)
-    return found
+    new = checkpointed(_rest(met, found, sets, similarity, few))
+    if new.isEmpty():
+        return found
+    return components(new if links is None else links.unionByName(new))
 
 
 def similar(df: DataFrame, doc_id: str = "doc_id", text: str = "text", similarity: float = SIMILARITY, words: int = SHINGLE) -> DataFrame:
