@@ -399,24 +399,32 @@ def _candidates(k: int, similarity: float, few: int, x: dict[str, np.ndarray]) -
     return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"]) if len(pairs) else None
 
 
-def _met_by_others(sets: np.ndarray, group: np.ndarray) -> np.ndarray:
-    """How many values of each row's set other rows of its group have too."""
-    out = np.zeros(len(sets), np.int64)
-    starts = np.flatnonzero(np.append(True, np.diff(group) != 0))
-    for a, b in zip(starts, np.append(starts[1:], len(sets)), strict=True):
-        _, of, count = np.unique(np.concatenate(list(sets[a:b])), return_inverse=True, return_counts=True)
-        row = np.repeat(np.arange(a, b), [len(s) for s in sets[a:b]])
-        out[a:b] = np.bincount(row[count[of] > 1] - a, minlength=b - a)
-    return out
+class _Overlaps:
+    """How many values the sets of a group have in common, by the rows that hold each value."""
+
+    def __init__(self, sets: np.ndarray):
+        self.ends = np.append(0, np.cumsum([len(s) for s in sets]))
+        _, self.of, self.count = np.unique(np.concatenate(list(sets)), return_inverse=True, return_counts=True)
+        row = np.repeat(np.arange(len(sets)), np.diff(self.ends))
+        self.rows, self.first = row[np.argsort(self.of, kind="stable")], np.cumsum(self.count) - self.count
+        self.shared = np.bincount(row[self.count[self.of] > 1], minlength=len(sets))  # values of a row that others have too
+
+    def __call__(self, row: int) -> np.ndarray:
+        """Of one row with each row; a value that it has alone counts for none."""
+        values = self.of[self.ends[row] : self.ends[row + 1]]
+        values = values[self.count[values] > 1]
+        width = self.count[values]
+        at = np.repeat(self.first[values] - (np.cumsum(width) - width), width) + np.arange(width.sum())
+        return np.bincount(self.rows[at], minlength=len(self.shared))
 
 
 def _joining(similarity: float, few: int, x: dict[str, np.ndarray]) -> pa.RecordBatch | None:
     """Links (a, b) that join the components whose asking members lie within the radius and have the similarity.
 
-    A pair is looked at only while its components are apart, and only if the values that either set shares with any other
-    of the group could be enough: what a member has alone is in no common part.
+    An asking member counts what it shares with the others of its group only if the values that it and any of these share with
+    anyone could be enough.
     """
-    n, node, sets = x["n"].astype(np.int64), x["node"], x["shingles"]
+    n, node, group = x["n"].astype(np.int64), x["node"], x["group"]
     top, of = np.unique(x["comp"], return_inverse=True)
     top = list(range(len(top)))
 
@@ -426,25 +434,31 @@ def _joining(similarity: float, few: int, x: dict[str, np.ndarray]) -> pa.Record
         return c
 
     alike = lambda same, both: same >= (similarity - 1e-9) * (both - same)
-    shared, links = None, []
+    now, links = -1, []
     for h in _within(x, x["asks"], x["there"], similarity, few):
-        if shared is None:
-            shared = _met_by_others(sets, x["group"])
-        h = h[alike(np.minimum(shared[h[:, 0]], shared[h[:, 1]]), n[h[:, 0]] + n[h[:, 1]])]
-        for a, b in h[np.argsort(h[:, 2], kind="stable"), :2].tolist():
-            low, high = sorted((head(of[a]), head(of[b])))
-            if low != high and alike(common(sets[a], sets[b]), n[a] + n[b]):
-                top[high] = low
-                links.append((node[a], node[b]))
+        h = h[np.argsort(h[:, 0], kind="stable"), :2]
+        for some in np.split(h, np.flatnonzero(np.diff(h[:, 0])) + 1):
+            if not len(some):
+                continue
+            a, b = int(some[0, 0]), some[:, 1]
+            if group[a] != now:
+                now, start = group[a], int(np.searchsorted(group, group[a]))
+                overlaps = _Overlaps(x["shingles"][start : int(np.searchsorted(group, now, "right"))])
+            b = b[alike(np.minimum(overlaps.shared[a - start], overlaps.shared[b - start]), n[a] + n[b])]
+            if not len(b):
+                continue
+            for c in b[alike(overlaps(a - start)[b - start], n[a] + n[b])].tolist():
+                low, high = sorted((head(of[a]), head(of[c])))
+                if low != high:
+                    top[high] = low
+                    links.append((node[a], node[c]))
     return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*links, strict=True)], ["a", "b"]) if links else None
 
 
-def common(a: np.ndarray, b: np.ndarray) -> int:
-    """How many values two sorted sets have in common."""
-    if len(a) > len(b):
-        a, b = b, a
-    at = np.minimum(np.searchsorted(b, a), len(b) - 1)
-    return int((b[at] == a).sum())
+def _apart(similarity: float, few: int, x: dict[str, np.ndarray]) -> pa.RecordBatch | None:
+    """All pairs of different components within the radius of asking members."""
+    found = [np.unique(np.sort(x["node"][h[:, :2]], axis=1), axis=0) for h in _within(x, x["asks"], x["there"], similarity, few)]
+    return pa.RecordBatch.from_arrays([pa.array(c) for c in np.unique(np.concatenate(found), axis=0).T], ["a", "b"]) if found else None
 
 
 def _heads(x: dict[str, np.ndarray]) -> pa.RecordBatch | None:
@@ -485,8 +499,9 @@ def _round(met: DataFrame, found: DataFrame | None, heads: DataFrame | None, k:
     return _dealt(all_rows, partial(_candidates, k, similarity, few), "a long, b long").distinct()
 
 
-def _rest(met: DataFrame, found: DataFrame | None, sets: DataFrame, similarity: float, few: int) -> DataFrame:
-    """Links (a, b) of the last round: in shards of several components all pairs of these are looked at where their sets meet.
+def _rest(met: DataFrame, found: DataFrame | None, sets: DataFrame | None, similarity: float, few: int) -> DataFrame:
+    """Links (a, b) of the last round: in shards of several components all pairs of these are looked at where their sets meet;
+    without `sets` the pairs, to be checked.
 
     Members outside a shard's largest component ask all its members. Where these have over MOST shingles, parts of the members
     meet blocks of those that ask, each pair of a part and a block in a place of its own. Only links leave a task, fewer
@@ -503,6 +518,8 @@ def _rest(met: DataFrame, found: DataFrame | None, sets: DataFrame, similarity:
     asking = F.transform(F.sequence(F.lit(0), F.col("most") - 1), lambda p: place(p * F.col("blocks") + own("blocks"), F.lit(True), False))
     places = F.when(F.col("most") * F.col("blocks") == 1, F.array(place(F.lit(0), F.col("asks"), True))).when(F.col("asks"), F.concat(members, asking)).otherwise(members)
     dealt = rows.select("key", "node", "n", "comp", "fp", F.explode(places).alias("p")).select("key", F.col("p.at").alias("part"), "node", "n", "comp", "fp", F.col("p.ask").alias("asks"), F.col("p.there").alias("there"))
+    if sets is None:
+        return _dealt(dealt, partial(_apart, similarity, few), "a long, b long").distinct()
     return _dealt(dealt.join(sets, "node"), partial(_joining, similarity, few), "a long, b long")
 
 
@@ -514,14 +531,15 @@ def _checked(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").select("a", "b", ok.alias("ok"))
 
 
-def grouped(met: DataFrame, sets: DataFrame, similarity: float, few: int = FEW) -> DataFrame | None:
+def grouped(met: DataFrame, sets: DataFrame, similarity: float, few: int = FEW, dealt: bool = True) -> DataFrame | None:
     """Components of all pairs that meet in a shard, lie within the radius and have the similarity; None if there are none.
 
     met: the members (key, parts, part, node, n, fp) of the shards; sets: (node, shingles). Pairs with a set of fewer than
     `few` members need not lie within the radius.
 
     A member's nearest candidates are checked first. That joins most of a large group, after which only pairs of
-    different components are left; the last round looks at all of those.
+    different components are left; the last round looks at all of those. With `dealt` the sets go to the shards for it, once a
+    shard; without, for members of very many shards, the pairs are sent to the sets.
     """
     heads = None
     large = met.where("parts > 1")
@@ -533,11 +551,15 @@ def grouped(met: DataFrame, sets: DataFrame, similarity: float, few: int = FEW)
         if failed is not None:
             pairs = pairs.join(failed, ["a", "b"], "left_anti")
         got = checkpointed(_checked(pairs, sets, similarity))
-        new, failed = got.where("ok").select("a", "b"), got.where("not ok").select("a", "b")
+        new, bad = got.where("ok").select("a", "b"), got.where("not ok").select("a", "b")
+        failed = bad if failed is None else failed.unionByName(bad)
         if not new.isEmpty():
             links = new if links is None else links.unionByName(new)
             found = components(links)
-    new = checkpointed(_rest(met, found, sets, similarity, few))
+    rest = _rest(met, found, sets if dealt else None, similarity, few)
+    if not dealt:
+        rest = _checked(rest.join(failed, ["a", "b"], "left_anti"), sets, similarity).where("ok").select("a", "b")
+    new = checkpointed(rest)
     if new.isEmpty():
         return found
     return components(new if links is None else links.unionByName(new))

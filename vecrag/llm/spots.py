@@ -184,7 +184,7 @@ def near_duplicates(df: DataFrame, doc_id: str = "doc_id", text: str = "text", l
     dealt = checkpointed(prefix.select("node", F.explode(F.array(F.xxhash64("sig", "band"), F.xxhash64("sig", F.col("band") + 1))).alias("key")))
     shared = dealt.groupBy("key").agg(F.count("*").alias("members")).where("members > 1").select("key", F.ceil(F.col("members") / simhash.PART).cast("int").alias("parts"))
     met = dealt.join(shared, "key").join(nodes.select("node", "n", "fp"), "node").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int"))
-    found = simhash.grouped(checkpointed(met), nodes.select("node", F.col("sigs").alias("shingles")), least, few=1 << 40)
+    found = simhash.grouped(checkpointed(met), nodes.select("node", F.col("sigs").alias("shingles")), least, few=1 << 40, dealt=False)
     classes = nodes.select("same", "node").withColumn("class", F.col("node"))
     if found is not None:
         classes = classes.drop("class").join(found.withColumnRenamed("component", "class"), "node", "left")
