@@ -5,6 +5,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
+from vecrag.operators import kernel
 from vecrag.operators.kernel import Graph, draw_level
 
 POINTS = {0: (6, 9), 1: (4, 11), 2: (10, 6), 3: (4, 3), 4: (3, 5), 5: (2, 3), 6: (6, 4), 7: (7, 8)}
@@ -136,3 +137,17 @@ def test_stored_form_round_trip():
     assert back.links == g.links and back.ids == g.ids and back.entry == g.entry
     again = back.to_row()
     assert {k: v for k, v in again.items() if k != "n_dist_build"} == {k: v for k, v in row.items() if k != "n_dist_build"}
+
+
+def test_batch_links_equal_links_of_one_node_after_the_other(monkeypatch):
+    rng = np.random.default_rng(12)
+    hub = np.vstack([np.zeros((1, 16)), rng.normal(size=(900, 16))])
+    for vecs in (hub[:2], hub[:70], hub, hub * 1e7):
+        graph = kernel.Graph.build(range(len(vecs)), vecs)
+        with monkeypatch.context() as m:
+            m.setattr(kernel, "WIDEST", 0)
+            m.setattr(kernel, "BLOCK_BYTES", 1 << 16)
+            other = kernel.Graph.build(range(len(vecs)), vecs)
+        assert graph.links == other.links
+        seen = graph.reachable()
+        assert len(seen) == len(vecs)
