@@ -331,6 +331,22 @@ def test_components_of_a_path_and_a_star(spark):
     assert {got[i] for i in range(100, 161)} == {100} and {got[i] for i in range(500, 540)} == {500} and 7 not in got and 3 not in got
 
 
+def test_components_of_few_links_take_few_stages(spark):
+    rng = np.random.default_rng(3)
+    pairs = [(int(a), int(b)) for a, b in rng.integers(0, 300, (150, 2)) - 5] + [(10_000 + k, 10_001 + k) for k in range(40)]
+    links = spark.createDataFrame([*pairs, (4, None)], "a long, b long").repartition(6)
+    sc = spark.sparkContext
+    sc.setJobGroup("few links", "")
+    one = {r["node"]: r["component"] for r in graph.components(links).collect()}
+    sc.setJobGroup("rounds", "")
+    assert one == {r["node"]: r["component"] for r in graph.components(links, small=0).collect()}
+    sc.setJobGroup("", "")
+    assert one[10_040] == 10_000 and min(one.values()) < 0
+    tracker = sc.statusTracker()
+    stages = {name: sum(len(tracker.getJobInfo(j).stageIds) for j in tracker.getJobIdsForGroup(name)) for name in ("few links", "rounds")}
+    assert stages["few links"] <= 10 < stages["rounds"]
+
+
 # -- 5: mixing -------------------------------------------------------------------------------------------------------------------
 def test_op5_exponent():
     tokens = np.array([1000.0, 100, 10])

@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from vecrag.llm.common import checkpointed, map_slices, numbered, release
-from vecrag.llm.graph import components
+from vecrag.llm.graph import components, contract
 
 RADIUS, WORDS, BITS = 4, 4, 64
 #: Members of a shard, and the mean size that the number of blocks is chosen for.
@@ -146,16 +146,7 @@ def linked(fp: np.ndarray, group: np.ndarray, radius: int = RADIUS) -> np.ndarra
     label = np.arange(len(fp))
     for query, node, d in forest.visits(fp, forest.root, radius):
         near = d <= radius
-        a, b = query[near], node[near]
-        while len(a):
-            top_a, top_b = label[a], label[b]
-            low = np.minimum(top_a, top_b)
-            for end in (top_a, top_b, a, b):
-                np.minimum.at(label, end, low)
-            while (label != label[label]).any():
-                label = label[label]
-            apart = label[a] != label[b]
-            a, b = a[apart], b[apart]
+        contract(label, query[near], node[near])
     return label
 
 
@@ -523,6 +514,11 @@ def _rest(met: DataFrame, found: DataFrame | None, sets: DataFrame | None, simil
     return _dealt(dealt.join(sets, "node"), partial(_joining, similarity, few), "a long, b long")
 
 
+def _stars(found: DataFrame) -> DataFrame:
+    """The links (a, b) of each node with its component's smallest, which stand for all links so far."""
+    return found.select(F.col("node").alias("a"), F.col("component").alias("b"))
+
+
 def _checked(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     """(a, b, ok): whether the Jaccard index of a pair's shingle sets is the similarity or more."""
     both = F.size(F.array_intersect("sa", "sb"))
@@ -545,7 +541,7 @@ def grouped(met: DataFrame, sets: DataFrame, similarity: float, few: int = FEW,
     large = met.where("parts > 1")
     if not large.isEmpty():
         heads = checkpointed(_dealt(large, _heads, "key long, node long"))
-    found = links = failed = None
+    found = failed = None
     for k in NEAREST:
         pairs = _round(met, found, heads, k, similarity, few)
         if failed is not None:
@@ -554,15 +550,14 @@ def grouped(met: DataFrame, sets: DataFrame, similarity: float, few: int = FEW,
         new, bad = got.where("ok").select("a", "b"), got.where("not ok").select("a", "b")
         failed = bad if failed is None else failed.unionByName(bad)
         if not new.isEmpty():
-            links = new if links is None else links.unionByName(new)
-            found = components(links)
+            found = components(new if found is None else _stars(found).unionByName(new))
     rest = _rest(met, found, sets if dealt else None, similarity, few)
     if not dealt:
         rest = _checked(rest.join(failed, ["a", "b"], "left_anti"), sets, similarity).where("ok").select("a", "b")
     new = checkpointed(rest)
     if new.isEmpty():
         return found
-    return components(new if links is None else links.unionByName(new))
+    return components(new if found is None else _stars(found).unionByName(new))
 
 
 def similar(df: DataFrame, doc_id: str = "doc_id", text: str = "text", similarity: float = SIMILARITY, words: int = SHINGLE) -> DataFrame:
