@@ -303,6 +303,17 @@ def test_lists_send_k_rows_a_query(spark, monkeypatch):
         B.graph_index(e)
 
 
+def test_one_graph_is_linked_in_blocks(spark, monkeypatch):
+    e = sources.vectors(spark, SF)
+    n, seen, whole = e.count(), [], two_tier.link_in_blocks
+    rows = lambda idx: [r.asDict() for r in idx.lists.drop("n_dist_build").collect()]
+    one = rows(B.graph_index(e))
+    monkeypatch.setattr(two_tier, "LINKED", n // 3)
+    monkeypatch.setattr(two_tier, "link_in_blocks", lambda *a, **k: seen.append(whole(*a, **k)) or seen[-1])
+    assert rows(B.graph_index(e)) == one
+    assert seen[0].count() == n and seen[0].where("array_contains(near, id) or size(near) = 0 or size(near) > 16").isEmpty()
+
+
 def test_query_blocks_equal_broadcasts(spark, monkeypatch):
     docs = sources.table(spark, SF, "documents").select("doc_id", "text")
     q = spark.createDataFrame([(k, r["text"][:80]) for k, r in enumerate(docs.limit(6).collect())], "qid long, query string")

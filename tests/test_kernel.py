@@ -151,3 +151,14 @@ def test_batch_links_equal_links_of_one_node_after_the_other(monkeypatch):
         assert graph.links == other.links
         seen = graph.reachable()
         assert len(seen) == len(vecs)
+
+
+def test_links_are_chosen_alike_from_groups_and_for_a_part(monkeypatch):
+    x = np.random.default_rng(5).normal(size=(900, 6))
+    x[700:] = x[:200]  # equal vectors
+    grouped = kernel.chosen_links(x, np.arange(900), 4, 6)
+    monkeypatch.setattr(kernel, "GROUP", 1 << 20)
+    whole = kernel.chosen_links(x, np.arange(900), 4, 6)
+    assert all((a == b).all() for a, b in zip(grouped, whole, strict=True)) and max(map(len, whole)) == 4
+    some = kernel.chosen_links(x, np.array([3, 500, 899]), 4, 6)
+    assert [a.tolist() for a in some] == [whole[k].tolist() for k in (3, 500, 899)]
