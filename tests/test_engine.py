@@ -351,3 +351,23 @@ def test_prompt_with_history(spark):
     q, h = spark.createDataFrame([(1, "x y"), (2, "z")], "qid long, query string"), spark.createDataFrame([(1, "before it")], "qid long, history string")
     out = {r["qid"]: (r["prompt"], r["n_tokens"]) for r in rag.build_prompt(ctx, q, 50, h).collect()}
     assert out == {1: ("a b c\nbefore it\nx y", 7), 2: ("z", 1)}
+
+
+@pytest.mark.parametrize("name", ["two_tier_updated_search"])
+def test_updates_take_the_whole_log(spark, name):
+    """An id's last operation counts, wherever in the log it is; what is live is all that is searched, and all of it."""
+    from vecrag.queries import QUERIES
+
+    d = "/root/testdata/sf0.001"
+    n = sources.vectors(spark, d).count()
+    last = {}
+    for r in sources.table(spark, d, "events").select("event_id", "event_type").orderBy("event_id").collect():
+        if r["event_type"] in ("signup", "purchase", "error"):
+            last[r["event_id"] % n] = r["event_type"]
+    gone = {i for i, op in last.items() if op == "error"}
+    vecs = {r["id"]: np.array(r["v"]) for r in sources.vectors(spark, d).collect()}
+    got = {}
+    for r in sorted(QUERIES[name](spark, d).collect(), key=lambda r: (r["qid"], r["rank"])):
+        got.setdefault(r["qid"], []).append(r["id"])
+    want = lambda q: [i for _, i in sorted((round(float(np.linalg.norm(vecs[q] - v)), 6), i) for i, v in vecs.items() if i != q and i not in gone)][:10]
+    assert gone and got == {q: want(q) for q in vecs if q % 50 == 0}
