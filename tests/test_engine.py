@@ -353,7 +353,7 @@ def test_prompt_with_history(spark):
     assert out == {1: ("a b c\nbefore it\nx y", 7), 2: ("z", 1)}
 
 
-@pytest.mark.parametrize("name", ["two_tier_updated_search", "two_tier_updated_saved"])
+@pytest.mark.parametrize("name", ["two_tier_updated_search", "two_tier_updated_saved", "stream_updated_search"])
 def test_updates_take_the_whole_log(spark, name):
     """An id's last operation counts, wherever in the log it is; what is live is all that is searched, and all of it."""
     from vecrag.queries import QUERIES
