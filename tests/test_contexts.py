@@ -25,6 +25,24 @@ def test_idf_of_met_tokens(spark):
     assert [tuple(r) for r in C.idf_of(idf, texts, texts.select(F.lit("c").alias("query"))).orderBy("token").collect()] == [("a", 1.0), ("c", 3.0)]
 
 
+def test_question_sets_search_the_index(spark, monkeypatch):
+    """The two-tier pipeline of the question sets takes its documents from a search of the document index."""
+    from vecrag.plans import workload_queries as Q
+
+    d = "/root/testdata/sf0.001"
+    docs, idf = R.docs_of(spark, d).select("doc_id", "text"), R._base(spark, d)[2]
+    q, gold = Q.question_sets(spark, d)
+    assert {r["qid"] % 3 for r in gold.collect()} == {0, 1, 2} and q.count() == q.select("qid").distinct().count()
+    searched, built = [], []
+    search, build = rag.index_ranks, rag.document_index
+    monkeypatch.setattr(rag, "index_ranks", lambda *a, **k: searched.append(search(*a, **k)) or searched[-1])
+    monkeypatch.setattr(rag, "document_index", lambda *a, **k: built.append(k) or build(*a, **k))
+    found = Q.question_contexts(spark, docs, q, idf)
+    assert len(searched) == len(built) == 1
+    pairs = lambda df: sorted(map(tuple, df.select("qid", "doc_id").collect()))
+    assert pairs(found["two_tier"]) == pairs(searched[0])
+
+
 def test_windows_are_scored_where_texts_are(spark, monkeypatch):
     """Best windows without a shuffle of terms are those of `score_windows`, for texts longer than a step too."""
     docs, q, idf, ret = R._retrieved(spark, "/root/testdata/sf0.001")
